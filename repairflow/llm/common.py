@@ -25,6 +25,16 @@ def shared_dir(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
+def small_batches(df: DataFrame) -> DataFrame:
+    """Bound the Arrow batches between the JVM and Python workers, where the session
+    has the defaults: two copies of a batch live outside the heap in every task."""
+    conf = df.sparkSession.conf
+    for key, default, value in (("spark.sql.execution.arrow.maxRecordsPerBatch", "10000", "2000"), ("spark.sql.execution.arrow.maxBytesPerBatch", "67108864", "8388608")):
+        if str(conf.get(key, default)).removesuffix("b") in (default, "64MB", "64m"):
+            conf.set(key, value)
+    return df
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/repairflow/{name}-{uuid.uuid4().hex}"
 

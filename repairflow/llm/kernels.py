@@ -48,9 +48,13 @@ def word_bounds(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.flatnonzero(step == 1), np.flatnonzero(step == -1)
 
 
-def hash_words(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hash of each word; words are hashed in pieces of about 2 MB."""
+def hash_words(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, second: bool = False):
+    """64-bit hash of each word; words are hashed in pieces of about 2 MB.
+
+    ``second`` also returns an independent hash, for 128 bits in all.
+    """
     out = np.empty(len(starts), dtype=np.uint64)
+    more = np.empty(len(starts) if second else 0, dtype=np.uint64)
     lo = 0
     while lo < len(starts):
         hi = max(lo + 1, int(np.searchsorted(ends, starts[lo] + _PIECE, side="right")))
@@ -60,10 +64,13 @@ def hash_words(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nda
         total = int(length.sum())
         within = np.arange(total, dtype=np.int64) - np.repeat(first, length)
         chars = data[np.repeat(s, length) + within].astype(np.uint64) + np.uint64(1)
-        chars *= _power_table(int(length.max()))[within]
+        power = _power_table(int(length.max()))[within]
+        if second:
+            more[lo:hi] = np.add.reduceat((chars + np.uint64(0xD6E8FEB86659FD93)) * (power ^ (power >> np.uint64(31))), first)
+        chars *= power
         out[lo:hi] = np.add.reduceat(chars, first) + length.astype(np.uint64)
         lo = hi
-    return mix64(out)
+    return (mix64(out), mix64(more)) if second else mix64(out)
 
 
 def text_words(text: str | None) -> np.ndarray:

@@ -14,6 +14,7 @@ the end id.  Null ids sort first; equal ids by text, then as they come.
 
 from __future__ import annotations
 
+import os
 import re
 import uuid
 import zlib
@@ -25,42 +26,171 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import scratch_path
+from . import kernels as K
+from .common import scratch_path, small_batches
 
 SEQ_LEN, BATCH_ROWS = 2048, 64
-_MEMO = 1 << 19
-_ODD_SPACE = re.compile("[\x1c-\x1f]")
+_MOST_CHUNKS = 1 << 19
+_NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
+# Fixed value: how the tokenizer's file cuts texts into pieces.
+_PIECES_OF_FILE = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: The same for plain characters: ASCII and the letters of Latin-1.
+_PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\u00df-\u00f6\u00f8-\u00ff]+|[0-9]|[^a-z0-9\u00df-\u00f6\u00f8-\u00ff]+")
+_NOT_PLAIN = re.compile(r"[^\t-\r -~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]")
 
 
-class Encoder:
-    """Encodes by the whitespace-separated parts of a text, each encoded once.
+def _cut(chunk: str) -> str:
+    """The pieces of a plain chunk, folded, with spaces between them."""
+    if chunk.isalpha():
+        return chunk.lower()
+    if chunk[:-1].isalpha() and chunk[-1] in ".,;:!?":
+        return f"{chunk[:-1]} {chunk[-1]}".lower()
+    return " ".join(_PIECES.findall(chunk.lower()))
+
 
-    The tokenizer drops white space and never joins across it, so the ids of a
-    text are those of its parts in order; ``tests`` hold this against whole texts.
+class Encoder:
+    """Encodes by parts: white-space-separated chunks, then the tokenizer's own pieces.
+
+    The tokenizer folds case, drops white space and never joins across it or across
+    its pieces (a run of letters, a digit, a run of other signs), and every piece
+    ends in a token that is marked so.  Pieces not yet known are encoded together
+    and cut at those marks.  The chunks of many texts are looked up at once, by two
+    64-bit hashes in an open table of arrays, which takes no more entries when full.
+    Texts with other characters than plain ones (where folding or composing could
+    differ) are encoded whole.  Tests hold this against encoding whole texts.
     """
 
     def __init__(self, path: str):
-        from tokenizers import Tokenizer
+        import json
+
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.memo: dict[str, list[int]] = {}
+        # The same model for pieces that are folded and cut already.
+        self.bare = Tokenizer.from_file(path)
+        self.bare.normalizer = normalizers.Sequence([])
+        self.bare.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        suffix = spec["model"].get("end_of_word_suffix")
+        own = [x["pattern"].get("Regex") for x in (spec.get("pre_tokenizer") or {}).get("pretokenizers", []) if x["type"] == "Split"]
+        steps = [x["type"] for x in (spec.get("normalizer") or {}).get("normalizers", [])]
+        # By parts only for a tokenizer of this very make; any other encodes whole texts.
+        self.by_parts = bool(suffix) and own == [_PIECES_OF_FILE] and steps == ["NFC", "Replace", "Lowercase"]
+        vocab = self.tokenizer.get_vocab(with_added_tokens=True)
+        self.last = np.zeros(max(vocab.values()) + 1, dtype=bool)
+        for token, i in vocab.items():
+            self.last[i] = bool(suffix) and token.endswith(suffix)
+        self.slots = np.zeros((3, 2 * _MOST_CHUNKS), dtype=np.uint64)  # hash, other hash, place << 16 | length
+        self.pool, self.used, self.entries = np.zeros(1 << 16, dtype="<u4"), 0, 0
+
+    def _chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of plain chunks, one after another, and how many each has.
+
+        All pieces are encoded in one call; tokens that end a piece give the cuts.
+        """
+        cut = [_cut(c) for c in chunks]
+        ids = np.array(self.bare.encode_batch_fast([" ".join(cut)], add_special_tokens=False)[0].ids, dtype="<u4")
+        stop = np.flatnonzero(self.last[ids]) + 1
+        last = np.cumsum([c.count(" ") + 1 for c in cut]) - 1
+        if len(stop) != last[-1] + 1:  # a piece that the tokenizer reads otherwise
+            parts = [self.tokenizer.encode(c, add_special_tokens=False).ids for c in chunks]
+            return np.array([x for p in parts for x in p], dtype="<u4"), np.array([len(p) for p in parts], dtype=np.int64)
+        return ids, np.diff(stop[last], prepend=0)
 
     def encode(self, text: str | None) -> np.ndarray:
-        text = text or ""
-        if _ODD_SPACE.search(text):  # str.split cuts there, the tokenizer does not
-            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
-        parts = text.split()
-        new = list({p for p in parts if p not in self.memo})
-        if len(self.memo) + len(new) > _MEMO:
-            self.memo.clear()
-            new = list(set(parts))
-        for p, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self.memo[p] = e.ids
-        memo = self.memo
-        ids: list[int] = []
-        for p in parts:
-            ids += memo[p]
-        return np.array(ids, dtype=np.uint32)
+        return self.encode_many([text])[0]
+
+    def encode_many(self, texts: list) -> list[np.ndarray]:
+        """Ids of each text, texts taken together by about a megabyte."""
+        out: list[np.ndarray] = [None] * len(texts)
+        held, size = [], 0
+        for i, text in enumerate(texts):
+            text = text or ""
+            if not self.by_parts or _NOT_PLAIN.search(text) or "<|" in text:
+                out[i] = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4")
+                continue
+            held.append((i, text.encode()))
+            size += len(text)
+            if size > 1 << 20:
+                self._plain(held, out)
+                held, size = [], 0
+        self._plain(held, out)
+        return out
+
+    def _plain(self, held: list[tuple[int, bytes]], out: list) -> None:
+        if not held:
+            return
+        raw = b" ".join(t for _, t in held)
+        data = np.frombuffer(raw, dtype=np.uint8)
+        starts, ends = K.word_bounds(data)
+        one, two = K.hash_words(data, starts, ends, second=True) if len(starts) else (np.empty(0, np.uint64),) * 2
+        one |= np.uint64(1)  # 0 marks an empty slot
+        code = self._find(one, two)
+        pool = self.pool
+        miss = np.flatnonzero(code == _NONE)
+        if len(miss):
+            _, first, which = np.unique(one[miss], return_index=True, return_inverse=True)
+            at = miss[first]
+            flat, length = self._chunks([raw[s:e].decode() for s, e in zip(starts[at].tolist(), ends[at].tolist(), strict=True)])
+            length = length.astype(np.uint64)
+            place = np.uint64(self.used) + np.concatenate(([0], np.cumsum(length)[:-1])).astype(np.uint64)
+            fits = int(length.max()) < 1 << 16
+            codes = (place << np.uint64(16)) | length
+            if self.used + len(flat) > len(pool):
+                pool = np.concatenate((pool[: self.used], flat, np.zeros(len(pool), dtype="<u4")))
+            else:
+                pool[self.used : self.used + len(flat)] = flat
+            if self.entries + len(length) <= _MOST_CHUNKS and fits:
+                self.pool, self.used, self.entries = pool, self.used + len(flat), self.entries + len(length)
+                self._put(one[at], two[at], codes)
+            code[miss] = codes[which]
+            lengths, places = (code & np.uint64(0xFFFF)).astype(np.int64), (code >> np.uint64(16)).astype(np.int64)
+            if not fits:  # a chunk of very many tokens
+                lengths[miss], places[miss] = length[which].astype(np.int64), place[which].astype(np.int64)
+        else:
+            lengths, places = (code & np.uint64(0xFFFF)).astype(np.int64), (code >> np.uint64(16)).astype(np.int64)
+        stop = np.cumsum(lengths)
+        ids = pool[np.repeat(places - stop + lengths, lengths) + np.arange(int(stop[-1]) if len(stop) else 0)]
+        bounds = np.cumsum([len(t) + 1 for _, t in held])  # word starts below it belong to the text
+        cuts = np.concatenate(([0], stop))[np.searchsorted(starts, bounds)]
+        for (i, _), part in zip(held, np.split(ids, cuts[:-1]), strict=True):
+            out[i] = part
+
+    def _find(self, one: np.ndarray, two: np.ndarray) -> np.ndarray:
+        code = np.full(len(one), _NONE, dtype=np.uint64)
+        mask = np.uint64(self.slots.shape[1] - 1)
+        at, slot = np.arange(len(one)), one >> np.uint64(8) & mask
+        while len(at):
+            key = self.slots[0, slot]
+            hit = (key == one[at]) & (self.slots[1, slot] == two[at])
+            code[at[hit]] = self.slots[2, slot[hit]]
+            go = ~hit & (key != 0)
+            at, slot = at[go], (slot[go] + np.uint64(1)) & mask
+        return code
+
+    def _put(self, one: np.ndarray, two: np.ndarray, codes: np.ndarray) -> None:
+        mask = np.uint64(self.slots.shape[1] - 1)
+        at, slot = np.arange(len(one)), one >> np.uint64(8) & mask
+        while len(at):
+            free = np.flatnonzero(self.slots[0, slot] == 0)
+            _, first = np.unique(slot[free], return_index=True)
+            won = free[first]
+            self.slots[:, slot[won]] = one[at[won]], two[at[won]], codes[at[won]]
+            rest = np.ones(len(at), dtype=bool)
+            rest[won] = False
+            at, slot = at[rest], (slot[rest] + np.uint64(1)) & mask
+
+
+_encoders: dict[str, Encoder] = {}
+
+
+def encoder(path: str) -> Encoder:
+    """The worker process's encoder, whose tables serve all its tasks."""
+    if path not in _encoders:
+        _encoders[path] = Encoder(path)
+    return _encoders[path]
 
 
 class StreamFileWriter:
@@ -138,23 +268,23 @@ def write_token_files(
     """Write the files; returns (file, first_start) rows, one for each file in order."""
     from .common import NULL_ID
 
-    docs = documents.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(id_col).isNotNull().alias("named"), F.col(text_col).alias("text"))
+    docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(id_col).isNotNull().alias("named"), F.col(text_col).alias("text"))
     # Ranges of ids in order, one task and one file for each.
     files = max(1, -(-docs.count() // rows_per_file))
     dealt = docs.repartitionByRange(files, "rid").sortWithinPartitions("rid", "text")
 
     def run(batches):
-        encoder = Encoder(tokenizer_path)
+        encode = encoder(tokenizer_path).encode_many
         system, root = pafs.FileSystem.from_uri(out_uri)
         file, temp = TaskContext.get().partitionId(), f"{root}/_attempt-{uuid.uuid4().hex}"
         writer, ids_of, sizes = None, [], []
         for batch in batches:
-            for rid, named, text in zip(*(batch.column(c).to_pylist() for c in ("rid", "named", "text")), strict=True):
+            for rid, named, ids in zip(batch.column("rid").to_pylist(), batch.column("named").to_pylist(), encode(batch.column("text").to_pylist()), strict=True):
                 if writer is None:
                     system.create_dir(root, recursive=True)
                     sink = system.open_output_stream(temp)
                     writer = StreamFileWriter(sink, seq_len, batch_rows, wide)
-                ids = np.append(encoder.encode(text), np.uint32(end_id))
+                ids = np.append(ids, np.uint32(end_id))
                 writer.add(ids)
                 ids_of.append(rid if named else None)
                 sizes.append(len(ids))
