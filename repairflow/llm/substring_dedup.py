@@ -8,23 +8,26 @@ what lies between the seeds of a chain is aligned word by word.  Chains of enoug
 words at enough identity are passages; passages of a document are merged, and the
 ones over ``min_words`` are reported against the pivots they repeat.
 
-Defined results: null and empty texts have no passage; documents of equal texts
-are one class, represented by its least id, and each other member of more than
-``min_words`` words is reported as a repeat of the whole text; null ids stay null.
-Spans are code points, end exclusive.
+A seed is first tied inside a task, so that however many documents hold it, one row
+a task goes on to meet the others.
+
+Defined results: null and empty texts have no passage; of equal texts all but the
+first are reported as repeats of a whole text; rows that repeat an id are one
+document and do not repeat each other; null ids stay null, one document for each
+text.  Spans are code points, end exclusive.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import NULL_ID, materialize
+from .common import NULL_ID, small_batches
 
-SEED_WORDS, WINDOW, MIN_WORDS, PART_WORDS, IDENTITY = 6, 10, 50, 18, 0.7
+SEED_WORDS, WINDOW, MIN_WORDS, PART_WORDS, IDENTITY = 6, 12, 50, 25, 0.7
 _GAP = 60
 
 
@@ -142,16 +145,135 @@ def align_chain(chain: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[int, i
     return a0, a1, b0, b1, matched + more + most
 
 
-def merge_spans(spans: list[tuple], joint: int = 3) -> list[tuple[int, int, list[int]]]:
-    """Union of (start, end, partner) word spans that touch within ``joint`` words."""
-    out: list[list] = []
-    for s, e, p in sorted(spans):
-        if out and s <= out[-1][1] + joint:
-            out[-1][1] = max(out[-1][1], e)
-            out[-1][2].add(p)
-        else:
-            out.append([s, e, {p}])
-    return [(s, e, sorted(ps)) for s, e, ps in out]
+def local_ties(seed: np.ndarray, node: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Sort seeds by (seed, node, place) and tie each to the first of its seed.
+
+    Returns the sorted arrays with the pivot's node and place for each row.
+    """
+    order = np.lexsort((place, node, seed))
+    seed, node, place = seed[order], node[order], place[order]
+    first = np.ones(len(seed), dtype=bool)
+    first[1:] = seed[1:] != seed[:-1]
+    head = np.maximum.accumulate(np.where(first, np.arange(len(seed)), 0))
+    return seed, node, place, node[head], place[head]
+
+
+_SEED_ROWS = pa.schema([("seed", pa.int64()), ("node", pa.int64()), ("place", pa.int32()), ("a", pa.int64()), ("at", pa.int32())])
+_TIE_ROWS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("at", pa.int32()), ("place", pa.int32())])
+
+
+def seed_rows(seed_words: int, window: int, flush: int = 1 << 19):
+    """Seeds of documents, tied inside the task: one row of a seed stands for all the
+    documents of about ``flush`` seeds that hold it, the others name it as pivot."""
+
+    def flat(held):
+        cols = [np.concatenate(x) for x in zip(*held, strict=True)]
+        seed, node, place, a, at = local_ties(*cols)
+        lead = np.ones(len(seed), dtype=bool)
+        lead[1:] = seed[1:] != seed[:-1]
+        keep = lead | (node != a)  # a document repeats a seed: its first place is enough
+        arrays = [pa.array(seed[keep]), pa.array(node[keep]), pa.array(place[keep]), pa.array(a[keep], mask=lead[keep]), pa.array(at[keep], mask=lead[keep])]
+        return pa.RecordBatch.from_arrays(arrays, schema=_SEED_ROWS)
+
+    def run(batches):
+        held, n = [], 0
+        for batch in batches:
+            for rid, text in zip(batch.column("rid").to_pylist(), batch.column("text"), strict=True):
+                grams = K.ngram_hashes(K.text_words(text.as_py()), seed_words)
+                where = K.minimizers(grams, window)
+                held.append((grams[where].view(np.int64), np.full(len(where), rid, dtype=np.int64), where.astype(np.int32)))
+                n += len(where)
+                if n >= flush:
+                    yield flat(held)
+                    held, n = [], 0
+        if held:
+            yield flat(held)
+
+    return run
+
+
+def global_ties(batches):
+    """Ties of seed rows that come sorted by seed: local pivots to the first, others as named."""
+    last = None  # (seed, node, place) of the run at hand
+    for batch in batches:
+        seed, node, place = (batch.column(c).to_numpy() for c in ("seed", "node", "place"))
+        tied = batch.column("a").is_valid().to_numpy(zero_copy_only=False)
+        a, at = batch.column("a").fill_null(0).to_numpy().copy(), batch.column("at").fill_null(0).to_numpy().copy()
+        own = np.flatnonzero(~tied)
+        if len(own):
+            s = seed[own]
+            first = np.ones(len(s), dtype=bool)
+            first[1:] = s[1:] != s[:-1]
+            head = np.maximum.accumulate(np.where(first, np.arange(len(s)), 0))
+            a[own], at[own] = node[own][head], place[own][head]
+            if last is not None:
+                same = own[: int(np.searchsorted(head, 1)) if s[0] == last[0] else 0]
+                a[same], at[same] = last[1], last[2]
+            tail = own[-1]
+            last = (seed[tail], a[tail], at[tail])
+        keep = node != a
+        yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(node[keep]), pa.array(at[keep]), pa.array(place[keep])], schema=_TIE_ROWS)
+
+
+def chain_rows(seed_words: int, window: int):
+    """Chains of more than one seed of each pair: (chain, a, b, lo, hi, runs) rows, one
+    for each side, so that the text of either is met once."""
+    schema = pa.schema([("doc", pa.int64()), ("chain", pa.int64()), ("pivot", pa.bool_()), ("other", pa.int64()), ("lo", pa.int32()), ("hi", pa.int32()), ("runs", pa.list_(pa.int32()))])
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for a, b, xs, ys in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), batch.column("at"), batch.column("place"), strict=True):
+                runs = seed_runs(np.array(xs.values, dtype=np.int64), np.array(ys.values, dtype=np.int64), seed_words, window + seed_words)
+                for c in chains(runs):
+                    if c[:, 2].sum() <= seed_words:
+                        continue
+                    number = int(K.mix64(np.array([a ^ (b * 1_000_003) ^ int(c[0, 0]) * 8191 ^ int(c[0, 1])], dtype=np.int64).view(np.uint64)).view(np.int64)[0])
+                    for pivot, doc, other, k in ((True, a, b, 0), (False, b, a, 1)):
+                        lo = max(0, int(c[0, k]) - 2 * _GAP)
+                        out.append((doc, number, pivot, other, lo, int(c[-1, k] + c[-1, 2]) + 2 * _GAP, None if pivot else c.ravel().astype(np.int32)))
+            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
+
+    return run
+
+
+def cut_words(batches):
+    """The words around each chain as 32-bit hashes; for the repeating side also where
+    they start and end, in code points from the start of the text."""
+    schema = pa.schema([("chain", pa.int64()), ("pivot", pa.bool_()), ("doc", pa.int64()), ("other", pa.int64()), ("lo", pa.int32()), ("runs", pa.list_(pa.int32())), ("words", pa.binary()), ("starts", pa.binary()), ("ends", pa.binary()), ("length", pa.int64())])
+    last = None
+    for batch in batches:
+        out = []
+        for doc, text, chain, pivot, other, lo, hi, runs in zip(*(batch.column(c) for c in ("doc", "text", "chain", "pivot", "other", "lo", "hi", "runs")), strict=True):
+            if last is None or last[0] != doc.as_py() or last[1] != text:
+                data = np.frombuffer(text.as_py().encode("utf-8", "surrogatepass"), dtype=np.uint8)
+                s, e = K.word_bounds(data)
+                last = (doc.as_py(), text, K.hash_words(data, s, e).astype(np.uint32), s, e, K.char_offsets(data))
+            _, _, words, s, e, chars = last
+            i, j = lo.as_py(), hi.as_py()
+            own = not pivot.as_py()
+            where = [chars[x[i:j]].astype(np.int32).tobytes() if own else None for x in (s, e)]
+            out.append((chain.as_py(), not own, doc.as_py(), other.as_py(), i, runs.values.to_numpy() if own else None, words[i:j].tobytes(), *where, len(words) if own else None))
+        yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
+
+
+def align_rows(part_words: int, identity: float):
+    """Aligned chains: (doc, other, first, last, start, stop, n) of the repeating side."""
+    schema = pa.schema([("doc", pa.int64()), ("other", pa.int64()), ("first", pa.int64()), ("last", pa.int64()), ("start", pa.int64()), ("stop", pa.int64()), ("n", pa.int64())])
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for r in batch.to_pylist():
+                c = np.array(r["runs"], dtype=np.int64).reshape(-1, 3) - [r["a_lo"], r["lo"], 0]
+                a, b = np.frombuffer(r["a_words"], dtype=np.uint32), np.frombuffer(r["words"], dtype=np.uint32)
+                a0, a1, b0, b1, matched = align_chain(c, a, b)
+                if b1 - b0 >= part_words and matched >= identity * max(a1 - a0, b1 - b0):
+                    s, e = np.frombuffer(r["starts"], dtype=np.int32), np.frombuffer(r["ends"], dtype=np.int32)
+                    out.append((r["doc"], r["other"], b0 + r["lo"], b1 + r["lo"], int(s[b0]), int(e[b1 - 1]), r["length"]))
+            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
+
+    return run
 
 
 def repeated_passages(
@@ -167,96 +289,38 @@ def repeated_passages(
     """(doc_id, start, stop, n_words, partners, whole): passages that repeat others'.
 
     ``partners`` are ids of documents that hold the passage, or parts that make it
-    up, before this one; ``whole`` marks copies of a whole text.
+    up; ``whole`` marks a repeat of the whole text.
     """
-    docs = documents.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    keyed = docs.withColumn("key", F.md5("text"))
-    # Classes of equal texts; "node" names a class and orders pivots.
-    heads = keyed.groupBy("key").agg(F.min("rid").alias("head"), F.count("*").alias("copies"))
-
-    def seeds_of(batches):
-        for batch in batches:
-            keys, hashes, places = [], [], []
-            for key, text in zip(batch.column("key").to_pylist(), batch.column("text"), strict=True):
-                grams = K.ngram_hashes(K.text_words(text.as_py()), seed_words)
-                at = K.minimizers(grams, window)
-                keys.append(np.full(len(at), int(key[:15], 16), dtype=np.int64))
-                hashes.append(grams[at].view(np.int64))
-                places.append(at.astype(np.int32))
-            flat = [np.concatenate([*x, np.zeros(0, d)]).astype(d) for x, d in ((hashes, np.int64), (keys, np.int64), (places, np.int32))]
-            yield pa.RecordBatch.from_arrays([pa.array(f) for f in flat], ["seed", "node", "place"])
-
-    node = F.conv(F.substring("key", 1, 15), 16, 10).cast("long")
-    # Copies within a batch of rows are many in hot groups; one text a class is enough.
-    one = keyed.select("key", "text").dropDuplicates(["key"])
-    seeds = materialize(one.mapInArrow(seeds_of, "seed long, node long, place int"), "seeds")
-    pivots = seeds.groupBy("seed").agg(F.min(F.struct("node", "place")).alias("pivot"), F.max("node").alias("top")).filter("pivot.node < top")
-    ties = seeds.join(pivots.select("seed", F.col("pivot.node").alias("a"), F.col("pivot.place").alias("pa")), "seed").filter("node <> a")
-    pairs = ties.groupBy("a", F.col("node").alias("b")).agg(F.collect_list("pa").alias("pa"), F.collect_list("place").alias("pb"))
-
-    def chain_up(batches):
-        schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("lo", pa.int32()), ("hi", pa.int32()), ("runs", pa.list_(pa.int32()))])
-        for batch in batches:
-            out = []
-            for a, b, xs, ys in zip(*(batch.column(c) for c in ("a", "b", "pa", "pb")), strict=True):
-                runs = seed_runs(np.array(xs.values), np.array(ys.values), seed_words, window + seed_words)
-                for c in chains(runs.astype(np.int64)):
-                    slack = int(c[:, 2].sum())
-                    if slack >= seed_words and len(c):
-                        out.append((a.as_py(), b.as_py(), int(c[0, 0]) - 2 * _GAP, int(c[-1, 0] + c[-1, 2]) + 2 * _GAP, c.ravel().astype(np.int32)))
-            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
-
-    chained = pairs.mapInArrow(chain_up, "a long, b long, lo int, hi int, runs array<int>")
-    texts = one.withColumn("node", node).join(heads.select("key", "head"), "key").select("node", "head", "text")
-
-    def cut(batches):
-        """The pivot's words around each chain, so that no whole pivot text travels."""
-        last, words = None, None
-        for batch in batches:
-            cuts = []
-            for n, text, lo, hi in zip(*(batch.column(c) for c in ("a", "text", "lo", "hi")), strict=True):
-                if n != last:
-                    last, words = n, K.text_words(text.as_py())
-                cuts.append(words[max(0, lo.as_py()) : hi.as_py()].tobytes())
-            cols = [batch.column(c) for c in ("b", "head", "lo", "runs")]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(cuts, pa.binary())], ["b", "pivot", "lo", "runs", "words"])
-
-    pivoted = chained.join(texts.withColumnRenamed("node", "a"), "a").select("a", "b", "head", "lo", "hi", "runs", "text")
-    sliced = pivoted.mapInArrow(cut, "b long, pivot long, lo int, runs array<int>, words binary")
-    grouped = sliced.groupBy("b").agg(F.collect_list(F.struct("pivot", "lo", "runs", "words")).alias("chains"))
-
-    def finish(batches):
-        schema = pa.schema([("head", pa.int64()), ("start", pa.int64()), ("stop", pa.int64()), ("n_words", pa.int64()), ("partners", pa.list_(pa.int64()))])
-        for batch in batches:
-            out = []
-            for head, text, found in zip(*(batch.column(c) for c in ("head", "text", "chains")), strict=True):
-                data = np.frombuffer(text.as_py().encode("utf-8", "surrogatepass"), dtype=np.uint8)
-                starts, ends = K.word_bounds(data)
-                words = K.hash_words(data, starts, ends)
-                spans = []
-                for c in found.as_py():
-                    runs = np.array(c["runs"], dtype=np.int64).reshape(-1, 3)
-                    runs[:, 0] -= max(0, c["lo"])
-                    a0, a1, b0, b1, matched = align_chain(runs, np.frombuffer(c["words"], dtype=np.uint64), words)
-                    if b1 - b0 >= part_words and matched >= identity * max(a1 - a0, b1 - b0):
-                        spans.append((b0, b1, c["pivot"]))
-                chars = K.char_offsets(data)
-                for s, e, partners in merge_spans(spans):
-                    if e - s >= min_words:
-                        out.append((head.as_py(), int(chars[starts[s]]), int(chars[ends[e - 1]]), e - s, partners))
-            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
-
-    joined = grouped.join(texts.withColumnRenamed("node", "b"), "b").select("head", "text", "chains")
-    passages = joined.mapInArrow(finish, "head long, start long, stop long, n_words long, partners array<long>")
-
-    back = lambda c: F.when(F.col(c) != NULL_ID, F.col(c))
-    words = F.regexp_count("text", F.lit(r"[^\x20\x09-\x0D]+")).cast("long")
-    extra = keyed.join(heads.filter("copies > 1"), "key").filter("rid <> head")
-    copies = extra.withColumn("n_words", words).filter(F.col("n_words") >= min_words)
-    copies = copies.select(back("rid").alias("doc_id"), F.lit(0).cast("long").alias("start"), F.length("text").cast("long").alias("stop"), "n_words", F.array("head").alias("partners"), F.lit(True).alias("whole"))
-    own = passages.select(back("head").alias("doc_id"), "start", "stop", "n_words", "partners", F.lit(False).alias("whole"))
-    # An unexpanded list: a partner is a class's least id, whose copies are rows of their own.
-    return own.unionByName(copies)
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    nameless = F.lit(NULL_ID) + F.pmod(F.xxhash64(text), F.lit(1 << 52))
+    docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), nameless).alias("rid"), text.alias("text"))
+
+    seeds = docs.mapInArrow(seed_rows(seed_words, window), "seed long, node long, place int, a long, at int")
+    dealt = seeds.withColumn("to", F.when(F.col("a").isNull(), F.col("seed")).otherwise(F.xxhash64("node", "seed")))
+    ties = dealt.repartition("to").drop("to").sortWithinPartitions("seed", "node", "place").mapInArrow(global_ties, "a long, b long, at int, place int")
+    pairs = ties.groupBy("a", "b").agg(F.collect_list("at").alias("at"), F.collect_list("place").alias("place")).filter(F.size("at") > 1)
+    sides = pairs.mapInArrow(chain_rows(seed_words, window), "doc long, chain long, pivot boolean, other long, lo int, hi int, runs array<int>")
+    met = sides.join(docs, sides.doc == docs.rid).drop("rid")
+    cuts = met.mapInArrow(cut_words, "chain long, pivot boolean, doc long, other long, lo int, runs array<int>, words binary, starts binary, ends binary, length long")
+    one_side = F.max_by(F.when(F.col("pivot"), F.struct(F.col("lo").alias("a_lo"), F.col("words").alias("a_words"))), F.col("pivot"))
+    other_side = F.max_by(F.when(~F.col("pivot"), F.struct("doc", "other", "lo", "runs", "words", "starts", "ends", "length")), ~F.col("pivot"))
+    both = cuts.groupBy("chain").agg(one_side.alias("x"), other_side.alias("y")).filter("x is not null and y is not null").select("x.*", "y.*")
+    spans = both.mapInArrow(align_rows(part_words, identity), "doc long, other long, first long, last long, start long, stop long, n long")
+    return merged_passages(spans, min_words)
+
+
+def merged_passages(spans: DataFrame, min_words: int, joint: int = 3) -> DataFrame:
+    """Spans of a document that touch within ``joint`` words are one passage."""
+    order = Window.partitionBy("doc").orderBy("first", "last", "other")
+    reach = F.max("last").over(order.rowsBetween(Window.unboundedPreceding, -1))
+    numbered = spans.withColumn("new", F.when(reach.isNull() | (F.col("first") > reach + joint), 1).otherwise(0)).withColumn("part", F.sum("new").over(order))
+    passages = numbered.groupBy("doc", "part").agg(
+        F.min("start").alias("start"), F.max("stop").alias("stop"), (F.max("last") - F.min("first")).alias("n_words"), F.array_sort(F.collect_set("other")).alias("partners"), F.max("n").alias("n")
+    )
+    back = lambda c: F.when(c > NULL_ID // 2, c)
+    return passages.filter(F.col("n_words") >= min_words).select(
+        back(F.col("doc")).alias("doc_id"), "start", "stop", "n_words", F.transform("partners", back).alias("partners"), (F.col("n_words") == F.col("n")).alias("whole")
+    )
 
 
 def remove_passages(documents: DataFrame, passages: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
