@@ -22,7 +22,8 @@ from pyspark.sql import functions as F
 class Rule:
     """Leftmost non-overlapping matches of ``pattern`` whose group has ``least`` characters.
 
-    ``needs`` are literals of which a text must hold one for the rule to match.
+    ``needs`` are literals in lower case of which a text must hold one, in any case,
+    for the rule to match; a rule without them is tried by its pattern.
     """
 
     kind: str
@@ -39,13 +40,13 @@ class Rule:
 
 # The three base rules.
 BASE_RULES = (
-    Rule("assign", r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 8, 2, (":", "=")),
-    Rule("access", r"AKIA[A-Z0-9]+", 16, 0, ("AKIA",)),
+    Rule("assign", r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 8, 2, ("password", "passwd", "secret", "token", "apikey", "api_key")),
+    Rule("access", r"AKIA[A-Z0-9]+", 16, 0, ("akia",)),
     Rule("hex", r"[0-9a-f]{32,}", 32),
 )
 EXTRA_RULES = (
-    Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 32, 0, ("eyJ",)),
-    Rule("pem", r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[A-Za-z0-9+/=\s]*-----END (?:[A-Z]+ )*PRIVATE KEY-----", 60, 0, ("-----BEGIN",)),
+    Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 32, 0, ("eyj",)),
+    Rule("pem", r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[A-Za-z0-9+/=\s]*-----END (?:[A-Z]+ )*PRIVATE KEY-----", 60, 0, ("-----begin",)),
 )
 RULES = BASE_RULES + EXTRA_RULES
 
@@ -72,19 +73,26 @@ def rule_spans(text, rule: Rule):
         return F.struct(end.alias("at"), F.when(F.length(x["val"]) >= rule.least, F.concat(acc["out"], F.array(span))).otherwise(acc["out"]).alias("out"))
 
     found = F.aggregate(F.filter(parts, lambda x: x["hit"].isNotNull()), F.struct(F.lit(0).cast("long").alias("at"), empty.alias("out")), step, lambda acc: acc["out"])
-    may = text.rlike(rule.pattern)
-    for literal in rule.needs[:1]:
-        held = text.contains(literal)
-        for other in rule.needs[1:]:
-            held = held | text.contains(other)
-        may = held & may
-    return F.when(may, found).otherwise(empty)
+    return F.when(text.rlike(rule.pattern), found).otherwise(empty)
+
+
+def may_match(text, folded, rules: tuple[Rule, ...]):
+    """Whether any rule could match, by literals where it has them."""
+    out = F.lit(False)
+    for rule in rules:
+        for literal in rule.needs:
+            out = out | folded.contains(literal)
+        if not rule.needs:
+            out = out | text.rlike(rule.pattern)
+    return out
 
 
 def scan(versions: DataFrame, ledger: DataFrame | None = None, text_col: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """Ledger rows (blob, rules, spans) of what the ledger lacks for these versions."""
     text = F.coalesce(F.col(text_col), F.lit(""))
-    blobs = versions.select(F.sha2(text, 256).alias("blob"), text.alias("text")).groupBy("blob").agg(F.first("text").alias("text"))
+    # Texts that no rule can match need not travel to be recorded as scanned.
+    named = versions.select(F.sha2(text, 256).alias("blob"), F.when(may_match(text, F.lower(text), rules), text).alias("text"))
+    blobs = named.groupBy("blob").agg(F.first("text", ignorenulls=True).alias("text")).withColumn("text", F.coalesce("text", F.lit("")))
     if ledger is None:
         blobs = blobs.withColumn("known", F.expr("cast(array() as array<string>)"))
     else:
