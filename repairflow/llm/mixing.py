@@ -134,7 +134,8 @@ def mix_documents(
     pieces = pieces.withColumn("words", F.least(F.col("at") + F.col("size"), (F.col("block") + 1) * block_words) - F.greatest(F.col("at"), F.col("block") * block_words))
 
     taken_blocks = slot_blocks(spark, draw_shards(slots, shard_slots, seed), n_blocks, seed).groupBy("sid", "block").agg(F.count("*").alias("times"))
-    taken = pieces.join(taken_blocks, ["sid", "block"]).groupBy("sid", "at").agg(F.sum(F.col("words") * F.col("times")).alias("taken"))
+    # The slots' size is not known before they are made: never to be broadcast.
+    taken = pieces.join(taken_blocks.hint("merge"), ["sid", "block"]).groupBy("sid", "at").agg(F.sum(F.col("words") * F.col("times")).alias("taken"))
     # A stream offset is one document of positive size.
     some = placed.filter("size > 0").join(taken, ["sid", "at"], "left")
     none = placed.filter("size = 0").withColumn("taken", F.lit(0).cast("long"))
