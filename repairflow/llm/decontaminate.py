@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
+from .common import small_batches
 
 MATCH, MISMATCH, GAP = 2, -1, -1
 _BLOCK = 20_000
@@ -138,7 +139,7 @@ def contaminated(
     block: int = _BLOCK,
 ) -> DataFrame:
     """Rows (doc_id, item_id, score, word_start, word_end) of items found in documents."""
-    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    docs = small_batches(documents).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     items = benchmark.select(F.col(item_col).cast("long").alias("item_id"), F.col(item_text_col).alias("text")).filter("text is not null")
     blocks = max(1, -(-items.count() // block))
     spark = documents.sparkSession
@@ -165,7 +166,7 @@ def drop_contaminated(documents: DataFrame, benchmark: DataFrame, text_col: str
     """The documents, all columns, in which no item is found."""
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text")).filter("text is not null")
     blocks = max(1, -(-items.count() // block))
-    out = documents
+    out = small_batches(documents)
     for b in range(blocks):
         rows = [(r["item_id"], r["text"]) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b).collect()]
         shared = documents.sparkSession.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold))

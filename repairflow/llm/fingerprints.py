@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import NULL_ID
+from .common import NULL_ID, small_batches
 
 SAMPLES, NGRAM = 64, 3
 _KEPT_TERMS = 50_000
@@ -126,7 +126,7 @@ def likeness(a: np.ndarray, b: np.ndarray) -> float:
 
 def fingerprint(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", samples: int = SAMPLES, ngram: int = NGRAM) -> DataFrame:
     """(doc_id, n_chars, fingerprint): hex of ``samples`` 16-bit codes."""
-    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    docs = small_batches(documents).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
 
     def run(batches):
         sampler = Sampler(samples, ngram)
@@ -145,7 +145,7 @@ def with_next(documents: DataFrame, id_col: str, text_col: str, rows_per_range:
     Buckets are ranges of ids; the greatest rows of a bucket also go, as helpers, to
     the bucket above it, and those of the top bucket to the lowest.
     """
-    docs = documents.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(id_col).isNotNull().alias("named"), F.col(text_col).alias("text"))
+    docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(id_col).isNotNull().alias("named"), F.col(text_col).alias("text"))
     parts = max(1, -(-docs.count() // rows_per_range))
     cuts = docs.stat.approxQuantile("rid", [i / parts for i in range(1, parts)], 0.2 / parts) if parts > 1 else []
     bounds = np.unique(np.array(cuts, dtype=np.int64))  # bucket i: bounds[i-1] <= id < bounds[i]

@@ -21,6 +21,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import small_batches
+
 UNDETERMINED = "und"
 _LETTER = re.compile(r"[^\W\d_]")
 _PIECE = 1 << 18
@@ -126,7 +128,7 @@ def identify(documents: DataFrame, trees: ContextTrees, text_col: str = "text")
     spark = documents.sparkSession
     shared = spark.sparkContext.broadcast(trees)
     keep = [c for c in documents.columns if c not in ("lang_pred", "lang_score", "lang_bits")]
-    docs = documents.select(*[F.col(f"`{c}`") for c in keep])
+    docs = small_batches(documents).select(*[F.col(f"`{c}`") for c in keep])
 
     def run(batches):
         model = shared.value

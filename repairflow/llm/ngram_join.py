@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import NULL_ID, connected_components, materialize
+from .common import NULL_ID, connected_components, materialize, small_batches
 
 _CHUNK = 1024
 
@@ -150,7 +150,7 @@ def similar_documents(
     word shingles >= threshold), n_links the number of other documents linked.
     """
     depth = matched_depth(threshold, trees, depth_max, target_recall)
-    docs = documents.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(text_col).alias("text"))
+    docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(text_col).alias("text"))
     sigs = materialize(signatures(docs, shingle, trees * depth_max).withColumn("node", F.xxhash64("key")), "signatures")
 
     classes = sigs.filter("n > 0").groupBy("key", "node").agg(F.min("rid").alias("rid"), F.count("*").alias("copies"), F.first("sig").alias("sig"))

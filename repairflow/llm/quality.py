@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import kernels as K
+from .common import small_batches
 
 #: At most this many labelled documents of each class are learnt from.
 PER_CLASS = 2000
@@ -145,7 +146,7 @@ def fit(documents: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_co
 def classify(documents: DataFrame, model: NeighbourVote, text_col: str = "text", threshold: float = 0.7) -> DataFrame:
     """All columns of ``documents`` plus score and predicted (1 if score >= threshold)."""
     shared = documents.sparkSession.sparkContext.broadcast(model)
-    docs = documents.select(*[F.col(f"`{c}`") for c in documents.columns if c not in ("score", "predicted")])
+    docs = small_batches(documents).select(*[F.col(f"`{c}`") for c in documents.columns if c not in ("score", "predicted")])
 
     def run(batches):
         for batch in batches:
