@@ -86,9 +86,10 @@ def random_search(tuner: Tuner, trials: int, seed: int = 0) -> Tuner:
 
 def greedy_tune(tuner: Tuner) -> Tuner:
     """Each tool alone on the original relation; then all their best settings in a row."""
-    best = []
-    for choices in cascade_space(tuner.ops):
-        best.append(min(((tuner.evaluate([c]), i, c) for i, c in enumerate(choices) if not tuner.out_of_time() or i == 0), key=lambda x: x[:2])[2])
+    best, space = [], cascade_space(tuner.ops)
+    for slot, choices in enumerate(space):
+        alone = lambda c, slot=slot: [c if i == slot else OFF for i in range(len(space))]
+        best.append(min(((tuner.evaluate(alone(c)), i, c) for i, c in enumerate(choices) if not tuner.out_of_time() or i == 0), key=lambda x: x[:2])[2])
     tuner.evaluate(best)
     return tuner
 

@@ -126,7 +126,7 @@ def bind(pool: DataFrame, rows: DataFrame, key: tuple[str, ...], carry: bool = F
     for k in kinds:
         clauses = [tuple(c.split(":")) for c in k["pred_sig"].split(",") if c]
         sub = pool.filter((F.col("pred_sig") == k["pred_sig"]) & (F.col("target") == k["target"]))
-        fields = [F.col("pred")[i][f].alias(f"_{n}{i}") for i in range(len(clauses)) for f, n in (("lo", "lo"), ("hi", "hi"), ("vals", "vals"), ("lo_incl", "li"), ("hi_incl", "hx"))]
+        fields = [F.get("pred", F.lit(i))[f].alias(f"_{n}{i}") for i in range(len(clauses)) for f, n in (("lo", "lo"), ("hi", "hi"), ("vals", "vals"), ("lo_incl", "li"), ("hi_incl", "hx"))]
         sub = sub.select("unit", "repair_id", "pos", "target", F.col("value").alias("new"), *fields)
         cond = reduce(lambda x, y: x & y, [_matches(i, a, op, types[a]) for i, (a, op) in enumerate(clauses)], F.lit(True))
         hit = sub.join(named, cond).filter(~F.col(f"_r_{k['target']}").cast("string").eqNullSafe(F.col("new")))

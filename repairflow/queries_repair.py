@@ -63,9 +63,9 @@ def r_apply_eq_list(spark, sf):
     return apply_plan(catalog(spark, sf), Plan([Repair(pred, "type", "one")])).select("rec_id", "type")
 
 
-@query("select rec_id, case when price < 905.0 then null when price >= 1200.0 and price < 1300.0 then 1250.0 else price end as price from catalog_dirty", "catalog")
+@query("select rec_id, case when price < 905.0 then null when price >= 950.0 and price < 960.0 then 955.0 else price end as price from catalog_dirty", "catalog")
 def r_apply_range(spark, sf):
-    plan = Plan([Repair((cmp("price", "lt", 905.0),), "price", None), Repair((between("price", 1200.0, 1300.0, True, False),), "price", 1250.0)])
+    plan = Plan([Repair((cmp("price", "lt", 905.0),), "price", None), Repair((between("price", 950.0, 960.0, True, False),), "price", 955.0)])
     return apply_plan(catalog(spark, sf).select("rec_id", "price"), plan)
 
 
@@ -88,14 +88,14 @@ def r_apply_pipeline_order(spark, sf):
 
 def _many_repairs() -> Plan:
     rs = [Repair((eq("item", f"{a} {n}"),), "type", f"{n}-{a}") for a in ("blue", "cold", "hot", "new", "old", "red") for n in ("anvil", "bolt", "gear", "rod", "ring", "plate", "gizmo", "widget")]
-    rs += [Repair((eq("type", "rod-old"),), "noun", "changed"), Repair((eq("noun", "changed"),), "item", "new one"), Repair((cmp("price", "gt", 1500.0),), "type", "dear")]
+    rs += [Repair((eq("type", "rod-old"),), "noun", "changed"), Repair((eq("noun", "changed"),), "item", "new one"), Repair((cmp("price", "gt", 990.0),), "type", "dear")]
     return Plan(rs)
 
 
 @query(
     """with step as (select rec_id, case when split_part(item, ' ', 1) in ('blue', 'cold', 'hot', 'new', 'old', 'red') and split_part(item, ' ', 2) in ('anvil', 'bolt', 'gear', 'rod', 'ring', 'plate', 'gizmo', 'widget')
     and item = concat(split_part(item, ' ', 1), ' ', split_part(item, ' ', 2)) then concat(split_part(item, ' ', 2), '-', split_part(item, ' ', 1)) else type end as type, noun, item, price from catalog_dirty)
-    select rec_id, case when price > 1500.0 then 'dear' else type end as type, case when type = 'rod-old' then 'changed' else noun end as noun, case when type = 'rod-old' then 'new one' else item end as item from step""",
+    select rec_id, case when price > 990.0 then 'dear' else type end as type, case when type = 'rod-old' then 'changed' else noun end as noun, case when type = 'rod-old' then 'new one' else item end as item from step""",
     "catalog",
 )
 def r_layers(spark, sf):
@@ -113,10 +113,10 @@ def r_expand_keys(spark, sf):
     return pool.select(F.col("pred")[0]["lo"].cast("long").alias("rec_id"), "value")
 
 
-@query("select cast(null as varchar) as value, 'price' as attr, 'le' as op, cast(count(*) as bigint) as n from catalog_dirty where price <= 950.0", "catalog")
+@query("select cast(null as varchar) as value, 'price' as attr, 'le' as op, cast(count(*) as bigint) as n from catalog_dirty where price <= 912.5", "catalog")
 def r_generalize(spark, sf):
     df = catalog(spark, sf)
-    pool = expand_keys(Repair((cmp("price", "le", 950.0),), "price", None), df)
+    pool = expand_keys(Repair((cmp("price", "le", 912.5),), "price", None), df)
     return generalize(pool, df, ["price", "brand"]).filter("op = 'le'").select("value", "attr", "op", "n")
 
 
@@ -284,10 +284,10 @@ def o_last_good_bucketed(spark, sf):
     return last_good_bucketed(flagged, "flagged", "reading", "station", ["ts", "rec_id"], F.date_trunc("day", "ts")).select("rec_id", F.round("good", 6).alias("good"))
 
 
-@query("select rec_id, case when price < 910.0 or price > 1900.0 then null else price end as price from catalog_dirty", "catalog")
+@query("select rec_id, case when price < 910.0 or price > 985.0 then null else price end as price from catalog_dirty", "catalog")
 def o_nullify(spark, sf):
     df = catalog(spark, sf)
-    return apply_pool(df, RangeNullify(attr="price", lo=910.0, hi=1900.0).repairs(df)).select("rec_id", "price")
+    return apply_pool(df, RangeNullify(attr="price", lo=910.0, hi=985.0).repairs(df)).select("rec_id", "price")
 
 
 def split_dirty(spark, sf):
@@ -454,12 +454,12 @@ def w5_split_applied(spark, sf):
 
 def _bound(spark, sf):
     df = catalog(spark, sf)
-    return df, bind(pool_of(spark, [Repair((eq("noun", "rod"),), "noun", "bar"), Repair((cmp("price", "gt", 1500.0),), "type", "dear")]), df, ("rec_id",))
+    return df, bind(pool_of(spark, [Repair((eq("noun", "rod"),), "noun", "bar"), Repair((cmp("price", "gt", 990.0),), "type", "dear")]), df, ("rec_id",))
 
 
 @query(
     """select rec_id, 'noun' as target, 'bar' as new from catalog_dirty where noun = 'rod' union all
-    select rec_id, 'type' as target, 'dear' as new from catalog_dirty where price > 1500.0 and type is distinct from 'dear'""",
+    select rec_id, 'type' as target, 'dear' as new from catalog_dirty where price > 990.0 and type is distinct from 'dear'""",
     "catalog",
 )
 def r_bind(spark, sf):
