@@ -71,7 +71,7 @@ class ContextTrees:
             at = np.minimum(np.searchsorted(contexts[d], tail), max(len(contexts[d]) - 1, 0))
             if len(contexts[d]):
                 self.node = np.where(contexts[d][at] == tail, first[d] + at, self.node).astype(np.int32)
-        self.table = self.table.reshape(-1, len(self.langs))
+        self.table = self.table.reshape(len(self.table) * a, len(self.langs))
 
     def _windows(self, v: np.ndarray, n: int) -> np.ndarray:
         """Base-``size`` numbers of the n-symbol windows."""

@@ -61,7 +61,7 @@ def draw_shards(slots: np.ndarray, shard_slots: int, seed: int) -> np.ndarray:
             need = min(shard_slots, int(due.sum())) - int(got.sum())
         shards.append(got)
         due -= got
-    return np.array(shards, dtype=np.int64).reshape(-1, len(slots))
+    return np.array(shards, dtype=np.int64).reshape(len(shards), len(slots))
 
 
 def shuffled_index(index, size, *key, rounds: int = 4, walks: int = 64):
