@@ -184,18 +184,22 @@ class Session:
         for step in range(1, self.max_rounds + 1):
             if self.budget_s is not None and time.monotonic() - self.trace.began > self.budget_s:
                 break
-            images = written(self.images(self.hits(plans, self._patched)), "images")
-            scored = written(self.score(images, states, drifts), "scored")
+            # What only this round needs is cached; what the next one starts from is written.
+            images = self.images(self.hits(plans, self._patched)).persist()
+            scored = self.score(images, states, drifts).persist()
+            cached = [images, scored]
             n = scored.count()
             self.n_evaluated += n if self.incremental else 0
             start_cost = total
             good = scored.filter(F.col("delta") < -_EPS).join(plans, _PLAN).withColumn("utility", utility(F.col("cost") + F.col("delta"), self.utility_kind, start_cost))
             bound = good.groupBy("block").agg(F.max("utility").alias("_best"))
-            good = written(good.join(bound, "block").filter(F.col("utility") >= self.gamma * F.col("_best")).drop("_best"), "good")
+            good = good.join(bound, "block").filter(F.col("utility") >= self.gamma * F.col("_best")).drop("_best").persist()
+            cached.append(good)
             kept = good.count()
             if not kept:
                 self.trace.add(step, total, pool_size=self.pool.count(), n_evaluated=self.n_evaluated, n_pruned_bound=n)
                 idle += 1
+                _release(cached)
                 if idle >= self.patience:
                     break
                 continue
@@ -214,7 +218,8 @@ class Session:
                 singles = Window.partitionBy("block").orderBy(F.col("cost") + F.col("delta"), "plan", "unit")
                 extra = ranked.withColumn("slot", F.row_number().over(singles)).filter(F.col("slot") < self.beam).select(*_PLAN, "unit", "slot")
                 picks = picks.unionByName(extra)
-            picks = written(picks.withColumn("next", F.lit(step * 1000).cast("long") + F.col("slot")), "picks")
+            picks = picks.withColumn("next", F.lit(step * 1000).cast("long") + F.col("slot")).persist()
+            cached.append(picks)
             # The next plans' changed records: the parent's, overwritten by the picked units'.
             new = images.join(picks, [*_PLAN, "unit"]).groupBy("block", "next", "plan", "rec").agg(F.first("b").alias("b"), F.first("a").alias("a"))
             whole = new.select("block", F.col("next").alias("plan"), F.lit(0).cast("long").alias("unit"), "rec", "b", "a")
@@ -235,7 +240,8 @@ class Session:
                 drifts_new = [None if d is None else written(d, "drift") for d in self.quality.drifts(from_base)]
             else:
                 fresh = self._full_costs(patched)
-            fresh = written(fresh, "plans")
+            fresh = fresh.persist()
+            cached.append(fresh)
             if chosen is None:
                 steps = picks.select("block", F.col("next").alias("plan"), F.lit(step).alias("step"), "unit")
             else:
@@ -249,7 +255,10 @@ class Session:
                 steps = steps.unionByName(chosen.join(rest.select(*_PLAN), _PLAN, "left_semi"))
                 if drifts_new is not None and drifts is not None:
                     drifts_new = [d if d is None or o is None else d.unionByName(o.join(rest.select(*_PLAN), _PLAN, "left_semi")) for d, o in zip(drifts_new, drifts, strict=True)]
-            chosen, self._patched, drifts, plans = written(steps, "steps"), written(patched, "patched"), drifts_new, plans_new
+            if self._patched is not None:
+                patched = written(patched, "patched")
+            chosen, self._patched, drifts, plans = written(steps, "steps"), patched, drifts_new, plans_new
+            _release(cached)
             now = float(plans.groupBy("block").agg(F.min("cost").alias("c")).agg(F.sum("c")).first()[0])
             self.trace.add(step, min(now, total), pool_size=self.pool.count(), n_evaluated=self.n_evaluated, n_pruned_bound=n - kept)
             if now < total - _EPS:
@@ -281,6 +290,11 @@ class Session:
         return result
 
 
+def _release(cached: list[DataFrame]) -> None:
+    for df in cached:
+        df.unpersist()
+
+
 def catalog_dictionary(clean: DataFrame, *attrs: str) -> DataFrame:
     """The words of the clean attributes, for spell checkers."""
     parts = [clean.select(F.col(a).alias("word")).distinct() for a in attrs]

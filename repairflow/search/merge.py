@@ -10,16 +10,41 @@ from pyspark.sql import functions as F
 from ..session import written
 
 
-def pack_disjoint(ranked: DataFrame, keys: DataFrame, rounds: int = 12) -> DataFrame:
+#: Up to so many (unit, key) rows the packing is done by the driver in one pass.
+DRIVER_KEYS = 100_000
+
+
+def _pack_here(rows) -> list[tuple]:
+    """The sequential greedy choice over collected (block, plan, unit, rank, key) rows."""
+    by: dict[tuple, tuple[int, set]] = {}
+    for r in rows:
+        by.setdefault((r["block"], r["plan"], r["unit"]), (r["rank"], set()))[1].add(r["key"])
+    held: dict[tuple, set] = {}
+    taken = []
+    for cand, (_, keys) in sorted(by.items(), key=lambda x: (x[0][:2], x[1][0], x[0])):
+        mine = held.setdefault(cand[:2], set())
+        if not mine & keys:
+            mine |= keys
+            taken.append(cand)
+    return taken
+
+
+def pack_disjoint(ranked: DataFrame, keys: DataFrame, rounds: int = 12, driver_keys: int = DRIVER_KEYS) -> DataFrame:
     """The units a greedy packing by rank takes: no two share a key.
 
     ``ranked`` is (block, plan, unit, rank), ``keys`` (block, plan, unit, key).  In
     each round the units that hold the best rank of all their keys are taken and
     those that share a key with one leave; with enough rounds that is the
-    sequential greedy choice, without one task ever seeing all units.
+    sequential greedy choice, without one task ever seeing all units.  Few rows, as
+    checked, are packed by the driver, which saves the rounds' jobs.
     """
     cand = ["block", "plan", "unit"]
-    left = written(keys.join(ranked, cand).select(*cand, "key", "rank"), "pack")
+    spread = keys.join(ranked, cand).select(*cand, "key", "rank")
+    if driver_keys:
+        rows = spread.limit(driver_keys + 1).collect()
+        if len(rows) <= driver_keys:
+            return keys.sparkSession.createDataFrame(_pack_here(rows), "block long, plan long, unit long")
+    left = written(spread, "pack")
     taken = None
     for _ in range(rounds):
         best = left.groupBy("block", "plan", "key").agg(F.min("rank").alias("best"))
