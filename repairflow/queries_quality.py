@@ -14,6 +14,7 @@ from .quality.quality import Quality, prepared, with_block
 from .quality.terms import EditPenalty, EmptyStrings, FDViolations, GoldCells, MasterMismatch, ModelError, OutlierCount, OutOfDictionary, Singletons, SqlTerm, WindowAR
 from .queries_repair import GAUSS_SQL, ITEM_NOUN, ITEMS, SPELL, catalog, detector, items, series, split_dirty
 from .search.engine import Session
+from .session import written
 from .sources.fixtures import ctes
 from .sources.tables import load
 
@@ -186,7 +187,12 @@ def _scored(spark, sf, pool: DataFrame, quality: Quality) -> tuple[Session, Data
     s = Session(catalog(spark, sf), quality)
     s.add(pool)
     plans = s.rows.select("block").distinct().withColumn("plan", F.lit(0).cast("long"))
-    return s, quality.deltas(s.images(s.hits(plans, None)), quality.states(s.rows))
+    return s, quality.deltas(*_root(s, plans, quality))
+
+
+def _root(s: Session, plans: DataFrame, quality: Quality) -> tuple[DataFrame, list]:
+    """Images and states, written once as every term reads them several times."""
+    return written(s.images(s.hits(plans, None)), "images"), [None if x is None else written(x, "state") for x in quality.states(s.rows)]
 
 
 def _chase_scores(spark, sf, quality: Quality) -> DataFrame:
@@ -266,7 +272,7 @@ def q_delta_window(spark, sf):
     s = Session(df, q)
     s.add(detector(GaussOutlier, k=6, window_size=50).repairs(df))
     plans = s.rows.select("block").distinct().withColumn("plan", F.lit(0).cast("long"))
-    got = q.deltas(s.images(s.hits(plans, None)), q.states(s.rows))
+    got = q.deltas(*_root(s, plans, q))
     return got.join(s.pool.select("unit", F.col("pred")[0]["lo"].cast("long").alias("rec_id")), "unit").select("rec_id", F.round("delta", 6).alias("delta"))
 
 
