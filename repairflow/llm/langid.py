@@ -108,19 +108,25 @@ class ContextTrees:
 def fit(training: DataFrame, text_col: str = "text", lang_col: str = "lang", per_language: int = 400, order: int = 3) -> ContextTrees:
     """Grow the trees from at most ``per_language`` whole texts of each language.
 
-    The sample is the rows of least content hash, cut by a hash threshold before
-    the top rows of each language are taken, so little is sorted or collected.
+    The sample is the distinct texts of least content hash in each language, however
+    many rows hold them.  A hash threshold from the estimated number of distinct texts
+    cuts most rows first and copies meet in an aggregate, so the driver gets one row
+    for each text and few more than it keeps; a language that comes out short of texts
+    is read again with a higher threshold, so the estimate never decides the result.
     """
     rows = training.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
-    counts = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}
-    if not counts:
-        return ContextTrees({}, order)
+    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.approx_count_distinct(F.xxhash64("text"), 0.02).alias("n")).collect()}
     unit = F.pmod(F.xxhash64("text"), F.lit(1 << 40)) / float(1 << 40)
-    share = F.create_map(*[x for k, n in counts.items() for x in (F.lit(k), F.lit(min(1.0, (per_language + 6 * per_language**0.5 + 10) / n)))])
-    texts: dict[str, list[tuple[float, bytes]]] = {k: [] for k in counts}
-    for r in rows.filter(unit < share[F.col("lang")]).select("lang", "text", unit.alias("u")).toLocalIterator():
-        texts[r["lang"]].append((r["u"], r["text"].encode("utf-8", "surrogatepass")))
-    return ContextTrees({k: [x for _, x in sorted(v)[:per_language]] for k, v in texts.items()}, order)
+    shares = {k: (per_language + 6 * per_language**0.5 + 10) / max(n, 1) for k, n in counts.items()}
+    texts: dict[str, list[bytes]] = {}
+    while shares:
+        share = F.create_map(*[x for k, v in shares.items() for x in (F.lit(k), F.lit(v))])
+        found: dict[str, list[tuple[float, bytes]]] = {k: [] for k in shares}
+        for r in rows.filter(unit < share[F.col("lang")]).select("lang", "text", unit.alias("u")).distinct().toLocalIterator():
+            found[r["lang"]].append((r["u"], r["text"].encode("utf-8", "surrogatepass")))
+        texts |= {k: [x for _, x in sorted(v)[:per_language]] for k, v in found.items()}
+        shares = {k: 2 * v for k, v in shares.items() if v < 1 and len(texts[k]) < per_language}
+    return ContextTrees(texts, order)
 
 
 def identify(documents: DataFrame, trees: ContextTrees, text_col: str = "text") -> DataFrame:

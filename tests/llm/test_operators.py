@@ -444,6 +444,19 @@ def test_language_held_out(spark, medium):
     assert sum(r["lang_pred"] == langs[r["doc_id"]] for r in held) >= 0.98 * len(held)
 
 
+def test_language_sample_is_of_distinct_texts(spark, monkeypatch):
+    """Groups of copies count once: none crowds out, floods or hides the others."""
+    copies = spark.range(6_000).select(F.concat(F.lit("kopie nummer "), F.col("id") % 3).alias("text"), F.lit("de").alias("lang"))
+    single = spark.range(900).select(F.concat(F.lit("single text "), "id").alias("text"), F.lit("en").alias("lang"))
+    hot = spark.range(3_000).select(F.lit("single text 7").alias("text"), F.lit("en").alias("lang"))
+    kept = {}
+    monkeypatch.setattr(langid, "ContextTrees", lambda texts, order: kept.update(texts))
+    langid.fit(copies.unionByName(single).unionByName(hot), per_language=40)
+    assert sorted(kept["de"]) == [b"kopie nummer 0", b"kopie nummer 1", b"kopie nummer 2"]
+    least = single.orderBy(F.pmod(F.xxhash64("text"), F.lit(1 << 40))).limit(40).collect()
+    assert kept["en"] == [r["text"].encode() for r in least]
+
+
 def test_language_edges(spark, odd):
     rows = langid.identify(odd, langid.fit(odd)).collect()
     assert len(rows) == odd.count()
