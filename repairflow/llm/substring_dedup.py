@@ -3,8 +3,8 @@
 Seeds are word k-mers at the minimizers of each text.  A seed found in several
 documents ties each of them to the first one that holds it, the pivot: as many
 ties as occurrences, never all pairs.  The ties of a pair of documents are chained
-in order, best first score by a Fenwick tree of prefix maxima with gap costs, and
-what lies between the seeds of a chain is aligned word by word.  Chains of enough
+in order, best first score with gap costs by a tree of maxima over the window that a
+gap may reach, and what lies between the seeds of a chain is aligned word by word.  Chains of enough
 words at enough identity are passages; passages of a document are merged, and the
 ones over ``min_words`` are reported against the pivots they repeat.
 
@@ -31,26 +31,30 @@ SEED_WORDS, WINDOW, MIN_WORDS, PART_WORDS, IDENTITY = 6, 12, 50, 25, 0.7
 _GAP = 60
 
 
-class PrefixMax:
-    """Fenwick tree of prefix maxima of (score, index)."""
+class RangeMax:
+    """Tree of the maxima of (score, index) over ranges of places; places can be emptied."""
 
     def __init__(self, n: int):
-        self.best = [(-1e18, -1)] * (n + 1)
-
-    def put(self, i: int, score: float, index: int) -> None:
-        i += 1
-        while i < len(self.best):
-            if score > self.best[i][0]:
-                self.best[i] = (score, index)
-            i += i & -i
-
-    def upto(self, i: int) -> tuple[float, int]:
-        """Best among places < i."""
-        out = (-1e18, -1)
-        while i > 0:
-            if self.best[i][0] > out[0]:
-                out = self.best[i]
-            i -= i & -i
+        self.n = n
+        self.best = [(-1e18, -1)] * (2 * n)
+
+    def put(self, i: int, score: float = -1e18, index: int = -1) -> None:
+        best, i = self.best, i + self.n
+        best[i] = (score, index)
+        while i > 1:
+            i >>= 1
+            best[i] = max(best[2 * i], best[2 * i + 1])
+
+    def within(self, lo: int, hi: int) -> tuple[float, int]:
+        """Best among places lo <= i < hi."""
+        best, out, lo, hi = self.best, (-1e18, -1), lo + self.n, hi + self.n
+        while lo < hi:
+            if lo & 1:
+                out, lo = max(out, best[lo]), lo + 1
+            if hi & 1:
+                hi -= 1
+                out = max(out, best[hi])
+            lo, hi = lo >> 1, hi >> 1
         return out
 
 
@@ -69,29 +73,34 @@ def chains(runs: np.ndarray, gap: int = _GAP, gap_cost: float = 0.5) -> list[np.
     """Disjoint collinear chains of runs (a, b, length), best first.
 
     A run may follow another that ends before it in both texts and by at most
-    ``gap`` words; what it gains is the other's score less the words between them,
-    which a Fenwick tree over the ends in b answers while runs are taken in order
-    of their start in a.  Chains that share a run are cut where the better one has it.
+    ``gap`` words in each; what it gains is the other's score less the words between
+    them.  Runs are taken in order of their start in a: those that ended more than
+    ``gap`` words before it leave the tree, and the tree over the ends in b is asked for
+    the best of the window of ``gap`` words.  Chains that share a run are cut where the
+    better one has it.
     """
     runs = runs[np.lexsort((runs[:, 1], runs[:, 0]))]
     n = len(runs)
-    ends_b = np.unique(runs[:, 1] + runs[:, 2])
-    tree = PrefixMax(len(ends_b))
-    by_end = sorted(range(n), key=lambda i: runs[i, 0] + runs[i, 2])
-    score, back, done = [0.0] * n, [-1] * n, 0
-    for i in range(n):
-        a, b, m = (int(x) for x in runs[i])
-        while done < n and runs[by_end[done], 0] + runs[by_end[done], 2] <= a:
-            j = by_end[done]
-            end = int(runs[j, 1] + runs[j, 2])
-            tree.put(int(np.searchsorted(ends_b, end)), score[j] + gap_cost * (int(runs[j, 0] + runs[j, 2]) + end) / 2, j)
-            done += 1
-        value, j = tree.upto(int(np.searchsorted(ends_b, b, side="right")))
+    end_a, end_b = runs[:, 0] + runs[:, 2], runs[:, 1] + runs[:, 2]
+    by_a, by_b = np.argsort(end_a, kind="stable"), np.argsort(end_b, kind="stable")
+    place = np.empty(n, dtype=np.int64)
+    place[by_b] = np.arange(n)
+    lo = np.searchsorted(end_b[by_b], runs[:, 1] - gap).tolist()
+    hi = np.searchsorted(end_b[by_b], runs[:, 1], side="right").tolist()
+    old = np.searchsorted(end_a[by_a], runs[:, 0] - gap).tolist()
+    new = np.searchsorted(end_a[by_a], runs[:, 0], side="right").tolist()
+    by_a, place, worth = by_a.tolist(), place.tolist(), (gap_cost * (end_a + end_b) / 2).tolist()
+    tree, gone, done = RangeMax(n), 0, 0
+    score, back = [0.0] * n, [-1] * n
+    for i, (a, b, m) in enumerate(runs.tolist()):
+        for j in by_a[done : new[i]]:
+            tree.put(place[j], score[j] + worth[j], j)
+        for j in by_a[gone : old[i]]:
+            tree.put(place[j])
+        done, gone = new[i], old[i]
+        value, j = tree.within(lo[i], hi[i])
         gain = value - gap_cost * (a + b) / 2
-        if j >= 0 and gain > 0 and a - runs[j, 0] - runs[j, 2] <= gap and b - runs[j, 1] - runs[j, 2] <= gap:
-            score[i], back[i] = m + gain, j
-        else:
-            score[i] = m
+        score[i], back[i] = (m + gain, j) if j >= 0 and gain > 0 else (m, -1)
     used, out = [False] * n, []
     for i in sorted(range(n), key=lambda i: -score[i]):
         path = []

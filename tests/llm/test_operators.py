@@ -118,6 +118,24 @@ def test_chains_pay_gaps_and_keep_order():
     assert best == [[0, 0, 10], [12, 13, 10], [30, 30, 8]]
 
 
+def test_chains_take_the_best_run_within_the_gap():
+    """A long block further back hides no nearer run, against all pairs of runs too."""
+    pieces = np.array([[i * 13, i * 13, 12] for i in range(5)])
+    got = substring_dedup.chains(np.concatenate(([[0, 0, 1000]], pieces + [1200, 1200, 0])))
+    assert sorted(len(c) for c in got) == [1, 5]
+    rng = np.random.default_rng(5)
+    for _ in range(60):
+        n = int(rng.integers(1, 40))
+        runs = np.unique(np.stack((rng.integers(0, 300, n), rng.integers(0, 300, n), rng.integers(5, 60, n)), axis=1), axis=0)
+        best = {}
+        for a, b, m in sorted(map(tuple, runs.tolist())):
+            gains = [v - 0.5 * (a - x - k + b - y - k) / 2 for (x, y, k), v in best.items() if 0 <= a - x - k <= 60 and 0 <= b - y - k <= 60]
+            best[a, b, m] = m + max([0.0, *gains])
+        first = substring_dedup.chains(runs)[0].tolist()
+        cost = sum(0.5 * (q[0] - p[0] - p[2] + q[1] - p[1] - p[2]) / 2 for p, q in itertools.pairwise(first))
+        assert sum(r[2] for r in first) - cost == max(best.values())
+
+
 # 2 html
 
 
