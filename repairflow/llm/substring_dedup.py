@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from . import kernels as K
 from .common import NULL_ID, small_batches
 
-SEED_WORDS, WINDOW, MIN_WORDS, PART_WORDS, IDENTITY = 6, 12, 50, 25, 0.7
+SEED_WORDS, WINDOW, MIN_WORDS, PART_WORDS, IDENTITY = 5, 4, 50, 25, 0.7
 _GAP = 60
 
 
@@ -125,20 +125,24 @@ def common_words(a: np.ndarray, b: np.ndarray) -> int:
 
 
 def extend(a: np.ndarray, b: np.ndarray, i: int, j: int, step: int, slack: int = 2) -> tuple[int, int, int]:
-    """Extend an end of a chain over equal words, past at most ``slack`` unequal ones
-    in a row; returns the new ends and the words matched."""
-    good, end_i, end_j, run, bad = 0, i, j, 0, 0
-    x, y = (i, j) if step > 0 else (i - 1, j - 1)
-    while 0 <= x < len(a) and 0 <= y < len(b):
-        if a[x] == b[y]:
-            run, bad = run + 1, 0
-            good, end_i, end_j = run, (x + 1 if step > 0 else x), (y + 1 if step > 0 else y)
-        else:
-            bad += 1
-            if bad > slack:
+    """Extend an end of a chain over equal words, past at most ``slack`` unequal ones in
+    a row, or more on one side than on the other where two equal words follow; returns
+    the new ends and the words matched."""
+    at = 1 if step > 0 else 0
+    a, b = (a[i:], b[j:]) if step > 0 else (a[:i][::-1], b[:j][::-1])
+    a, b = a.tolist(), b.tolist()
+    skips = sorted(((p, q) for p in range(slack + 1) for q in range(slack + 1) if p or q), key=lambda s: (max(s), abs(s[0] - s[1])))
+    good, x, y = 0, 0, 0
+    while True:
+        while x < len(a) and y < len(b) and a[x] == b[y]:
+            good, x, y = good + 1, x + 1, y + 1
+        for p, q in skips:
+            u, v = a[x + p : x + p + 2], b[y + q : y + q + 2]
+            if u and v and u[0] == v[0] and (p == q or len(u) == 2 and u == v):
+                x, y = x + p, y + q
                 break
-        x, y = x + step, y + step
-    return end_i, end_j, good
+        else:
+            return (i + x, j + y, good) if at else (i - x, j - y, good)
 
 
 def align_chain(chain: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[int, int, int, int, int]:
@@ -167,22 +171,46 @@ def local_ties(seed: np.ndarray, node: np.ndarray, place: np.ndarray) -> tuple[n
     return seed, node, place, node[head], place[head]
 
 
+_PACKED_ROWS = pa.schema([("bucket", pa.int32()), ("tied", pa.bool_()), ("planes", pa.binary())])
 _SEED_ROWS = pa.schema([("seed", pa.int64()), ("node", pa.int64()), ("place", pa.int32()), ("a", pa.int64()), ("at", pa.int32())])
 _TIE_ROWS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("at", pa.int32()), ("place", pa.int32())])
 
 
-def seed_rows(seed_words: int, window: int, flush: int = 1 << 19):
-    """Seeds of documents, tied inside the task: one row of a seed stands for all the
-    documents of about ``flush`` seeds that hold it, the others name it as pivot."""
+def to_planes(cols: list[np.ndarray]) -> bytes:
+    """Integers as planes of equal bytes, of which the shuffle's codec leaves little."""
+    return b"".join(np.ascontiguousarray(c).view(np.uint8).reshape(len(c), c.itemsize).T.tobytes() for c in cols)
+
+
+def from_planes(data: bytes, kinds: list) -> list[np.ndarray]:
+    sizes = [np.dtype(k).itemsize for k in kinds]
+    n, raw = len(data) // sum(sizes), np.frombuffer(data, dtype=np.uint8)
+    ends = np.cumsum([0] + sizes) * n
+    return [np.ascontiguousarray(raw[lo:hi].reshape(size, n).T).view(k).ravel() for k, size, lo, hi in zip(kinds, sizes, ends[:-1], ends[1:], strict=True)]
+
+
+def seed_rows(seed_words: int, window: int, buckets: int, flush: int = 1 << 19):
+    """Seeds of documents, tied inside the task: one entry of a seed stands for all the
+    documents of about ``flush`` seeds that hold it, the others name it as pivot.
+
+    Entries go out packed by bucket: of the seed, or of the tie where there is one.
+    """
+
+    def packed(tied: bool, to: np.ndarray, cols: list[np.ndarray]):
+        bucket = (K.mix64(to.view(np.uint64)) % np.uint64(buckets)).astype(np.int32)
+        order = np.argsort(bucket, kind="stable")
+        bucket, cols = bucket[order], [c[order] for c in cols]
+        first = np.flatnonzero(np.diff(bucket, prepend=-1))
+        ends = np.append(first, len(bucket))[1:]
+        return [(int(bucket[lo]), tied, to_planes([c[lo:hi] for c in cols])) for lo, hi in zip(first, ends, strict=True)]
 
     def flat(held):
-        cols = [np.concatenate(x) for x in zip(*held, strict=True)]
-        seed, node, place, a, at = local_ties(*cols)
-        lead = np.ones(len(seed), dtype=bool)
-        lead[1:] = seed[1:] != seed[:-1]
-        keep = lead | (node != a)  # a document repeats a seed: its first place is enough
-        arrays = [pa.array(seed[keep]), pa.array(node[keep]), pa.array(place[keep]), pa.array(a[keep], mask=lead[keep]), pa.array(at[keep], mask=lead[keep])]
-        return pa.RecordBatch.from_arrays(arrays, schema=_SEED_ROWS)
+        seed, node, place, a, at = local_ties(*[np.concatenate(x) for x in zip(*held, strict=True)])
+        own = np.ones(len(seed), dtype=bool)
+        own[1:] = seed[1:] != seed[:-1]
+        tied = ~own & (node != a)  # a document repeats a seed: its first place is enough
+        out = packed(False, seed[own], [seed[own], node[own], place[own]])
+        out += packed(True, seed[tied] ^ node[tied], [node[tied], place[tied], a[tied], at[tied]])
+        return pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(_PACKED_ROWS)], schema=_PACKED_ROWS)
 
     def run(batches):
         held, n = [], 0
@@ -195,12 +223,25 @@ def seed_rows(seed_words: int, window: int, flush: int = 1 << 19):
                 if n >= flush:
                     yield flat(held)
                     held, n = [], 0
-        if held:
+        if n:
             yield flat(held)
 
     return run
 
 
+def unpack_rows(batches):
+    """Seed rows (seed, node, place, a, at) of packed ones; a tie has no need of its seed."""
+    for batch in batches:
+        tied = batch.column("tied").to_numpy(zero_copy_only=False)
+        for kind in (False, True):
+            names = ("node", "place", "a", "at") if kind else ("seed", "node", "place")
+            rows = [from_planes(x, [_SEED_ROWS.field(c).type.to_pandas_dtype() for c in names]) for x in batch.column("planes").filter(pa.array(tied == kind)).to_pylist()]
+            if rows:
+                cols = dict(zip(names, (np.concatenate(x) for x in zip(*rows, strict=True)), strict=True))
+                n = len(cols["node"])
+                yield pa.RecordBatch.from_arrays([pa.array(cols[f.name]) if f.name in cols else pa.array(np.zeros(n, np.int64)) if f.name == "seed" else pa.nulls(n, f.type) for f in _SEED_ROWS], schema=_SEED_ROWS)
+
+
 def global_ties(batches):
     """Ties of seed rows that come sorted by seed: local pivots to the first, others as named."""
     last = None  # (seed, node, place) of the run at hand
@@ -225,9 +266,9 @@ def global_ties(batches):
 
 
 def chain_rows(seed_words: int, window: int):
-    """Chains of more than one seed of each pair: (chain, a, b, lo, hi, runs) rows, one
-    for each side, so that the text of either is met once."""
-    schema = pa.schema([("doc", pa.int64()), ("chain", pa.int64()), ("pivot", pa.bool_()), ("other", pa.int64()), ("lo", pa.int32()), ("hi", pa.int32()), ("runs", pa.list_(pa.int32()))])
+    """Chains of each pair: (doc, pivot, other, x, y, lo, hi, runs) rows, one for each side,
+    so that the text of either is met once; (x, y) is where the chain starts in both."""
+    schema = pa.schema([("doc", pa.int64()), ("pivot", pa.bool_()), ("other", pa.int64()), ("x", pa.int32()), ("y", pa.int32()), ("lo", pa.int32()), ("hi", pa.int32()), ("runs", pa.list_(pa.int32()))])
 
     def run(batches):
         for batch in batches:
@@ -235,12 +276,10 @@ def chain_rows(seed_words: int, window: int):
             for a, b, xs, ys in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), batch.column("at"), batch.column("place"), strict=True):
                 runs = seed_runs(np.array(xs.values, dtype=np.int64), np.array(ys.values, dtype=np.int64), seed_words, window + seed_words)
                 for c in chains(runs):
-                    if c[:, 2].sum() <= seed_words:
-                        continue
-                    number = int(K.mix64(np.array([a ^ (b * 1_000_003) ^ int(c[0, 0]) * 8191 ^ int(c[0, 1])], dtype=np.int64).view(np.uint64)).view(np.int64)[0])
+                    around = _GAP if len(c) == 1 and c[0, 2] == seed_words else 2 * _GAP  # past a gap from a single seed another would have chained
                     for pivot, doc, other, k in ((True, a, b, 0), (False, b, a, 1)):
-                        lo = max(0, int(c[0, k]) - 2 * _GAP)
-                        out.append((doc, number, pivot, other, lo, int(c[-1, k] + c[-1, 2]) + 2 * _GAP, None if pivot else c.ravel().astype(np.int32)))
+                        lo = max(0, int(c[0, k]) - around)
+                        out.append((doc, pivot, other, int(c[0, 0]), int(c[0, 1]), lo, int(c[-1, k] + c[-1, 2]) + around, None if pivot else c.ravel().astype(np.int32)))
             yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
 
     return run
@@ -248,12 +287,12 @@ def chain_rows(seed_words: int, window: int):
 
 def cut_words(batches):
     """The words around each chain as 32-bit hashes; for the repeating side also where
-    they start and end, in code points from the start of the text."""
-    schema = pa.schema([("chain", pa.int64()), ("pivot", pa.bool_()), ("doc", pa.int64()), ("other", pa.int64()), ("lo", pa.int32()), ("runs", pa.list_(pa.int32())), ("words", pa.binary()), ("starts", pa.binary()), ("ends", pa.binary()), ("length", pa.int64())])
+    they start, as steps in code points, and their lengths."""
+    schema = pa.schema([("x", pa.int32()), ("y", pa.int32()), ("pivot", pa.bool_()), ("doc", pa.int64()), ("other", pa.int64()), ("lo", pa.int32()), ("runs", pa.list_(pa.int32())), ("words", pa.binary()), ("marks", pa.binary()), ("length", pa.int64())])
     last = None
     for batch in batches:
         out = []
-        for doc, text, chain, pivot, other, lo, hi, runs in zip(*(batch.column(c) for c in ("doc", "text", "chain", "pivot", "other", "lo", "hi", "runs")), strict=True):
+        for doc, text, x, y, pivot, other, lo, hi, runs in zip(*(batch.column(c) for c in ("doc", "text", "x", "y", "pivot", "other", "lo", "hi", "runs")), strict=True):
             if last is None or last[0] != doc.as_py() or last[1] != text:
                 data = np.frombuffer(text.as_py().encode("utf-8", "surrogatepass"), dtype=np.uint8)
                 s, e = K.word_bounds(data)
@@ -261,8 +300,8 @@ def cut_words(batches):
             _, _, words, s, e, chars = last
             i, j = lo.as_py(), hi.as_py()
             own = not pivot.as_py()
-            where = [chars[x[i:j]].astype(np.int32).tobytes() if own else None for x in (s, e)]
-            out.append((chain.as_py(), not own, doc.as_py(), other.as_py(), i, runs.values.to_numpy() if own else None, words[i:j].tobytes(), *where, len(words) if own else None))
+            marks = to_planes([np.diff(chars[s[i:j]], prepend=0).astype(np.int32), (chars[e[i:j]] - chars[s[i:j]]).astype(np.int32)]) if own else None
+            out.append((x.as_py(), y.as_py(), not own, doc.as_py(), other.as_py(), i, runs.values.to_numpy() if own else None, words[i:j].tobytes(), marks, len(words) if own else None))
         yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
 
 
@@ -278,7 +317,9 @@ def align_rows(part_words: int, identity: float):
                 a, b = np.frombuffer(r["a_words"], dtype=np.uint32), np.frombuffer(r["words"], dtype=np.uint32)
                 a0, a1, b0, b1, matched = align_chain(c, a, b)
                 if b1 - b0 >= part_words and matched >= identity * max(a1 - a0, b1 - b0):
-                    s, e = np.frombuffer(r["starts"], dtype=np.int32), np.frombuffer(r["ends"], dtype=np.int32)
+                    s, e = from_planes(r["marks"], [np.int32, np.int32])
+                    s = np.cumsum(s)
+                    e = s + e
                     out.append((r["doc"], r["other"], b0 + r["lo"], b1 + r["lo"], int(s[b0]), int(e[b1 - 1]), r["length"]))
             yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
 
@@ -304,16 +345,18 @@ def repeated_passages(
     nameless = F.lit(NULL_ID) + F.pmod(F.xxhash64(text), F.lit(1 << 52))
     docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), nameless).alias("rid"), text.alias("text"))
 
-    seeds = docs.mapInArrow(seed_rows(seed_words, window), "seed long, node long, place int, a long, at int")
-    dealt = seeds.withColumn("to", F.when(F.col("a").isNull(), F.col("seed")).otherwise(F.xxhash64("node", "seed")))
-    ties = dealt.repartition("to").drop("to").sortWithinPartitions("seed", "node", "place").mapInArrow(global_ties, "a long, b long, at int, place int")
-    pairs = ties.groupBy("a", "b").agg(F.collect_list("at").alias("at"), F.collect_list("place").alias("place")).filter(F.size("at") > 1)
-    sides = pairs.mapInArrow(chain_rows(seed_words, window), "doc long, chain long, pivot boolean, other long, lo int, hi int, runs array<int>")
+    buckets = 16 * int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
+    packed = docs.mapInArrow(seed_rows(seed_words, window, buckets), "bucket int, tied boolean, planes binary").repartition("bucket")
+    seeds = packed.mapInArrow(unpack_rows, "seed long, node long, place int, a long, at int")
+    ties = seeds.sortWithinPartitions("seed", "node", "place").mapInArrow(global_ties, "a long, b long, at int, place int")
+    pairs = ties.groupBy("a", "b").agg(F.collect_list("at").alias("at"), F.collect_list("place").alias("place"))
+    sides = pairs.mapInArrow(chain_rows(seed_words, window), "doc long, pivot boolean, other long, x int, y int, lo int, hi int, runs array<int>")
     met = sides.join(docs, sides.doc == docs.rid).drop("rid")
-    cuts = met.mapInArrow(cut_words, "chain long, pivot boolean, doc long, other long, lo int, runs array<int>, words binary, starts binary, ends binary, length long")
+    cuts = met.mapInArrow(cut_words, "x int, y int, pivot boolean, doc long, other long, lo int, runs array<int>, words binary, marks binary, length long")
+    chain = (F.when(F.col("pivot"), F.col("doc")).otherwise(F.col("other")).alias("of_a"), F.when(F.col("pivot"), F.col("other")).otherwise(F.col("doc")).alias("of_b"), "x", "y")
     one_side = F.max_by(F.when(F.col("pivot"), F.struct(F.col("lo").alias("a_lo"), F.col("words").alias("a_words"))), F.col("pivot"))
-    other_side = F.max_by(F.when(~F.col("pivot"), F.struct("doc", "other", "lo", "runs", "words", "starts", "ends", "length")), ~F.col("pivot"))
-    both = cuts.groupBy("chain").agg(one_side.alias("x"), other_side.alias("y")).filter("x is not null and y is not null").select("x.*", "y.*")
+    other_side = F.max_by(F.when(~F.col("pivot"), F.struct("doc", "other", "lo", "runs", "words", "marks", "length")), ~F.col("pivot"))
+    both = cuts.groupBy(*chain).agg(one_side.alias("one"), other_side.alias("two")).filter("one is not null and two is not null").select("one.*", "two.*")
     spans = both.mapInArrow(align_rows(part_words, identity), "doc long, other long, first long, last long, start long, stop long, n long")
     return merged_passages(spans, min_words)
 

@@ -104,6 +104,37 @@ def test_substring_dedup_finds_fuzzy_passages_and_leaves_others(spark):
     assert got[0]["n_words"] >= 85
 
 
+def test_substring_dedup_recall_by_edit_rate(spark):
+    """Passages of 60 words with substituted, inserted and deleted words are found."""
+    rng = np.random.default_rng(11)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnop"), 7))
+    fill = lambda n: [word() for _ in range(n)]
+    rows, n = [], 100
+    for rate in (0.1, 0.15, 0.2):
+        for k in range(n):
+            body = fill(60)
+            edited = [x for w in body for x in (([word()], [w, word()], [])[int(rng.choice(3, p=[0.8, 0.1, 0.1]))] if rng.random() < rate else [w])]
+            key = int(rate * 100) * 1000 + k
+            rows += [(2 * key, " ".join(fill(30) + body + fill(30))), (2 * key + 1, " ".join(fill(20) + edited + fill(40)))]
+    got = {(r["doc_id"], p) for r in substring_dedup.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string"), min_words=40).collect() for p in r["partners"]}
+    assert all(a == b + 1 and b % 2 == 0 for a, b in got)
+    recall = [sum(a // 2000 == rate for a, _ in got) / n for rate in (10, 15, 20)]
+    print("recall", recall)
+    assert recall[0] >= 0.97 and recall[1] >= 0.9 and recall[2] >= 0.75
+
+
+def test_extension_passes_inserted_words():
+    a, b = np.arange(100, dtype=np.uint32), np.insert(np.arange(100, dtype=np.uint32), [60, 70, 70], 900)
+    assert substring_dedup.extend(a, b, 50, 50, 1) == (100, 103, 50)
+    assert substring_dedup.extend(a, b, 90, 93, -1) == (0, 0, 90)
+
+
+def test_planes_round_trip():
+    cols = [np.array([1, -5, 1 << 60]), np.array([7, 0, -2], dtype=np.int32)]
+    back = substring_dedup.from_planes(substring_dedup.to_planes(cols), [np.int64, np.int32])
+    assert all((x == y).all() for x, y in zip(cols, back, strict=True))
+
+
 def test_substring_dedup_edges(spark, odd):
     got = {(r["doc_id"], tuple(r["partners"]), r["whole"]) for r in substring_dedup.repeated_passages(odd).collect()}
     assert got == {(6, (1,), False), (9, (1,), True)} or {g[0] for g in got} == {6, 9}
