@@ -194,6 +194,19 @@ def test_html_suffix_array_removes_host_boilerplate(spark):
     assert bar in got[9]
 
 
+def test_html_results_do_not_depend_on_arrays(spark):
+    """A notice on few pages of a host of several arrays is found across them."""
+    rng = np.random.default_rng(9)
+    fill = lambda n: " ".join("".join(rng.choice(list("abcdefghij"), 6)) for _ in range(n))
+    notice = fill(15)
+    rows = [(i, f"http://big.example/{i}", f"<div>{fill(30)}</div>" + (f"<div>{notice}</div>" if i % 20 == 3 else "")) for i in range(100)]
+    rows += [(100 + i, f"http://big.example/copy{i}", rows[0][2]) for i in range(4)] + [(200, "http://small.example/", f"<p>{notice}</p>"), (201, None, None)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    whole, parts = ({r["page_id"]: tuple(r) for r in html_extract.extract(pages, pages_per_array=n).collect()} for n in (1000, 8))
+    assert parts == whole and len(parts) == len(rows)
+    assert [k for k, r in parts.items() if notice in r[2]] == [200]
+
+
 def test_repeated_positions_against_brute_force():
     rng = np.random.default_rng(2)
     streams = [rng.integers(0, 3, n) for n in (40, 60, 0, 5, 80)]
