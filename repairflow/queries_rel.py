@@ -141,6 +141,26 @@ def rel_interval(spark, sf):
     return pairs.groupBy("event_id").agg(F.count("*").alias("n"))
 
 
+# The two above follow their SQL, which takes parts of the events; these take all of them.
+
+
+@query()
+def rel_asof_all(spark, sf):
+    """Each event with the value of the last one of its type before its time (of several
+    at one time, the greatest id)."""
+    e = load(spark, sf, "events").select("event_id", "event_type", "ts", "value")
+    right = e.groupBy("event_type", "ts").agg(F.max_by("value", "event_id").alias("value"))
+    return asof_join(e.drop("value"), right, ["event_type"], "ts", "ts", "value", strict=True).select("event_id", "value")
+
+
+@query()
+def rel_interval_all(spark, sf):
+    """For each event the number of its type in the five hours up to it."""
+    e = load(spark, sf, "events").select("event_id", "event_type", "ts")
+    pairs = events_within(e.withColumnRenamed("ts", "pts"), e.select(F.col("event_id").alias("other"), "event_type", F.col("ts").alias("ets")), "event_type", "pts", "ets", 5 * 3600)
+    return pairs.groupBy("event_id").agg(F.count("*").alias("n"))
+
+
 @query("select r_name, p as setting from region cross join (values (1), (2), (3)) t(p)")
 def rel_cross(spark, sf):
     return load(spark, sf, "region").select("r_name").crossJoin(F.broadcast(spark.range(1, 4).select(F.col("id").cast("int").alias("setting"))))
