@@ -29,14 +29,15 @@ def _pack_here(rows) -> list[tuple]:
     return taken
 
 
-def pack_disjoint(ranked: DataFrame, keys: DataFrame, rounds: int = 12, driver_keys: int = DRIVER_KEYS) -> DataFrame:
+def pack_disjoint(ranked: DataFrame, keys: DataFrame, rounds: int | None = None, driver_keys: int = DRIVER_KEYS) -> DataFrame:
     """The units a greedy packing by rank takes: no two share a key.
 
     ``ranked`` is (block, plan, unit, rank), ``keys`` (block, plan, unit, key).  In
     each round the units that hold the best rank of all their keys are taken and
-    those that share a key with one leave; with enough rounds that is the
+    those that share a key with one leave; when none is left that is the
     sequential greedy choice, without one task ever seeing all units.  Few rows, as
-    checked, are packed by the driver, which saves the rounds' jobs.
+    checked at the start and after each round, are packed by the driver, which saves
+    the rounds' jobs.  A limit of ``rounds`` leaves units out; there is none by default.
     """
     cand = ["block", "plan", "unit"]
     spread = keys.join(ranked, cand).select(*cand, "key", "rank")
@@ -44,9 +45,10 @@ def pack_disjoint(ranked: DataFrame, keys: DataFrame, rounds: int = 12, driver_k
         rows = spread.limit(driver_keys + 1).collect()
         if len(rows) <= driver_keys:
             return keys.sparkSession.createDataFrame(_pack_here(rows), "block long, plan long, unit long")
-    left = written(spread, "pack")
-    taken = None
-    for _ in range(rounds):
+    left = written(spread.filter("rank is not null"), "pack")
+    taken, done = None, 0
+    while rounds is None or done < rounds:
+        done += 1
         best = left.groupBy("block", "plan", "key").agg(F.min("rank").alias("best"))
         won = left.join(best, ["block", "plan", "key"]).groupBy(*cand).agg(F.min((F.col("rank") == F.col("best")).cast("int")).alias("all")).filter("all = 1").select(*cand)
         won = written(won, "pack")
@@ -56,6 +58,10 @@ def pack_disjoint(ranked: DataFrame, keys: DataFrame, rounds: int = 12, driver_k
         left = written(left.join(out, cand, "left_anti"), "pack")
         if left.isEmpty():
             break
+        if driver_keys:
+            rows = left.limit(driver_keys + 1).collect()
+            if len(rows) <= driver_keys:
+                return taken.unionByName(keys.sparkSession.createDataFrame(_pack_here(rows), "block long, plan long, unit long"))
     return taken
 
 

@@ -123,6 +123,15 @@ def test_packing_is_the_sequential_choice(spark):
         assert sorted(r["unit"] for r in pack_disjoint(ranked, rows, rounds=30, driver_keys=driver_keys).collect()) == taken
 
 
+def test_packing_ends_long_chains(spark):
+    """Units in a chain of shared keys, one decided a round: every other one is taken."""
+    n = 32
+    ranked = spark.createDataFrame([(0, 0, u, u) for u in range(n)], "block long, plan long, unit long, rank long")
+    keys = spark.createDataFrame([(0, 0, u, k) for u in range(n) for k in (u, u + 1)], "block long, plan long, unit long, key long")
+    for driver_keys in (0, 40):
+        assert sorted(r["unit"] for r in pack_disjoint(ranked, keys, driver_keys=driver_keys).collect()) == list(range(0, n, 2))
+
+
 def test_exact_merge_never_loses():
     gain = {1: 5, 2: 3, 3: 4}
     touched = {1: frozenset("a"), 2: frozenset("b"), 3: frozenset("a")}
