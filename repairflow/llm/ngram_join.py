@@ -1,10 +1,10 @@
-"""N-gram Jaccard self-join of documents by a MinHash LSH forest.
+"""N-gram Jaccard self-join of documents by MinHash LSH banding.
 
-The forest holds ``trees`` tries; in each, a document is the path of ``depth_max``
-MinHash labels.  A match is a common prefix, and prefixes are shortened from the
-full path down to the longest length whose recall at the threshold reaches the
-target.  Documents that share such a prefix in any trie form candidate groups;
-each group's shingle sets are then compared exactly, every pair of them, in
+Each of ``trees`` bands has up to ``depth_max`` MinHash labels.  A match is a common
+prefix of one length for all documents, the longest whose recall at the threshold
+reaches the target; this stands in for a forest of tries, where prefixes would be
+shortened by document.  Documents that share a prefix in any band form candidate
+groups; each group's shingle sets are then compared exactly, every pair of them, in
 tasks of bounded size.
 
 Defined results: a null or empty text (no word) has class = its own id and no
