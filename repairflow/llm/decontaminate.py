@@ -27,6 +27,8 @@ from .common import small_batches
 
 MATCH, MISMATCH, GAP = 2, -1, -1
 _BLOCK = 20_000
+#: A passage that scores as so many equal words is found, however long its item.
+EXCERPT_WORDS = 50
 
 
 def smith_waterman(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
@@ -123,7 +125,19 @@ class ItemIndex:
                 score, s, e = smith_waterman(item, words[lo : min(b, lo + 50 * len(item) + 1000 + 2 * len(item))])
                 best = max(best, (score, s + lo, e + lo), key=lambda x: x[0])
         share = best[0] / (MATCH * len(item))
-        return [(self.ids[k], float(share), best[1], best[2])] if share >= self.threshold else []
+        return [(self.ids[k], float(share), best[1], best[2])] if share >= self.threshold or best[0] >= MATCH * EXCERPT_WORDS else []
+
+
+def frequent_words(items: DataFrame, n: int) -> set[int]:
+    """Hashes of the ``n`` most frequent words of all items, whatever their blocks."""
+
+    def run(batches):
+        for batch in batches:
+            words = [K.text_words(t.as_py()).view(np.int64) for t in batch.column(0)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*words, np.zeros(0, np.int64)]))], ["word"])
+
+    counts = small_batches(items).select("text").mapInArrow(run, "word long").groupBy("word").count()
+    return {r["word"] % (1 << 64) for r in counts.orderBy(F.desc("count"), "word").limit(n).collect()}
 
 
 def contaminated(
@@ -142,13 +156,14 @@ def contaminated(
     docs = small_batches(documents).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     items = benchmark.select(F.col(item_col).cast("long").alias("item_id"), F.col(item_text_col).alias("text")).filter("text is not null")
     blocks = max(1, -(-items.count() // block))
+    frequent = frequent_words(items, common_words) if blocks > 1 else None
     spark = documents.sparkSession
     schema = "doc_id long, item_id long, score double, word_start long, word_end long"
     parts = None
     for b in range(blocks):
         # One block of the stated query set at a time; a block's rows are bounded.
         rows = [(r["item_id"], r["text"]) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b).collect()]
-        shared = spark.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold))
+        shared = spark.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold, frequent))
 
         def run(batches, shared=shared):
             index = shared.value
@@ -166,10 +181,11 @@ def drop_contaminated(documents: DataFrame, benchmark: DataFrame, text_col: str
     """The documents, all columns, in which no item is found."""
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text")).filter("text is not null")
     blocks = max(1, -(-items.count() // block))
+    frequent = frequent_words(items, common_words) if blocks > 1 else None
     out = small_batches(documents)
     for b in range(blocks):
         rows = [(r["item_id"], r["text"]) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b).collect()]
-        shared = documents.sparkSession.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold))
+        shared = documents.sparkSession.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold, frequent))
 
         def run(batches, shared=shared):
             index = shared.value

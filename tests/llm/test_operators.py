@@ -410,6 +410,17 @@ def test_decontamination_catches_edited_passages(spark):
     assert {(r["doc_id"], r["item_id"]) for r in blocks.collect()} == got
 
 
+def test_decontamination_finds_long_excerpts_and_counts_words_once(spark):
+    item = [f"i{k}" for k in range(250)]
+    rows = [(1, "some words before " + " ".join(item[60:160]) + " and after"), (2, " ".join(item[:30]) + " and other words")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    items = spark.createDataFrame([(7, " ".join(item)), (8, "the the the x y"), (9, "of of of x z")], "item_id long, text string")
+    for block in (20_000, 1):
+        assert [(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(docs, items, block=block).collect()] == [(1, 7)]
+        assert [r["doc_id"] for r in decontaminate.drop_contaminated(docs, items, block=block).collect()] == [2]
+    assert decontaminate.frequent_words(items, 2) == {int(kernels.text_words(w)[0]) for w in ("the", "of")}
+
+
 def test_decontamination_whole_table(spark, docs, texts, small):
     items = {r["item_id"]: r["text"] for r in table(spark, small, "benchmark").collect()}
     inside = {(d, i) for d, t in texts.items() for i, x in items.items() if x in t}
