@@ -6,15 +6,16 @@ seen there is coded by an escape and then by the parent node, down to uniform
 bytes.  Node code lengths are tabulated once, so the exact code length of a text
 under all languages is two array reads a byte.
 
-Defined results: ``und`` with score 0 for a null text or one without a letter;
-rows whose training language is null are not learnt from; with no training rows
-every text is ``und``.
+Defined results: ``und`` with score 0 for a null text or one without a letter (a
+character that Unicode calls one: no digit, fraction or superscript); rows whose
+training language is null are not learnt from; with no training rows, or an empty
+table of them, every text is ``und``; of languages with equal code lengths the first
+by name; repeated rows are predicted alike and learnt from once; texts of any length
+are coded whole, in pieces.
 """
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -24,7 +25,6 @@ from pyspark.sql import types as T
 from .common import small_batches
 
 UNDETERMINED = "und"
-_LETTER = re.compile(r"[^\W\d_]")
 _PIECE = 1 << 18
 
 
@@ -47,30 +47,25 @@ class ContextTrees:
         first = np.cumsum([0] + [len(c) for c in contexts])
         self.table = np.zeros((first[-1], a, len(self.langs)), dtype=np.float32)
         for j, lang in enumerate(self.langs):
-            v = coded[lang]
             for d, ctx in enumerate(contexts):
-                w = self._windows(v, d + 1)
-                row, sym = np.searchsorted(ctx, w // a), w % a
-                counts = np.bincount(row * a + sym, minlength=len(ctx) * a).reshape(len(ctx), a).astype(np.float64)
-                total, distinct = counts.sum(1, keepdims=True), (counts > 0).sum(1, keepdims=True)
+                pairs, counts = np.unique(self._windows(coded[lang], d + 1), return_counts=True)
+                row, sym = np.searchsorted(ctx, pairs // a), pairs % a
+                total, distinct = np.bincount(row, counts, len(ctx)), np.bincount(row, minlength=len(ctx))
                 if d:
                     shorter = contexts[d - 1]
-                    parent = first[d - 1] + np.searchsorted(shorter, ctx % (a ** (d - 1)))
-                    base = self.table[parent, :, j].astype(np.float64)
+                    base = self.table[first[d - 1] + np.searchsorted(shorter, ctx % (a ** (d - 1))), :, j]
                 else:
-                    base = np.full((1, a), 8.0)
+                    base = np.full((1, a), 8.0, dtype=np.float32)
                 with np.errstate(divide="ignore", invalid="ignore"):
                     escape = np.where(total > 0, -np.log2(distinct / (total + distinct)), 0.0)
-                    hit = -np.log2(counts / (total + distinct))
-                self.table[first[d] : first[d + 1], :, j] = np.where(counts > 0, hit, escape + base)
-        # The deepest node of any three coded bytes.
-        self.node = np.zeros(a**self.order, dtype=np.int32)
-        every = np.arange(a**self.order)
+                base += escape.astype(np.float32)[:, None]
+                base[row, sym] = -np.log2(counts / (total + distinct)[row])
+                self.table[first[d] : first[d + 1], :, j] = base
+        # The deepest node of any ``order`` coded bytes, a byte further back at a time.
+        self.node = np.zeros(1, dtype=np.int32)
         for d in range(1, self.order + 1):
-            tail = every % a**d
-            at = np.minimum(np.searchsorted(contexts[d], tail), max(len(contexts[d]) - 1, 0))
-            if len(contexts[d]):
-                self.node = np.where(contexts[d][at] == tail, first[d] + at, self.node).astype(np.int32)
+            self.node = np.tile(self.node, a)
+            self.node[contexts[d]] = first[d] + np.arange(len(contexts[d]))
         self.table = self.table.reshape(len(self.table) * a, len(self.langs))
 
     def _windows(self, v: np.ndarray, n: int) -> np.ndarray:
@@ -97,7 +92,7 @@ class ContextTrees:
 
     def predict(self, text: str | None) -> tuple[str, float, float]:
         """(language, score in [0, 1], bits a byte under it)."""
-        if not text or not self.langs or not _LETTER.search(text):
+        if not text or not self.langs or not any(map(str.isalpha, text)):
             return UNDETERMINED, 0.0, 0.0
         bits = self.code_lengths(text)
         best = int(np.argmin(bits))

@@ -8,7 +8,9 @@ is projected, and its exact cosines with all of them are computed block by block
 The score is the vote of the nearest neighbours weighted by similarity.
 
 Defined results: a text without words scores 0; rows without a label are not
-learnt from; with no labelled rows every score is 0.5.
+learnt from; with no labelled rows, or an empty table of them, every score is 0.5;
+repeated rows score alike, each labelled one is learnt from; of neighbours of equal
+similarity at the edge any may vote; texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -127,19 +129,26 @@ class NeighbourVote:
 
 
 def fit(documents: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", per_class: int = PER_CLASS, **options) -> NeighbourVote:
-    """Learn from at most ``per_class`` labelled documents a class, those of least id hash."""
+    """Learn from at most ``per_class`` labelled documents a class, those of least id hash.
+
+    Only labels of the given documents count, in the sample, its shares and the votes'
+    weights: what other rows of ``labels`` say changes no score.
+    """
     marks = labels.filter(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(label_col).cast("int").alias("label"))
-    counts = {r["label"]: r["count"] for r in marks.groupBy("label").count().collect()}
+    ids = documents.select(F.col(id_col).alias("id"))
+    known = ids.join(marks, "id")
+    counts = {r["label"]: r["count"] for r in known.groupBy("label").count().collect()}
     if not counts:
         return NeighbourVote([], [], [], **options)
     unit = F.pmod(F.xxhash64("id"), F.lit(1 << 40)) / float(1 << 40)
     share = F.create_map(*[x for k, n in counts.items() for x in (F.lit(k), F.lit(min(1.0, (per_class + 6 * per_class**0.5) / n)))])
-    few = marks.filter(unit < share[F.col("label")]).withColumn("u", unit)  # bounded by per_class
-    rows = documents.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(few), "id").collect()
-    by: dict[int, list] = {}
-    for r in sorted(rows, key=lambda r: (r["u"], r["id"], r["text"] or "")):
-        by.setdefault(r["label"], []).append(r["text"])
-    used = [(t, k, counts[k] / min(len(v), per_class)) for k, v in sorted(by.items()) for t in v[:per_class]]
+    few = known.filter(unit < share[F.col("label")]).select("id", "label", unit.alias("u")).distinct()  # bounded by per_class
+    texts = documents.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(few), "id")
+    by = {}
+    for k in sorted(counts):
+        rows = texts.filter(F.col("label") == k).orderBy("u", "id", F.xxhash64("text")).limit(per_class).collect()
+        by[k] = [r["text"] for r in sorted(rows, key=lambda r: (r["u"], r["id"], r["text"] or ""))]
+    used = [(t, k, counts[k] / len(v)) for k, v in sorted(by.items()) for t in v]
     return NeighbourVote([u[0] for u in used], [u[1] for u in used], [u[2] for u in used], **options)
 
 
