@@ -17,9 +17,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; one of our own only where it is unset."""
+    """The folder of spark.checkpoint.dir.
+
+    Where it is unset, a local session (as in tests) gets a folder of its own; on a
+    cluster a folder of one machine would be seen by no other, so that is an error.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="repairflow-")
         spark.conf.set("spark.checkpoint.dir", base)
     return base.rstrip("/")
@@ -47,6 +54,22 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: A key with more than this share of the rows is hot; so there are at most as many hot keys.
+HOT_SHARE = 512
+
+
+def join_unique(rows: DataFrame, to: DataFrame, key: str, total: int, count: str, how: str = "inner") -> DataFrame:
+    """Join rows with a table of one row a key, hot keys of ``rows`` by broadcast.
+
+    ``to`` has in column ``count`` how many of the ``total`` rows hold its key: at most
+    ``HOT_SHARE`` keys can have over a ``HOT_SHARE``-th of them, which bounds what is sent.
+    """
+    hot = F.broadcast(to.filter(F.col(count) * HOT_SHARE > total).withColumn("_hot", F.lit(True)))
+    cold = to.filter(F.col(count) * HOT_SHARE <= total)
+    marked = rows.join(F.broadcast(hot.select(key, "_hot")), key, "left")
+    return rows.join(hot, key).drop("_hot").unionByName(marked.filter("_hot is null").drop("_hot").join(cold, key, how))
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Components of an undirected graph given as (u long, v long) rows.
 
@@ -54,28 +77,28 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     local minimum until the edges are stars; each round is a grouped minimum
     and an equi-join, written to the shared folder.  Returns (node, comp) for
     every node that has an edge, comp being the least node of its component.
+    Raises if the edges are not stars after ``max_rounds``, which double the reach.
     """
-
-    def least(nbr: DataFrame) -> DataFrame:
-        return nbr.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("m"))
-
-    stars = materialize(edges.filter("u <> v").select("u", "v").distinct(), "cc")
-    seen = None
-    for _ in range(max_rounds):
+    stars = materialize(edges.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "cc")
+    n, seen = stars.count(), None
+    for _ in range(max_rounds if n else 0):
         both = stars.unionByName(stars.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = both.join(least(both), "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
-        down = large.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
+        least = both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("m"), F.count("*").alias("n"))
+        large = join_unique(both.filter("v > u"), least, "u", 2 * n, "n").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        down = large.distinct()
         low = down.groupBy("u").agg(F.min("v").alias("m"))
-        small = (
-            down.join(low, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).filter("u <> v").distinct()
-        )
-        stars = materialize(small, "cc")
-        now = stars.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long"))).first()
+        small = down.join(low, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
+        stars = materialize(small.filter("u <> v").distinct(), "cc")
+        now = stars.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
+        n = now[0]
         if tuple(now) == seen:
             break
         seen = tuple(now)
+    else:
+        if n:
+            raise RuntimeError(f"components not closed after {max_rounds} rounds")
     comp = stars.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("comp"))
-    return comp.unionByName(stars.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct().join(comp.select("node"), "node", "left_anti"))
+    return comp.unionByName(stars.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct())
 
 
 def text_hash_unit(*cols) -> "F.Column":

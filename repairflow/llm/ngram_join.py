@@ -1,16 +1,21 @@
-"""N-gram Jaccard self-join of documents by MinHash LSH banding.
+"""N-gram Jaccard self-join of documents by a MinHash LSH forest.
 
-Each of ``trees`` bands has up to ``depth_max`` MinHash labels.  A match is a common
-prefix of one length for all documents, the longest whose recall at the threshold
-reaches the target; this stands in for a forest of tries, where prefixes would be
-shortened by document.  Documents that share a prefix in any band form candidate
-groups; each group's shingle sets are then compared exactly, every pair of them, in
-tasks of bounded size.
+Each of ``trees`` tries orders the documents by a path of MinHash labels.  Documents
+match in a trie where their paths share a prefix; the prefix starts at the greatest
+depth that is expected to reach the target recall at the threshold and is shortened,
+label by label, while the recall measured on the verified links is below the target.
+Nodes of the tries that hold the same documents are one node.
+
+Every two documents of a node are compared exactly, in tasks of bounded size and
+without writing pairs.  Documents that nodes connect are compared as one group where
+that is no more work than to compare node by node; otherwise (chains of candidates
+that are not similar) each node is a group, and a pair counts in the first trie where
+it meets.  Only verified links make classes.
 
 Defined results: a null or empty text (no word) has class = its own id and no
 link; texts of one to four words are one shingle; documents with equal shingle
 sets are linked to each other and counted through one representative; repeated
-rows count as separate documents; null ids stay null.
+rows count as separate documents; null ids stay null; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -23,21 +28,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import NULL_ID, connected_components, materialize, small_batches
+from .common import HOT_SHARE, NULL_ID, connected_components, join_unique, materialize, small_batches
 
 _CHUNK = 1024
 
 
-def matched_depth(threshold: float, trees: int, depth_max: int, target: float) -> int:
-    """Longest common prefix whose recall at ``threshold`` meets ``target``.
+def expected_recall(similarity, trees: int, depth: int):
+    """Chance that two sets meet: they agree on ``depth`` labels of some of the tries."""
+    return 1 - (1 - similarity**depth) ** trees
 
-    A pair of similarity s agrees on d labels of one trie with probability s**d,
-    so on some of the tries with 1-(1-s**d)**trees; d shrinks until that is met.
-    """
-    depth = depth_max
-    while depth > 1 and 1 - (1 - threshold**depth) ** trees < target:
-        depth -= 1
-    return depth
+
+def first_depth(threshold: float, trees: int, depth_max: int, target: float) -> int:
+    """Greatest depth whose expected recall at the threshold meets the target."""
+    return next((d for d in range(depth_max, 1, -1) if expected_recall(threshold, trees, d) >= target), 1)
 
 
 def _hash_family(k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -58,39 +61,40 @@ def _set_key(s: np.ndarray) -> bytes:
     return hashlib.blake2b(s.tobytes(), digest_size=16).digest()
 
 
-def _node(key: bytes) -> int:
-    return int.from_bytes(key[:8], "little", signed=True)
-
-
 def signatures(docs: DataFrame, shingle: int, width: int) -> DataFrame:
-    """(rid, key, n, sig): the shingle set's identity, size and MinHash labels."""
+    """(rid, mark, key, n, sig): the shingle set's identity, size and MinHash labels."""
 
     def run(batches):
         a, b = _hash_family(width)
         for batch in batches:
             keys, sizes, sigs = [], [], []
-            for text in batch.column(1):
+            for text in batch.column("text"):
                 s = K.shingle_set(K.text_words(text.as_py()), shingle)
                 keys.append(_set_key(s))
                 sizes.append(len(s))
                 sigs.append(minhash(s, a, b).view(np.int32) if len(s) else None)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(keys, pa.binary()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int32()))], ["rid", "key", "n", "sig"]
-            )
+            cols = [batch.column("rid"), batch.column("mark"), pa.array(keys, pa.binary()), pa.array(sizes, pa.int64()), pa.array(sigs, pa.list_(pa.int32()))]
+            yield pa.RecordBatch.from_arrays(cols, ["rid", "mark", "key", "n", "sig"])
 
-    return docs.select("rid", "text").mapInArrow(run, "rid long, key binary, n long, sig array<int>")
+    return docs.select("rid", "mark", "text").mapInArrow(run, "rid long, mark long, key binary, n long, sig array<int>")
 
 
-def forest_edges(classes: DataFrame, trees: int, depth_max: int, depth: int) -> DataFrame:
-    """(u, v): each document's link to the least document of every trie node it shares."""
-    label = [F.xxhash64(F.lit(t), F.slice("sig", t * depth_max + 1, depth)) for t in range(trees)]
-    paths = classes.select("node", F.explode(F.array(*label)).alias("prefix"))
-    root = paths.groupBy("prefix").agg(F.min("node").alias("v"), F.max("node").alias("top")).filter("v <> top").select("prefix", "v")
-    return paths.join(root, "prefix").filter("node <> v").select(F.col("node").alias("u"), "v").distinct()
+def trie_nodes(classes: DataFrame, trees: int, stride: int, depth: int) -> tuple[DataFrame, DataFrame]:
+    """The trie nodes at a depth that hold several classes, as (label, tree, held), and
+    (node, label) of the classes they hold; of nodes with the same classes only that of
+    the first trie."""
+    labels = [F.struct(F.lit(t).alias("tree"), F.xxhash64(F.lit(t), F.slice("sig", t * stride + 1, depth)).alias("label")) for t in range(trees)]
+    paths = classes.select("node", F.inline(F.array(*labels)))
+    several = paths.groupBy("label").agg(
+        F.first("tree").alias("tree"), F.count("*").alias("held"), F.min("node").alias("least"), F.bit_xor(F.xxhash64("node")).alias("one"), F.bit_xor(F.xxhash64("node", F.lit(1))).alias("two")
+    )
+    several = several.filter("held > 1").groupBy("held", "one", "two").agg(F.min(F.struct("tree", "label", "least")).alias("first"))
+    nodes = materialize(several.select("held", "first.*"), "trie-nodes")
+    return nodes, materialize(paths.join(nodes.select("label", "least"), "label").select("node", "label", "least"), "trie-paths")
 
 
-def _common_counts(sets: list[np.ndarray]):
-    """Yield (row block start, counts of common shingles of the block with all)."""
+def _common_counts(sets: list[np.ndarray]) -> np.ndarray:
+    """Counts of the shingles that each two sets have in common."""
     n = len(sets)
     owner = np.repeat(np.arange(n), [len(s) for s in sets])
     _, ids, df = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
@@ -109,20 +113,30 @@ def _common_counts(sets: list[np.ndarray]):
     return counts
 
 
-def _verify(frame, threshold: float, two_sided: bool):
-    """Links of the classes of one task: (node, links, root)."""
+def _verify(frame, threshold: float, two_sided: bool, trees: int, depth: int):
+    """Links of the classes of one task: (node, links, root, pairs, due).
+
+    ``due`` adds up, over the pairs linked, one over the chance that such a pair meets.
+    """
     import pandas as pd
 
     frame = frame.drop_duplicates("key").sort_values("node").reset_index(drop=True)
     sets = [np.frombuffer(x, dtype=np.uint64) for x in frame.shingles]
     size = np.array([len(s) for s in sets], dtype=np.float32)
     common = _common_counts(sets)
-    link = common >= threshold * (size[:, None] + size[None, :] - common) - 1e-6
+    union = size[:, None] + size[None, :] - common
+    link = common >= threshold * union - 1e-6
     np.fill_diagonal(link, False)
     if two_sided:
         side = frame.chunk.to_numpy()
         link &= side[:, None] != side[None, :]
+    tree = int(frame.tree.iloc[0])
+    if tree > 0:  # a node on its own: pairs that meet in an earlier trie count there
+        labels = np.stack(frame.labels.to_list())
+        for t in range(tree):
+            link &= labels[:, None, t] != labels[None, :, t]
     links = link.astype(np.float64) @ frame.copies.to_numpy(dtype=np.float64)
+    one_over = np.where(link, 1 / expected_recall(np.minimum(common / union, 1).astype(np.float64), trees, depth), 0.0)
     root = np.full(len(sets), -1)
     for i in range(len(sets)):
         if root[i] < 0:
@@ -131,7 +145,69 @@ def _verify(frame, threshold: float, two_sided: bool):
                 front = np.flatnonzero(link[front].any(axis=0) & (root < 0))
                 root[front] = i
     node = frame.node.to_numpy()
-    return pd.DataFrame({"node": node, "links": links.astype(np.int64), "root": node[root]})
+    return pd.DataFrame({"node": node, "links": links.astype(np.int64), "root": node[root], "pairs": link.sum(axis=1).astype(np.int64), "due": one_over.sum(axis=1)})
+
+
+def _verifier(threshold: float, trees: int, depth: int):
+    def verify(key, frame):
+        return _verify(frame, threshold, key[2] != key[3], trees, depth)
+
+    return verify
+
+
+def candidate_groups(nodes: DataFrame, paths: DataFrame) -> DataFrame:
+    """(node, unit, tree, size): the groups in which classes are compared.
+
+    A group is a whole component of trie nodes (tree -1) if it fits a task, or if its
+    pairs are no more than those of its trie nodes together; else each trie node is one.
+    """
+    comps = connected_components(paths.filter("node <> least").select(F.col("node").alias("u"), F.col("least").alias("v")).distinct())
+    comps = materialize(comps, "candidates")
+    work = nodes.join(comps, F.col("least") == F.col("node")).groupBy("comp").agg(F.sum(F.col("held") * F.col("held")).alias("by_node"))
+    sized = comps.groupBy("comp").agg(F.count("*").alias("size")).join(work, "comp").withColumn("whole", (F.col("size") <= _CHUNK) | (F.col("size") * F.col("size") <= F.col("by_node")))
+    member = comps.join(sized, "comp")
+    whole = member.filter("whole").select("node", F.col("comp").alias("unit"), F.lit(-1).alias("tree"), "size")
+    split = member.filter("not whole").select("node").join(paths, "node").join(nodes.drop("least"), "label")
+    return whole.unionByName(split.select("node", F.col("label").alias("unit"), "tree", F.col("held").alias("size")))
+
+
+def _links(documents: DataFrame, id_col: str, text_col: str, threshold: float, shingle: int, trees: int, depth_max: int, target_recall: float) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Documents as (rid, mark, key, n) rows, their classes as (key, node, rid, copies,
+    head) and what was found as (key, root, links) of the linked classes."""
+    stride = first_depth(threshold, trees, depth_max, target_recall)
+    docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.xxhash64(F.col(text_col)).alias("mark"), F.col(text_col).alias("text"))
+    sigs = materialize(signatures(docs, shingle, trees * stride), "signatures")
+    heads = sigs.filter("n > 0").groupBy("key").agg(F.min(F.struct("rid", "mark")).alias("head"), F.count("*").alias("copies"), F.first("sig").alias("sig"))
+    heads = materialize(heads.select(F.xxhash64("key").alias("node"), "key", "head", "copies", "sig"), "classes")
+
+    def to_sets(batches):
+        for batch in batches:
+            names = [c for c in batch.schema.names if c != "text"]
+            sets = [K.shingle_set(K.text_words(t.as_py()), shingle) for t in batch.column("text")]
+            keep = pa.array([i for i, (s, k) in enumerate(zip(sets, batch.column("key"), strict=True)) if _set_key(s) == k.as_py()], pa.int64())
+            part = batch.append_column("shingles", pa.array([s.tobytes() for s in sets], pa.binary())).take(keep)
+            yield part.select([*names, "shingles"])
+
+    for depth in range(stride, 0, -1):
+        nodes, paths = trie_nodes(heads.select("node", "sig"), trees, stride, depth)
+        groups = candidate_groups(nodes, paths).withColumn("chunks", F.ceil(F.col("size") / _CHUNK).cast("int"))
+        labels = F.when(F.col("tree") > 0, F.array(*[F.xxhash64(F.lit(t), F.slice("sig", t * stride + 1, depth)) for t in range(trees)]))
+        wanted = groups.join(heads, "node").select("node", "key", "copies", "unit", "tree", "chunks", labels.alias("labels"), F.col("head.rid").alias("rid"), F.col("head.mark").alias("mark"))
+        sets = wanted.join(docs, ["rid", "mark"]).select("node", "key", "copies", "unit", "tree", "chunks", "labels", "text")
+        sets = sets.mapInArrow(to_sets, "node long, key binary, copies long, unit long, tree int, chunks int, labels array<long>, shingles binary")
+        sets = sets.withColumn("chunk", F.when(F.col("chunks") > 1, F.pmod(F.xxhash64("key"), F.col("chunks"))).otherwise(0).cast("int"))
+        tasks = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+        tasks = tasks.withColumn("one", F.least("chunk", "other")).withColumn("two", F.greatest("chunk", "other"))
+
+        verify = _verifier(threshold, trees, depth)
+        found = materialize(tasks.groupBy("unit", "tree", "one", "two").applyInPandas(verify, "node long, links long, root long, pairs long, due double"), "links")
+        seen = found.agg(F.sum("pairs").alias("pairs"), F.sum("due").alias("due")).first()
+        if not seen["pairs"] or seen["pairs"] >= target_recall * seen["due"]:
+            break
+    edges = found.filter("node <> root").select(F.col("node").alias("u"), F.col("root").alias("v"))
+    roots = connected_components(edges)
+    links = found.groupBy("node").agg(F.sum("links").alias("links")).join(roots.select("node", F.col("comp").alias("root")), "node", "left")
+    return sigs, heads, links.withColumn("root", F.coalesce("root", "node"))
 
 
 def similar_documents(
@@ -149,47 +225,31 @@ def similar_documents(
     class_id is the least id of the connected documents (Jaccard of distinct
     word shingles >= threshold), n_links the number of other documents linked.
     """
-    depth = matched_depth(threshold, trees, depth_max, target_recall)
-    docs = small_batches(documents).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.col(text_col).alias("text"))
-    sigs = materialize(signatures(docs, shingle, trees * depth_max).withColumn("node", F.xxhash64("key")), "signatures")
-
-    classes = sigs.filter("n > 0").groupBy("key", "node").agg(F.min("rid").alias("rid"), F.count("*").alias("copies"), F.first("sig").alias("sig"))
-    comps = connected_components(forest_edges(classes, trees, depth_max, depth))
-    sized = comps.join(comps.groupBy("comp").agg(F.count("*").alias("size")), "comp")
-    heads = sigs.filter("n > 0").groupBy("key", "node").agg(F.min("rid").alias("rid"), F.count("*").alias("copies"))
-    wanted = heads.join(sized, "node").withColumn("chunks", F.ceil(F.col("size") / _CHUNK).cast("int"))
+    sigs, heads, links = _links(documents, id_col, text_col, threshold, shingle, trees, depth_max, target_recall)
+    linked = heads.select("node", F.col("head.rid").alias("rid"), "copies").join(links, "node")
+    named = linked.join(linked.groupBy("root").agg(F.min("rid").alias("class_id")), "root").select("node", "class_id", "links")
+    per_class = heads.join(named, "node", "left").select(
+        "key", "copies", F.coalesce("class_id", "head.rid").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")
+    )
+    back = lambda c: F.when(F.col(c) != NULL_ID, F.col(c))
+    rows = sigs.select("rid", F.when(F.col("n") > 0, F.col("key")).alias("key"))
+    none = rows.filter("key is null").select("rid", F.col("rid").alias("class_id"), F.lit(0).cast("long").alias("n_links"))
+    some = join_unique(rows.filter("key is not null"), per_class, "key", max(sigs.count(), HOT_SHARE), "copies")
+    out = some.select("rid", "class_id", "n_links").unionByName(none)
+    return out.select(back("rid").alias("doc_id"), back("class_id").alias("class_id"), F.col("n_links").cast("long").alias("n_links"))
 
-    def to_sets(batches):
-        for batch in batches:
-            names = batch.schema.names
-            keep, shingles = [], []
-            for i, (text, key) in enumerate(zip(batch.column("text"), batch.column("key"), strict=True)):
-                s = K.shingle_set(K.text_words(text.as_py()), shingle)
-                if _set_key(s) == key.as_py():
-                    keep.append(i)
-                    shingles.append(s.tobytes())
-            part = batch.take(pa.array(keep, pa.int64())).select([c for c in names if c != "text"])
-            yield pa.RecordBatch.from_arrays([*part.columns, pa.array(shingles, pa.binary())], [*part.schema.names, "shingles"])
-
-    joined = wanted.join(docs, "rid").select("node", "key", "copies", "comp", "chunks", "text")
-    sets = joined.mapInArrow(to_sets, "node long, key binary, copies long, comp long, chunks int, shingles binary")
-    sets = sets.withColumn("chunk", F.when(F.col("chunks") > 1, F.pmod(F.xxhash64("key"), F.col("chunks"))).otherwise(0).cast("int"))
-    tasks = sets.withColumn("other", F.explode(F.when(F.col("chunks") > 1, F.sequence(F.lit(0), F.col("chunks") - 1)).otherwise(F.array(F.lit(0)))))
-    tasks = tasks.withColumn("one", F.least("chunk", "other")).withColumn("two", F.greatest("chunk", "other"))
 
-    def verify(key, frame):
-        return _verify(frame, threshold, key[1] != key[2])
+def distinct_documents(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.8, shingle: int = 5, trees: int = 20, depth_max: int = 8, target_recall: float = 0.999) -> DataFrame:
+    """One document, all columns, of each group of similar ones: the one of least id, of
+    equal ids that of least text hash, null ids being least.
 
-    found = materialize(tasks.groupBy("comp", "one", "two").applyInPandas(lambda k, f: verify(k, f), "node long, links long, root long"), "links")
-    links = found.groupBy("node").agg(F.sum("links").alias("links"))
-    edges = found.filter("node <> root").select(F.col("node").alias("u"), F.col("root").alias("v"))
-    if comps.groupBy("comp").count().filter(F.col("count") > _CHUNK).limit(1).count():
-        roots = connected_components(edges).select("node", F.col("comp").alias("root"))
-    else:
-        roots = edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
-    linked = heads.join(links, "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    named = linked.join(linked.groupBy("root").agg(F.min("rid").alias("class_id")), "root").select("key", "class_id", "links")
-    per_class = heads.join(named, "key", "left").select("key", F.coalesce("class_id", "rid").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    back = lambda c: F.when(F.col(c) != NULL_ID, F.col(c))
-    rows = sigs.select("rid", F.when(F.col("n") > 0, F.col("key")).alias("key")).join(per_class, "key", "left")
-    return rows.select(back("rid").alias("doc_id"), F.coalesce(back("class_id"), back("rid")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    Documents without a word are similar to none and stay, all rows of them; rows that
+    repeat an id with another text are other documents.
+    """
+    _, heads, links = _links(documents, id_col, text_col, threshold, shingle, trees, depth_max, target_recall)
+    grouped = heads.select("node", "head").join(links.select("node", "root"), "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("head").alias("head"))
+    kept = grouped.select(F.col("head.rid").alias("_rid"), F.col("head.mark").alias("_mark"))
+    rows = documents.withColumn("_rid", F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID))).withColumn("_mark", F.xxhash64(F.col(text_col)))
+    worded = F.coalesce(F.col(text_col).rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    some = rows.filter(worded).join(kept, ["_rid", "_mark"], "left_semi").dropDuplicates(["_rid", "_mark"])
+    return some.unionByName(rows.filter(~worded)).select(*[F.col(f"`{c}`") for c in documents.columns])

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from repairflow.llm import decontaminate, fingerprints, html_extract, kernels, langid, mixing, ngram_join, quality, queries, secrets, substring_dedup, token_output
-from repairflow.llm.common import scratch_path, table
+from repairflow.llm.common import connected_components, scratch_path, table
 
 
 @pytest.fixture(scope="module")
@@ -333,6 +333,30 @@ def test_quality_held_out(spark, medium):
     assert sum(r["predicted"] == labels[r["doc_id"]] for r in held) >= 0.93 * len(held)
 
 
+def test_held_out_labels_change_no_score(spark, small):
+    docs = table(spark, small, "documents").select("doc_id", "text").withColumn("held_out", langid.held_out("doc_id", 4, 2))
+    labels = table(spark, small, "labels").select("doc_id", "quality")
+    other = labels.withColumn("quality", F.when(langid.held_out("doc_id", 4, 2), 0).otherwise(F.col("quality")))
+    more = other.unionByName(spark.range(10**9, 10**9 + 500).select(F.col("id").alias("doc_id"), F.lit(1).alias("quality")))
+    one, two = ({r["doc_id"]: r["score"] for r in quality.classify(docs, quality.fit(docs.filter("not held_out"), x)).collect()} for x in (labels, more))
+    assert one == two
+
+
+def test_quality_votes_against_brute_force(spark):
+    """Scores are votes of the nearest labelled vectors by exact cosine."""
+    rng = np.random.default_rng(6)
+    words = ["alpha", "beta", "12", "x!", "GAMMA", "d-e", "word", "\u00e9t\u00e9"]
+    texts = [" ".join(rng.choice(words, int(rng.integers(3, 60)))) for _ in range(150)]
+    model = quality.NeighbourVote(texts[:100], [int(x) for x in rng.integers(0, 2, 100)], [1.0] * 50 + [2.0] * 50)
+    got = model.score(texts, block=7)
+    for text, score in zip(texts, got, strict=True):
+        v = model._dense(*quality.term_weights(text)) @ model.basis
+        cosine = [float(v @ w) / float(np.linalg.norm(v)) for w in model.vectors]
+        near = sorted(range(100), key=lambda i: -cosine[i])[: model.neighbours]
+        vote = [np.exp(model.sharpness * (cosine[i] - cosine[near[0]])) * model.weights[i] for i in near]
+        assert score == pytest.approx(sum(v * model.labels[i] for v, i in zip(vote, near, strict=True)) / sum(vote), abs=1e-3)
+
+
 def test_quality_edges(spark, odd):
     labels = spark.createDataFrame([(1, 1), (4, 0), (5, 1), (8, 0), (2, None), (None, 1)], "doc_id long, quality int")
     got = quality.classify(odd, quality.fit(odd, labels)).collect()
@@ -362,8 +386,69 @@ def test_join_classes_and_chunks(spark, monkeypatch):
 
 
 def test_forest_depth_meets_recall():
-    d = ngram_join.matched_depth(0.8, 20, 8, 0.999)
-    assert 1 - (1 - 0.8**d) ** 20 >= 0.999 > 1 - (1 - 0.8 ** (d + 1)) ** 20
+    d = ngram_join.first_depth(0.8, 20, 8, 0.999)
+    assert ngram_join.expected_recall(0.8, 20, d) >= 0.999 > ngram_join.expected_recall(0.8, 20, d + 1)
+
+
+def test_forest_shortens_prefixes_until_the_measured_recall(spark, monkeypatch):
+    """From a depth that is too great the prefixes are shortened, and no link is lost."""
+    rng = np.random.default_rng(4)
+    rows = []
+    for g in range(60):
+        base = [f"g{g}w{i}" for i in range(150)]
+        for c in range(3):
+            words = list(base)
+            for i in rng.choice(150, 2, replace=False):
+                words[i] = f"x{g}c{c}i{i}"
+            rows.append((3 * g + c, " ".join(words)))
+    depths = []
+    monkeypatch.setattr(ngram_join, "first_depth", lambda *a: 8)
+    nodes = ngram_join.trie_nodes
+    monkeypatch.setattr(ngram_join, "trie_nodes", lambda c, trees, stride, depth: depths.append(depth) or nodes(c, trees, stride, depth))
+    got = {r["doc_id"]: r["n_links"] for r in ngram_join.similar_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    links = brute_links(dict(rows))
+    assert len(depths) > 1 and depths[0] == 8 and got == {k: links[k] for k, _ in rows}
+
+
+def test_chains_of_candidates_are_compared_by_trie_node(spark, monkeypatch):
+    """Documents that chain without being similar form no class, and cost no square."""
+    monkeypatch.setattr(ngram_join, "_CHUNK", 8)
+    rows = [(i, " ".join(f"w{j}" for j in range(i * 12, i * 12 + 50))) for i in range(120)]
+    rows += [(1000 + i, rows[i][1] + " end") for i in range(0, 120, 7)] + [(2000 + i, " ".join([f"n{j}" for j in range(200)] + [f"e{i}"])) for i in range(20)]
+    seen = []
+    groups = ngram_join.candidate_groups
+    monkeypatch.setattr(ngram_join, "candidate_groups", lambda n, p: seen.append(groups(n, p)) or seen[-1])
+    got = {r["doc_id"]: r for r in ngram_join.similar_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    links = brute_links(dict(rows))
+    assert {k: r["n_links"] for k, r in got.items()} == {k: links[k] for k, _ in rows}
+    assert {r["class_id"] for k, r in got.items() if 2000 <= k} == {2000} and got[1000]["class_id"] == 0 and got[1]["class_id"] == 1
+    assert {r["tree"] == -1 for r in seen[0].select("tree").distinct().collect()} == {True, False}
+
+
+def test_components_against_brute_force(spark):
+    rng = np.random.default_rng(8)
+    edges = [(int(a), int(b)) for a, b in rng.integers(0, 400, (300, 2))] + [(500 + i, 501 + i) for i in range(60)] + [(1000, 1001 + i) for i in range(300)]
+    parent = {}
+
+    def find(x):
+        while parent.setdefault(x, x) != x:
+            x = parent[x]
+        return x
+
+    for a, b in edges:
+        a, b = sorted((find(a), find(b)))
+        parent[b] = a
+    got = {r["node"]: r["comp"] for r in connected_components(spark.createDataFrame(edges, "u long, v long")).collect()}
+    assert got == {x: find(x) for a, b in edges if a != b for x in (a, b)}
+
+
+def test_distinct_documents_keep_one_of_each_group(spark, odd):
+    near = " ".join(f"w{i}" for i in range(100))
+    rows = [(1, "one text of an id"), (1, "quite another text of it"), (2, near), (2, near), (3, near + " more"), (None, near + " less"), (None, "no name here at all"), (4, ""), (4, "")]
+    got = ngram_join.distinct_documents(spark.createDataFrame(rows, "doc_id long, text string").withColumn("key", F.lit("clash")))
+    kept = collections.Counter((r["doc_id"], r["text"]) for r in got.collect())
+    assert kept == collections.Counter([rows[0], rows[1], rows[5], rows[6], rows[7], rows[8]]) and got.columns == ["doc_id", "text", "key"]
+    assert ngram_join.distinct_documents(odd.limit(0)).count() == 0 and ngram_join.distinct_documents(odd).columns == odd.columns
 
 
 def test_join_edges(spark, odd):
@@ -530,6 +615,11 @@ def test_language_sample_is_of_distinct_texts(spark, monkeypatch):
     assert kept["en"] == [r["text"].encode() for r in least]
 
 
+def test_letters_are_letters():
+    trees = langid.ContextTrees({"a": [b"some text"]})
+    assert [trees.predict(t)[0] for t in ("\u00b2\u00bd", "12 _ \u2460", None, "", "x", "\u00e9", "1\u4e2d")] == ["und"] * 4 + ["a"] * 3
+
+
 def test_language_edges(spark, odd):
     rows = langid.identify(odd, langid.fit(odd)).collect()
     assert len(rows) == odd.count()
