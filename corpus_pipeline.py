@@ -17,31 +17,33 @@ LEAST_SCORE = 0.5
 
 
 def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects documents without a letter and those between two languages."""
+    """Rejects documents without a letter (null and empty texts too) and those between
+    two languages; repeated rows go or stay together, an empty table stays empty."""
     named = langid.identify(docs, langid.fit(docs))
     return named.filter((F.col("lang_pred") != langid.UNDETERMINED) & (F.col("lang_score") >= LEAST_SCORE)).select(*docs.columns)
 
 
 def join_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the least id of every group of similar documents; null ids are kept."""
-    classes = ngram_join.similar_documents(docs)
-    heads = classes.filter("doc_id = class_id").select(F.col("doc_id").alias("_head")).distinct()
-    kept = docs.join(heads, docs.doc_id == heads["_head"], "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(docs.filter("doc_id is null")).select(*docs.columns)
+    """Keeps the least id of every group of similar documents, null ids being least; of
+    equal ids the least text hash, one row of repeated ones; texts without words stay."""
+    return ngram_join.distinct_documents(docs)
 
 
 def decontaminate_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that hold a passage of ``benchmark``."""
+    """Drops documents that hold a passage of ``benchmark``; null and empty texts hold
+    none, rows that repeat a text go or stay together, an empty benchmark drops none."""
     return decontaminate.drop_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Repeats or leaves out documents so that the sources meet their targets."""
+    """Repeats or leaves out documents so that the sources meet their targets; a null
+    source is one of its own, texts without words stay once, repeated rows share alike."""
     return mixing.mixed_corpus(docs)
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token files in document order; a row for each document, read back from them."""
+    """Token files in document order, null ids first; a row for each document, read back
+    from them (a null or empty text is its end token; an empty table gives no rows)."""
     return token_output.encode_documents(docs)
 
 
