@@ -5,7 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: Id that stands for a null document id inside the operators.
@@ -73,32 +73,27 @@ def join_unique(rows: DataFrame, to: DataFrame, key: str, total: int, count: str
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Components of an undirected graph given as (u long, v long) rows.
 
-    Alternates linking every larger neighbour, then every smaller one, to the
-    local minimum until the edges are stars; each round is a grouped minimum
-    and an equi-join, written to the shared folder.  Returns (node, comp) for
-    every node that has an edge, comp being the least node of its component.
-    Raises if the edges are not stars after ``max_rounds``, which double the reach.
+    Alternates linking every larger neighbour, then every smaller one, to the local
+    minimum until the edges are stars; a round is two windows and a distinct, written to
+    the shared folder.  Returns (node, comp) for every node that has an edge, comp being
+    the least node of its component.  Raises if the edges are not stars after
+    ``max_rounds``.  For contracted graphs: all edges of a node meet in a task.
     """
     stars = materialize(edges.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "cc")
-    n, seen = stars.count(), None
-    for _ in range(max_rounds if n else 0):
-        both = stars.unionByName(stars.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("m"), F.count("*").alias("n"))
-        large = join_unique(both.filter("v > u"), least, "u", 2 * n, "n").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        down = large.distinct()
-        low = down.groupBy("u").agg(F.min("v").alias("m"))
-        small = down.join(low, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
-        stars = materialize(small.filter("u <> v").distinct(), "cc")
+    around, seen = Window.partitionBy("u"), None
+    for _ in range(max_rounds):
         now = stars.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v"))).first()
-        n = now[0]
-        if tuple(now) == seen:
+        if not now[0] or tuple(now) == seen:
             break
         seen = tuple(now)
+        both = stars.unionByName(stars.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        large = both.withColumn("m", F.least("u", F.min("v").over(around))).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        low = large.withColumn("m", F.min("v").over(around))
+        small = low.select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.*")
+        stars = materialize(small.filter("u <> v").distinct(), "cc")
     else:
-        if n:
-            raise RuntimeError(f"components not closed after {max_rounds} rounds")
-    comp = stars.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("comp"))
-    return comp.unionByName(stars.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct())
+        raise RuntimeError(f"components not closed after {max_rounds} rounds")
+    return stars.select(F.col("u").alias("node"), F.col("v").alias("comp")).unionByName(stars.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct())
 
 
 def text_hash_unit(*cols) -> "F.Column":

@@ -7,10 +7,11 @@ label by label, while the recall measured on the verified links is below the tar
 Nodes of the tries that hold the same documents are one node.
 
 Every two documents of a node are compared exactly, in tasks of bounded size and
-without writing pairs.  Documents that nodes connect are compared as one group where
-that is no more work than to compare node by node; otherwise (chains of candidates
-that are not similar) each node is a group, and a pair counts in the first trie where
-it meets.  Only verified links make classes.
+without writing pairs.  A document's home is the least document that two steps over
+trie nodes reach; documents of one home are compared as one group, and a node whose
+documents have several homes is a group as well, in which a pair counts if its homes
+differ and if the node's trie is the first where it meets.  So chains of candidates make
+no large groups, and only verified links make classes.
 
 Defined results: a null or empty text (no word) has class = its own id and no
 link; texts of one to four words are one shingle; documents with equal shingle
@@ -131,8 +132,9 @@ def _verify(frame, threshold: float, two_sided: bool, trees: int, depth: int):
         side = frame.chunk.to_numpy()
         link &= side[:, None] != side[None, :]
     tree = int(frame.tree.iloc[0])
-    if tree > 0:  # a node on its own: pairs that meet in an earlier trie count there
-        labels = np.stack(frame.labels.to_list())
+    if tree >= 0:  # pairs of one home count there, others in the first trie where they meet
+        home, labels = frame.home.to_numpy(), np.stack(frame.labels.to_list())
+        link &= home[:, None] != home[None, :]
         for t in range(tree):
             link &= labels[:, None, t] != labels[None, :, t]
     links = link.astype(np.float64) @ frame.copies.to_numpy(dtype=np.float64)
@@ -156,19 +158,19 @@ def _verifier(threshold: float, trees: int, depth: int):
 
 
 def candidate_groups(nodes: DataFrame, paths: DataFrame) -> DataFrame:
-    """(node, unit, tree, size): the groups in which classes are compared.
-
-    A group is a whole component of trie nodes (tree -1) if it fits a task, or if its
-    pairs are no more than those of its trie nodes together; else each trie node is one.
-    """
-    comps = connected_components(paths.filter("node <> least").select(F.col("node").alias("u"), F.col("least").alias("v")).distinct())
-    comps = materialize(comps, "candidates")
-    work = nodes.join(comps, F.col("least") == F.col("node")).groupBy("comp").agg(F.sum(F.col("held") * F.col("held")).alias("by_node"))
-    sized = comps.groupBy("comp").agg(F.count("*").alias("size")).join(work, "comp").withColumn("whole", (F.col("size") <= _CHUNK) | (F.col("size") * F.col("size") <= F.col("by_node")))
-    member = comps.join(sized, "comp")
-    whole = member.filter("whole").select("node", F.col("comp").alias("unit"), F.lit(-1).alias("tree"), "size")
-    split = member.filter("not whole").select("node").join(paths, "node").join(nodes.drop("least"), "label")
-    return whole.unionByName(split.select("node", F.col("label").alias("unit"), "tree", F.col("held").alias("size")))
+    """(node, home, unit, tree, size): the groups in which classes are compared, those of
+    a home (tree -1) and the trie nodes whose classes have several homes."""
+    home = paths.groupBy("node").agg(F.min("least").alias("home"), F.collect_list("label").alias("labels"))
+    spread = home.select("node", "home", F.explode("labels").alias("label"))
+    nearer = spread.groupBy("label").agg(F.min("home").alias("home"))
+    home = spread.select("node", "label").join(nearer, "label").groupBy("node").agg(F.min("home").alias("home"), F.collect_list("label").alias("labels"))
+    home = materialize(home, "homes")
+    spread = home.select("node", "home", F.explode("labels").alias("label"))
+    mixed = spread.groupBy("label").agg(F.min("home").alias("lo"), F.max("home").alias("hi")).filter("lo <> hi").select("label")
+    sizes = home.groupBy("home").agg(F.count("*").alias("size")).filter("size > 1")
+    whole = home.join(sizes, "home").select("node", "home", F.col("home").alias("unit"), F.lit(-1).alias("tree"), "size")
+    split = spread.join(mixed.join(nodes.drop("least"), "label"), "label")
+    return whole.unionByName(split.select("node", "home", F.col("label").alias("unit"), "tree", F.col("held").alias("size")))
 
 
 def _links(documents: DataFrame, id_col: str, text_col: str, threshold: float, shingle: int, trees: int, depth_max: int, target_recall: float) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -191,10 +193,10 @@ def _links(documents: DataFrame, id_col: str, text_col: str, threshold: float, s
     for depth in range(stride, 0, -1):
         nodes, paths = trie_nodes(heads.select("node", "sig"), trees, stride, depth)
         groups = candidate_groups(nodes, paths).withColumn("chunks", F.ceil(F.col("size") / _CHUNK).cast("int"))
-        labels = F.when(F.col("tree") > 0, F.array(*[F.xxhash64(F.lit(t), F.slice("sig", t * stride + 1, depth)) for t in range(trees)]))
-        wanted = groups.join(heads, "node").select("node", "key", "copies", "unit", "tree", "chunks", labels.alias("labels"), F.col("head.rid").alias("rid"), F.col("head.mark").alias("mark"))
-        sets = wanted.join(docs, ["rid", "mark"]).select("node", "key", "copies", "unit", "tree", "chunks", "labels", "text")
-        sets = sets.mapInArrow(to_sets, "node long, key binary, copies long, unit long, tree int, chunks int, labels array<long>, shingles binary")
+        labels = F.when(F.col("tree") >= 0, F.array(*[F.xxhash64(F.lit(t), F.slice("sig", t * stride + 1, depth)) for t in range(trees)]))
+        wanted = groups.join(heads, "node").select("node", "home", "key", "copies", "unit", "tree", "chunks", labels.alias("labels"), F.col("head.rid").alias("rid"), F.col("head.mark").alias("mark"))
+        sets = wanted.join(docs, ["rid", "mark"]).select("node", "home", "key", "copies", "unit", "tree", "chunks", "labels", "text")
+        sets = sets.mapInArrow(to_sets, "node long, home long, key binary, copies long, unit long, tree int, chunks int, labels array<long>, shingles binary")
         sets = sets.withColumn("chunk", F.when(F.col("chunks") > 1, F.pmod(F.xxhash64("key"), F.col("chunks"))).otherwise(0).cast("int"))
         tasks = sets.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
         tasks = tasks.withColumn("one", F.least("chunk", "other")).withColumn("two", F.greatest("chunk", "other"))
@@ -204,10 +206,13 @@ def _links(documents: DataFrame, id_col: str, text_col: str, threshold: float, s
         seen = found.agg(F.sum("pairs").alias("pairs"), F.sum("due").alias("due")).first()
         if not seen["pairs"] or seen["pairs"] >= target_recall * seen["due"]:
             break
-    edges = found.filter("node <> root").select(F.col("node").alias("u"), F.col("root").alias("v"))
-    roots = connected_components(edges)
-    links = found.groupBy("node").agg(F.sum("links").alias("links")).join(roots.select("node", F.col("comp").alias("root")), "node", "left")
-    return sigs, heads, links.withColumn("root", F.coalesce("root", "node"))
+    # A class has a root in each task it was in; only roots that share a class are joined up.
+    links = found.groupBy("node").agg(F.sum("links").alias("links"), F.min("root").alias("root"), F.collect_set("root").alias("roots"))
+    links = materialize(links, "linked")
+    edges = links.filter(F.size("roots") > 1).select(F.col("root").alias("u"), F.explode("roots").alias("v"))
+    roots = connected_components(edges).select(F.col("node").alias("root"), "comp")
+    links = links.join(roots, "root", "left").select("node", "links", F.coalesce("comp", "root").alias("root"))
+    return sigs, heads, links
 
 
 def similar_documents(
