@@ -1,34 +1,40 @@
 """Benchmark decontamination: rare n-gram seeds, then local alignment.
 
-Seeds are the word n-grams of the test items, without those that are common: an
-n-gram is common if every word of it is among the ``common_words`` most frequent
-words of the items (items left without a seed keep all of theirs).  A training
-text that holds a seed of an item is aligned with it by Smith-Waterman over words,
-in windows around its seeds; the score is the share of the item's best possible
-score.  Texts are scanned whole, items in blocks of a bounded size, so neither
-side need fit in memory.
-
-Defined results: null or empty texts match nothing; items of fewer than ``seed``
-words are seeded by the whole item; equal items are reported under each id; rows
-with null ids stay null.
+The word n-grams of the test items that stand in at most ``rare_items`` items, and not
+of the ``common_words`` most frequent words of all items alone, are seeds; an item left
+without one keeps all of its n-grams.  Documents are scanned once, however many items
+there are: those that hold a seed go on with their word hashes, and seeds join them to
+the items.  A document and an item are aligned by Smith-Waterman over words, in windows
+around the places where the seeds would put the item; the score is the share of the
+item's best possible score.
+
+The distinct seeds are sent to the scan as a filter if their number is below a checked
+bound; beyond it every n-gram goes to the join.  Hot seeds and items are joined by
+broadcast, of which there are at most ``HOT_SHARE``.
+
+Defined results: null or empty texts match nothing, null or empty items are in no text;
+items of fewer than ``seed`` words are found whole; equal items are reported under each
+id, rows that repeat a document's id and text once; null ids stay null; of equally good
+spans of an item the first is reported; empty tables give no rows.
 """
 
 from __future__ import annotations
 
-from collections import Counter
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import small_batches
+from .common import NULL_ID, join_unique, materialize, small_batches
 
 MATCH, MISMATCH, GAP = 2, -1, -1
-_BLOCK = 20_000
 #: A passage that scores as so many equal words is found, however long its item.
 EXCERPT_WORDS = 50
+#: At most so many distinct seeds are sent to the scan as a filter (8 bytes each).
+FILTER_SEEDS = 4_000_000
+#: At most so many documents found are broadcast to take them out; beyond it a join.
+FEW_FOUND = 500_000
 
 
 def smith_waterman(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
@@ -60,76 +66,27 @@ def smith_waterman(item: np.ndarray, text: np.ndarray) -> tuple[int, int, int]:
     return best
 
 
-class ItemIndex:
-    """The seeds of a block of test items."""
-
-    def __init__(self, items: list[tuple], seed: int, common_words: int, threshold: float, frequent: set | None = None):
-        self.seed, self.threshold = seed, threshold
-        rows = [(i, K.text_words(t)) for i, t in items]
-        rows = [(i, w) for i, w in rows if len(w)]
-        self.ids, self.words = [i for i, _ in rows], [w for _, w in rows]
-        if frequent is None:
-            frequent = {w for w, _ in Counter(int(x) for w in self.words for x in w).most_common(common_words)}
-        self.short: dict[int, list] = {}
-        hashes, owners, places = [], [], []
-        usual = np.array(sorted(frequent), dtype=np.uint64)
-        for k, w in enumerate(self.words):
-            n = min(seed, len(w))
-            grams = K.ngram_hashes(w, n)
-            common = np.isin(w, usual)
-            rare = np.array([not common[j : j + n].all() for j in range(len(grams))], dtype=bool)
-            at = np.flatnonzero(rare) if rare.any() else np.arange(len(grams))
-            if n < seed:
-                self.short.setdefault(n, []).append((grams[0], k))
-                continue
-            hashes.append(grams[at])
-            owners.append(np.full(len(at), k))
-            places.append(at)
-        flat = lambda xs, d: np.concatenate([*xs, np.zeros(0, d)]).astype(d)
-        h = flat(hashes, np.uint64)
-        order = np.argsort(h, kind="stable")
-        self.hash, self.owner, self.place = h[order], flat(owners, np.int64)[order], flat(places, np.int64)[order]
-
-    def search(self, text: str | None) -> list[tuple]:
-        """(item id, score, first word, end word) of the items found in a text."""
-        words = K.text_words(text)
-        found = []
-        for n, seeds in self.short.items():
-            grams = K.ngram_hashes(words, n)
-            for g, k in seeds:
-                at = np.flatnonzero(grams == g)
-                found += [(self.ids[k], 1.0, int(at[0]), int(at[0]) + n)] if len(at) else []
-        grams = K.ngram_hashes(words, self.seed)
-        if len(grams) and len(self.hash):
-            lo = np.searchsorted(self.hash, grams)
-            hit = np.flatnonzero(self.hash[np.minimum(lo, len(self.hash) - 1)] == grams)
-            if len(hit):
-                lo, hi = lo[hit], np.searchsorted(self.hash, grams[hit], side="right")
-                at = np.repeat(hit, hi - lo)
-                which = np.concatenate([np.arange(a, b) for a, b in zip(lo, hi, strict=True)])
-                for k in np.unique(self.owner[which]):
-                    mine = self.owner[which] == k
-                    found += self._align(int(k), words, at[mine] - self.place[which[mine]])
-        return found
-
-    def _align(self, k: int, words: np.ndarray, begin: np.ndarray) -> list[tuple]:
-        """Align one item in the windows where its seeds would put it."""
-        item = self.words[k]
-        slack = len(item) // 2 + self.seed
-        best = (0, 0, 0)
-        begin = np.unique(begin)
-        cut = np.flatnonzero(np.diff(begin) > 2 * slack + len(item)) + 1
-        for group in np.split(begin, cut):
-            a, b = max(0, int(group[0]) - slack), min(len(words), int(group[-1]) + len(item) + slack)
-            for lo in range(a, b, 50 * len(item) + 1000):  # long runs of seeds in overlapping pieces
-                score, s, e = smith_waterman(item, words[lo : min(b, lo + 50 * len(item) + 1000 + 2 * len(item))])
-                best = max(best, (score, s + lo, e + lo), key=lambda x: x[0])
-        share = best[0] / (MATCH * len(item))
-        return [(self.ids[k], float(share), best[1], best[2])] if share >= self.threshold or best[0] >= MATCH * EXCERPT_WORDS else []
+def align_item(item: np.ndarray, words: np.ndarray, begin: np.ndarray, seed: int) -> tuple[int, int, int]:
+    """Best alignment of an item in the windows where its seeds would put it to begin."""
+    slack = len(item) // 2 + seed
+    best = (0, 0, 0)
+    begin = np.unique(begin)
+    cut = np.flatnonzero(np.diff(begin) > 2 * slack + len(item)) + 1
+    for group in np.split(begin, cut):
+        a, b = max(0, int(group[0]) - slack), min(len(words), int(group[-1]) + len(item) + slack)
+        for lo in range(a, b, 50 * len(item) + 1000):  # long runs of seeds in overlapping pieces
+            score, s, e = smith_waterman(item, words[lo : min(b, lo + 50 * len(item) + 1000 + 2 * len(item))])
+            best = max(best, (score, s + lo, e + lo), key=lambda x: x[0])
+    return best
+
+
+def sized_grams(words: np.ndarray, n: int) -> np.ndarray:
+    """Hashes of the n-grams, different for each n."""
+    return K.mix64(K.ngram_hashes(words, n) + np.uint64(n))
 
 
 def frequent_words(items: DataFrame, n: int) -> set[int]:
-    """Hashes of the ``n`` most frequent words of all items, whatever their blocks."""
+    """Hashes of the ``n`` most frequent words of all items."""
 
     def run(batches):
         for batch in batches:
@@ -140,6 +97,89 @@ def frequent_words(items: DataFrame, n: int) -> set[int]:
     return {r["word"] % (1 << 64) for r in counts.orderBy(F.desc("count"), "word").limit(n).collect()}
 
 
+def item_seeds(items: DataFrame, seed: int, frequent: set[int], rare_items: int) -> DataFrame:
+    """(seed, item, place, n): the seeds of the items (item long, text), n words each."""
+    usual = np.array(sorted(frequent), dtype=np.uint64)
+
+    def run(batches):
+        for batch in batches:
+            out = [[np.zeros(0, np.int64)] for _ in range(5)]
+            for item, text in zip(batch.column("item").to_pylist(), batch.column("text"), strict=True):
+                words = K.text_words(text.as_py())
+                n = min(seed, len(words))
+                grams = sized_grams(words, n) if n else np.zeros(0, np.uint64)
+                plain = np.convolve(np.isin(words, usual), np.ones(max(n, 1), int), "valid")[: len(grams)] == n
+                for o, c in zip(out, (grams.view(np.int64), np.full(len(grams), item), np.arange(len(grams)), np.full(len(grams), n), plain), strict=True):
+                    o.append(c)
+            seeds, item, place, n, plain = (np.concatenate(o) for o in out)
+            yield pa.RecordBatch.from_arrays([pa.array(seeds), pa.array(item), pa.array(place.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(plain.astype(bool))], ["seed", "item", "place", "n", "plain"])
+
+    grams = materialize(small_batches(items).select("item", "text").mapInArrow(run, "seed long, item long, place int, n int, plain boolean"), "item-grams")
+    df = grams.groupBy("seed").agg(F.count_distinct("item").alias("items"))
+    rare = grams.join(df, "seed").withColumn("rare", (F.col("items") <= rare_items) & ~F.col("plain"))
+    some = rare.groupBy("item").agg(F.max("rare").alias("some"))
+    return materialize(rare.join(some, "item").filter("rare or not some").select("seed", "item", "place", "n"), "item-seeds")
+
+
+def _matches(documents: DataFrame, benchmark: DataFrame, id_col: str, text_col: str, item_col: str, item_text_col: str, seed: int, common_words: int, rare_items: int, threshold: float) -> DataFrame:
+    """(rid, mark, doc_id, item_id, score, word_start, word_end) of the items found."""
+    spark = documents.sparkSession
+    items = benchmark.select(F.col(item_col).cast("long").alias("item_id"), F.col(item_text_col).alias("text")).filter("text is not null").distinct().withColumn("item", F.xxhash64("item_id", "text"))
+    seeds = item_seeds(items, seed, frequent_words(items, common_words), rare_items)
+    sizes = sorted(r["n"] for r in seeds.select("n").distinct().collect())  # at most ``seed`` values
+    few = [r["seed"] for r in seeds.select("seed").distinct().limit(FILTER_SEEDS + 1).toLocalIterator()]
+    sent = spark.sparkContext.broadcast(np.sort(np.array(few, dtype=np.int64))) if len(few) <= FILTER_SEEDS else None
+
+    def scan(batches):
+        schema = pa.schema([("rid", pa.int64()), ("mark", pa.int64()), ("doc_id", pa.int64()), ("words", pa.binary()), ("seeds", pa.list_(pa.int64())), ("places", pa.list_(pa.int32()))])
+        for batch in batches:
+            out = []
+            for rid, mark, doc, text in zip(*(batch.column(c) for c in ("rid", "mark", "doc_id", "text")), strict=True):
+                words = K.text_words(text.as_py())
+                grams = [sized_grams(words, n).view(np.int64) for n in sizes]
+                places = np.concatenate([np.zeros(0, np.int64), *(np.arange(len(g)) for g in grams)])
+                grams = np.concatenate([np.zeros(0, np.int64), *grams])
+                if sent is not None:
+                    known = sent.value
+                    at = np.flatnonzero(known[np.minimum(np.searchsorted(known, grams), len(known) - 1)] == grams) if len(known) else np.zeros(0, np.int64)
+                    grams, places = grams[at], places[at]
+                if len(grams):
+                    out.append((rid.as_py(), mark.as_py(), doc.as_py(), words.tobytes(), grams, places.astype(np.int32)))
+            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
+
+    docs = small_batches(documents).select(
+        F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("rid"), F.xxhash64(F.col(text_col)).alias("mark"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")
+    )
+    hits = materialize(docs.mapInArrow(scan, "rid long, mark long, doc_id long, words binary, seeds array<long>, places array<int>"), "seed-hits")
+    places = hits.select("rid", "mark", F.inline(F.arrays_zip(F.col("seeds").alias("seed"), F.col("places").alias("at"))))
+    often = places.groupBy("seed").agg(F.count("*").alias("times"))
+    posts = seeds.groupBy("seed").agg(F.collect_list(F.struct("item", "place")).alias("posts")).join(often, "seed")
+    total = max(1, hits.agg(F.sum(F.size("seeds"))).first()[0] or 0)
+    met = join_unique(places, posts, "seed", total, "times").select("rid", "mark", "at", F.inline("posts"))
+    pairs = materialize(met.groupBy("rid", "mark", "item").agg(F.collect_set(F.col("at") - F.col("place")).alias("begin")), "seed-pairs")
+    held = items.join(pairs.groupBy("item").agg(F.count("*").alias("times")), "item").withColumnRenamed("text", "item_text")
+    pairs = join_unique(pairs, held, "item", max(1, pairs.count()), "times").select("rid", "mark", "item_id", "item_text", "begin")
+    both = pairs.join(hits.select("rid", "mark", "doc_id", "words").dropDuplicates(["rid", "mark"]), ["rid", "mark"])
+
+    def align(batches):
+        schema = pa.schema([("rid", pa.int64()), ("mark", pa.int64()), ("doc_id", pa.int64()), ("item_id", pa.int64()), ("score", pa.float64()), ("word_start", pa.int64()), ("word_end", pa.int64())])
+        for batch in batches:
+            out = []
+            for rid, mark, doc, item, text, begin, words in zip(*(batch.column(c) for c in ("rid", "mark", "doc_id", "item_id", "item_text", "begin", "words")), strict=True):
+                wanted, words = K.text_words(text.as_py()), np.frombuffer(words.as_py(), dtype=np.uint64)
+                begin = begin.values.to_numpy()
+                if len(wanted) < seed:  # found whole, at the first place
+                    best = (MATCH * len(wanted), int(begin.min()), int(begin.min()) + len(wanted))
+                else:
+                    best = align_item(wanted, words, begin, seed)
+                share = best[0] / (MATCH * len(wanted))
+                if share >= threshold or best[0] >= MATCH * EXCERPT_WORDS:
+                    out.append((rid.as_py(), mark.as_py(), doc.as_py(), item.as_py(), share, best[1], best[2]))
+            yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
+
+    return both.mapInArrow(align, "rid long, mark long, doc_id long, item_id long, score double, word_start long, word_end long")
+
+
 def contaminated(
     documents: DataFrame,
     benchmark: DataFrame,
@@ -149,49 +189,18 @@ def contaminated(
     item_text_col: str = "text",
     seed: int = 5,
     common_words: int = 40,
+    rare_items: int = 8,
     threshold: float = 0.5,
-    block: int = _BLOCK,
 ) -> DataFrame:
     """Rows (doc_id, item_id, score, word_start, word_end) of items found in documents."""
-    docs = small_batches(documents).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    items = benchmark.select(F.col(item_col).cast("long").alias("item_id"), F.col(item_text_col).alias("text")).filter("text is not null")
-    blocks = max(1, -(-items.count() // block))
-    frequent = frequent_words(items, common_words) if blocks > 1 else None
-    spark = documents.sparkSession
-    schema = "doc_id long, item_id long, score double, word_start long, word_end long"
-    parts = None
-    for b in range(blocks):
-        # One block of the stated query set at a time; a block's rows are bounded.
-        rows = [(r["item_id"], r["text"]) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b).collect()]
-        shared = spark.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold, frequent))
-
-        def run(batches, shared=shared):
-            index = shared.value
-            for batch in batches:
-                out = [(i, *m) for i, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True) for m in index.search(t.as_py())]
-                kinds = (pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], k) for i, k in enumerate(kinds)], ["doc_id", "item_id", "score", "word_start", "word_end"])
-
-        part = docs.mapInArrow(run, schema)
-        parts = part if parts is None else parts.unionByName(part)
-    return parts
-
-
-def drop_contaminated(documents: DataFrame, benchmark: DataFrame, text_col: str = "text", seed: int = 5, common_words: int = 40, threshold: float = 0.5, block: int = _BLOCK) -> DataFrame:
-    """The documents, all columns, in which no item is found."""
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text")).filter("text is not null")
-    blocks = max(1, -(-items.count() // block))
-    frequent = frequent_words(items, common_words) if blocks > 1 else None
-    out = small_batches(documents)
-    for b in range(blocks):
-        rows = [(r["item_id"], r["text"]) for r in items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b).collect()]
-        shared = documents.sparkSession.sparkContext.broadcast(ItemIndex(rows, seed, common_words, threshold, frequent))
-
-        def run(batches, shared=shared):
-            index = shared.value
-            for batch in batches:
-                keep = pa.array([not index.search(t.as_py()) for t in batch.column(text_col)], pa.bool_())
-                yield batch.filter(keep)
-
-        out = out.mapInArrow(run, out.schema)
-    return out
+    return _matches(documents, benchmark, id_col, text_col, item_col, item_text_col, seed, common_words, rare_items, threshold).drop("rid", "mark")
+
+
+def drop_contaminated(documents: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", seed: int = 5, common_words: int = 40, rare_items: int = 8, threshold: float = 0.5) -> DataFrame:
+    """The documents, all columns and repeated rows, in which no item is found."""
+    found = _matches(documents, benchmark, id_col, text_col, "item_id", "text", seed, common_words, rare_items, threshold)
+    found = materialize(found.select(F.col("rid").alias("_rid"), F.col("mark").alias("_mark")).distinct(), "contaminated")
+    if found.count() <= FEW_FOUND:
+        found = F.broadcast(found)
+    rows = documents.withColumn("_rid", F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID))).withColumn("_mark", F.xxhash64(F.col(text_col)))
+    return rows.join(found, ["_rid", "_mark"], "left_anti").select(*[F.col(f"`{c}`") for c in documents.columns])
