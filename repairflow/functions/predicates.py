@@ -11,6 +11,23 @@ from pyspark.sql import functions as F
 from ..model import Clause, Repair, Value
 
 
+_WHOLE = ("tinyint", "smallint", "int", "bigint")
+
+
+def comparable(col: Column, kind: str) -> Column:
+    """A column of a Spark type as literals given in text are compared with it: whole
+    numbers as decimals, so that 5, 5.0 and 5e0 are one value."""
+    return col.cast("decimal(38,10)") if kind in _WHOLE else col
+
+
+def literal(text: Column, kind: str) -> Column:
+    """A literal in text as a value that ``comparable`` columns of the type are compared
+    with; null if it is none of the type."""
+    if kind in ("string", "binary") or kind.startswith(("char", "varchar")):
+        return text
+    return text.try_cast("decimal(38,10)" if kind in _WHOLE else kind)
+
+
 def clause_column(c: Clause) -> Column:
     """A pushable condition: comparisons, IN, prefix and null tests only."""
     col = F.col(c.attr)

@@ -7,9 +7,10 @@ from collections import defaultdict
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.predicates import commute, predicate
+from ..functions.predicates import commute, comparable, literal, predicate
 from ..model import Plan, Repair
 
+#: Up to so many repairs are nested as CASE columns; beyond, lookup joins of equal results.
 CASE_CAP, BROADCAST_ROWS = 50, 500_000
 
 
@@ -71,7 +72,7 @@ def compile_layers(plan: Plan) -> list[list[Repair]]:
 
 def _apply_layers(df: DataFrame, plan: Plan) -> DataFrame:
     """Within a layer, equalities on one attribute set are one lookup table and join."""
-    spark, out = df.sparkSession, df
+    spark, out, types = df.sparkSession, df, dict(df.dtypes)
     bundled = any(r.bundle for r in plan.repairs)
     layers = steps_of(plan) if bundled else compile_layers(plan)
     for layer in layers:
@@ -84,14 +85,18 @@ def _apply_layers(df: DataFrame, plan: Plan) -> DataFrame:
                 rest[r.target] = F.when(predicate(r.pred), _value(df, r)).otherwise(rest.get(r.target, F.col(r.target)))
         before, news = out, {}
         for n, ((attrs, target), rs) in enumerate(sorted(tables.items())):
-            rows = {tuple(str(c.lo) for c in r.pred): (None if r.value is None else str(r.value)) for r in rs}
-            names = [f"_k{n}_{i}" for i in range(len(attrs))]
-            lookup = spark.createDataFrame([(*k, v, True) for k, v in rows.items()], ", ".join(f"{x} string" for x in names) + f", _v{n} string, _hit{n} boolean")
+            rows = [(*[None if c.lo is None else str(c.lo) for c in r.pred], None if r.value is None else str(r.value), i) for i, r in enumerate(rs)]
+            names, kinds = [f"_k{n}_{i}" for i in range(len(attrs))], [types[a] for a in attrs]
+            lookup = spark.createDataFrame(rows, ", ".join(f"{x} string" for x in names) + f", _v{n} string, _i int")
+            lookup = lookup.withColumns({x: literal(F.col(x), k) for x, k in zip(names, kinds, strict=True)})
+            # Literals may be written in several ways: the last repair of a key stands.
+            lookup = lookup.groupBy(*names).agg(F.max_by(F.struct(f"_v{n}"), "_i").alias("_s")).select(*names, f"_s._v{n}", F.lit(True).alias(f"_hit{n}"))
             if len(rows) <= BROADCAST_ROWS:
                 lookup = F.broadcast(lookup)
-            cond = [out[a].cast("string") == lookup[x] for a, x in zip(attrs, names, strict=True)]
+            cond = [comparable(out[a], k) == lookup[x] for a, k, x in zip(attrs, kinds, names, strict=True)]
             out = out.join(lookup, cond, "left")
-            news[target] = F.when(F.col(f"_hit{n}"), F.col(f"_v{n}").cast(df.schema[target].dataType)).otherwise(news.get(target, F.col(target)))
+            value = literal(F.col(f"_v{n}"), types[target]).cast(df.schema[target].dataType)
+            news[target] = F.when(F.col(f"_hit{n}"), value).otherwise(news.get(target, F.col(target)))
         for target, col in rest.items():
             # Repairs of one layer touch disjoint rows or agree.
             news[target] = F.when(F.lit(True), col) if target not in news else F.when(~col.eqNullSafe(F.col(target)), col).otherwise(news[target])

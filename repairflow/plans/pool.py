@@ -8,6 +8,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.predicates import comparable, literal
 from ..model import CLAUSE_TYPE, POOL_SCHEMA, Clause, Repair
 
 _NONE = "\x05"
@@ -89,15 +90,14 @@ def bundle(pool: DataFrame) -> DataFrame:
 def _matches(i: int, attr: str, op: str, kind: str) -> Column:
     """Condition of the i-th clause: columns ``_r_*`` of the rows, ``_*i`` of the pool."""
     col = F.col(f"_r_{attr}")
-    text, lo, hi = col.cast("string"), F.col(f"_lo{i}"), F.col(f"_hi{i}")
-    number = kind not in ("string", "date", "timestamp", "timestamp_ntz")
-    x, a, b = (col.cast("double"), lo.cast("double"), hi.cast("double")) if number else (text, lo, hi)
+    lo, hi = F.col(f"_lo{i}"), F.col(f"_hi{i}")
+    x, a, b = comparable(col, kind), literal(lo, kind), literal(hi, kind)
     if op == "eq":
-        return text == lo
+        return x == a
     if op == "in":
-        return F.array_contains(F.col(f"_vals{i}"), text)
+        return F.array_contains(F.transform(f"_vals{i}", lambda v: literal(v, kind)), x)
     if op == "prefix":
-        return text.startswith(lo)
+        return col.cast("string").startswith(lo)
     if op == "is_null":
         return col.isNull()
     if op == "not_null":
@@ -129,7 +129,8 @@ def bind(pool: DataFrame, rows: DataFrame, key: tuple[str, ...], carry: bool = F
         fields = [F.get("pred", F.lit(i))[f].alias(f"_{n}{i}") for i in range(len(clauses)) for f, n in (("lo", "lo"), ("hi", "hi"), ("vals", "vals"), ("lo_incl", "li"), ("hi_incl", "hx"))]
         sub = sub.select("unit", "repair_id", "pos", "target", F.col("value").alias("new"), *fields)
         cond = reduce(lambda x, y: x & y, [_matches(i, a, op, types[a]) for i, (a, op) in enumerate(clauses)], F.lit(True))
-        hit = sub.join(named, cond).filter(~F.col(f"_r_{k['target']}").cast("string").eqNullSafe(F.col("new")))
+        kind = types[k["target"]]
+        hit = sub.join(named, cond).filter(~comparable(F.col(f"_r_{k['target']}"), kind).eqNullSafe(literal(F.col("new"), kind)))
         parts.append(hit.select("unit", "repair_id", "pos", *out))
     if not parts:
         none = pool.select("unit", "repair_id", "pos", "target", F.col("value").alias("new")).limit(0)

@@ -85,8 +85,13 @@ class Quality:
         df = self._named(with_block(df))
         return [t.state(df) for t in self.terms]
 
-    def drifts(self, images: DataFrame) -> list[DataFrame | None]:
-        return [t.drift(images) for t in self.terms]
+    @property
+    def by_block(self) -> bool:
+        """Whether the cost of a relation is the sum of its blocks' costs."""
+        return all(t.by_block for t in self.terms)
+
+    def drifts(self, images: DataFrame, states: list | None = None) -> list[DataFrame | None]:
+        return [t.drift(images, s) for t, s in zip(self.terms, states or [None] * len(self.terms), strict=True)]
 
     def deltas(self, images: DataFrame, states: list, drifts: list | None = None) -> DataFrame:
         """(block, plan, unit, delta) of every candidate, in one job."""

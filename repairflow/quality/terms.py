@@ -26,6 +26,8 @@ class Term:
 
     attrs: tuple[str, ...] = ()
     self_maintainable = True
+    #: Whether the cost is a sum over blocks; if not, the relation is searched as one block.
+    by_block = True
     name = "term"
 
     def cost(self, df: DataFrame) -> DataFrame:
@@ -35,7 +37,7 @@ class Term:
     def state(self, df: DataFrame) -> DataFrame | None:
         return None
 
-    def drift(self, images: DataFrame) -> DataFrame | None:
+    def drift(self, images: DataFrame, state: DataFrame | None = None) -> DataFrame | None:
         """What accepted images add to the state, by (block, plan)."""
         return None
 
@@ -43,8 +45,16 @@ class Term:
         raise NotImplementedError
 
     def keys(self, images: DataFrame) -> DataFrame:
-        """(block, plan, unit, key): the groups of the term that each candidate touches."""
-        return images.select(*CAND, F.lit(None).cast("string").alias("key")).limit(0)
+        """(block, plan, unit, key): the groups of the term that each candidate touches.
+
+        A term that does not know them holds one key, so that no two candidates merge.
+        """
+        return images.select(*CAND, F.lit(f"{self.name}|*").alias("key")).distinct()
+
+
+def _no_keys(images: DataFrame) -> DataFrame:
+    """Keys of terms that are sums over records: the records' own keys are enough."""
+    return images.select(*CAND, F.lit(None).cast("string").alias("key")).limit(0)
 
 
 class GroupTerm(Term):
@@ -69,7 +79,7 @@ class GroupTerm(Term):
         row = df.select("block", F.struct(*df.columns).alias("r"))
         return row.filter(self.valid("r")).groupBy("block", self.group("r").alias("g")).agg(F.count("*").alias("n"))
 
-    def drift(self, images):
+    def drift(self, images, state=None):
         return self.signed(images).groupBy("block", "plan", "g").agg(F.sum("d").alias("m")).filter("m <> 0")
 
     def keys(self, images):
@@ -200,6 +210,9 @@ class RowTerm(Term):
     def scale(self) -> float:
         return 1.0
 
+    def keys(self, images):
+        return _no_keys(images)
+
     def cost(self, df):
         return df.groupBy("block").agg((F.coalesce(F.sum(self.per_row(lambda c: F.col(c)).cast("double")), F.lit(0.0)) * self.scale()).alias("cost"))
 
@@ -226,6 +239,55 @@ class GoldCells(RowTerm):
         return sum((F.when(row(a).eqNullSafe(row(f"_truth_{a}")), 0.0).otherwise(1.0) for a in self.attrs), F.lit(0.0))
 
 
+class GoldF1(Term):
+    """One less the F1 of the changed cells against the truth: columns ``_base_*`` and
+    ``_truth_*``.  From three counts, cells changed, cells changed to the truth and cells
+    that were wrong; nothing to change and nothing changed costs 0."""
+
+    by_block = False
+
+    def __init__(self, attrs: tuple[str, ...]):
+        self.attrs, self.name = tuple(attrs), "f1"
+
+    def _counts(self, row: str) -> tuple[Column, Column, Column]:
+        c = lambda n: F.col(f"{row}.{n}") if row else F.col(n)
+        one = lambda x: F.when(x, 1).otherwise(0)
+        changed = [~c(a).eqNullSafe(c(f"_base_{a}")) for a in self.attrs]
+        right = [c(a).eqNullSafe(c(f"_truth_{a}")) for a in self.attrs]
+        wrong = [~c(f"_base_{a}").eqNullSafe(c(f"_truth_{a}")) for a in self.attrs]
+        add = lambda xs: sum((one(x) for x in xs), F.lit(0))
+        return add(changed), add([x & y for x, y in zip(changed, right, strict=True)]), add(wrong)
+
+    def state(self, df):
+        m, k, w = self._counts("")
+        return df.groupBy("block").agg(F.sum(m).alias("m"), F.sum(k).alias("k"), F.sum(w).alias("w"))
+
+    @staticmethod
+    def _error(m: Column, k: Column, w: Column) -> Column:
+        return F.when(m + w > 0, 1 - 2.0 * k / (m + w)).otherwise(0.0)
+
+    def cost(self, df):
+        return self.state(df).select("block", self._error(F.col("m"), F.col("k"), F.col("w")).alias("cost"))
+
+    def _moved(self, images: DataFrame, by: list[str]) -> DataFrame:
+        (m1, k1, _), (m0, k0, _) = self._counts("a"), self._counts("b")
+        return images.groupBy(*by).agg(F.sum(m1 - m0).alias("dm"), F.sum(k1 - k0).alias("dk"))
+
+    def drift(self, images, state=None):
+        return self._moved(images, ["block", "plan"])
+
+    def delta(self, images, state, drift=None):
+        rows = self._moved(images, CAND).join(state, "block")
+        if drift is not None:
+            more = drift.select("block", "plan", F.col("dm").alias("pm"), F.col("dk").alias("pk"))
+            rows = rows.join(more, ["block", "plan"], "left").withColumns({"m": F.col("m") + F.coalesce("pm", F.lit(0)), "k": F.col("k") + F.coalesce("pk", F.lit(0))})
+        m, k, w = F.col("m"), F.col("k"), F.col("w")
+        return rows.select(*CAND, (self._error(m + F.col("dm"), k + F.col("dk"), w) - self._error(m, k, w)).alias("delta"))
+
+    def keys(self, images):
+        return _no_keys(images)
+
+
 class EditPenalty(RowTerm):
     """Distance from the dirty relation, columns ``_base_*``: edits of strings, absolute
     differences of numbers; a null on one side costs the other's length or ``null_cost``."""
@@ -256,9 +318,15 @@ class OutOfDictionary(Term):
 
     def __init__(self, attr: str, dictionary: DataFrame, limit: int = 1_000_000):
         self.attr, self.attrs, self.name, self.words, self.limit = attr, (attr,), f"spelling:{attr}", dictionary.select(F.col("word").alias("_w")).distinct(), limit
+        self._few: bool | None = None
 
     def _lexicon(self) -> DataFrame:
-        return F.broadcast(self.words) if self.words.limit(self.limit + 1).count() <= self.limit else self.words
+        if self._few is None:  # looked at once
+            self._few = self.words.limit(self.limit + 1).count() <= self.limit
+        return F.broadcast(self.words) if self._few else self.words
+
+    def keys(self, images):
+        return _no_keys(images)
 
     def cost(self, df):
         off = df.filter(F.col(self.attr).isNotNull()).join(self._lexicon(), F.col(self.attr) == F.col("_w"), "left_anti").groupBy("block").agg(F.count("*").cast("double").alias("cost"))
@@ -298,6 +366,7 @@ class SqlTerm(Term):
     callback (old and new rows to a change) it is recomputed in full."""
 
     self_maintainable = False
+    by_block = False
 
     def __init__(self, sql: str, incremental: Callable[[DataFrame], DataFrame] | None = None, attrs: tuple[str, ...] = (), name: str = "sql"):
         self.sql, self.incremental, self.attrs, self.name = sql, incremental, tuple(attrs), name
@@ -324,22 +393,25 @@ class WindowAR(Term):
     A window's fit follows in closed form from the counts and sums of its pairs
     (previous, current), so its squared error does too; the mean absolute error
     reads the pairs again.  A pair belongs to the window of its current reading.
+
+    The state is the pairs, with the number of windows and the sum of their errors.  A
+    change reads the pairs of the windows it touches, its own and its successor's, and
+    nothing else; under a parent plan these pairs first take the parent's readings.
     """
 
+    by_block = False
+
     def __init__(self, attr: str, series: str, ts: str, width: str = "5 hours", slide: str | None = None, error: str = "squared", key: str = "rec_id", least: int = 3):
         self.attr, self.series, self.ts, self.width, self.slide, self.error, self.key, self.least = attr, series, ts, width, slide, error, key, least
         self.attrs, self.name = (attr,), f"ar:{attr}"
 
+    def _window(self, ts: Column) -> Column:
+        return F.window(ts.cast("timestamp"), self.width, self.slide).start
+
     def pairs(self, df: DataFrame) -> DataFrame:
-        """One row for each reading: p, c, the keys of the two, and its window start."""
+        """One row for each reading and window: p, c, the keys of the two, the window's start."""
         w = Window.partitionBy("block", self.series).orderBy(self.ts, self.key)
-        rows = df.select("block", self.series, F.col(self.key).alias("id"), F.lag(self.key).over(w).alias("before"), F.lead(self.key).over(w).alias("after"), F.lag(self.attr).over(w).alias("p"), F.col(self.attr).alias("c"), F.window(F.col(self.ts).cast("timestamp"), self.width, self.slide).start.alias("win"))
-        return rows
-
-    def sums(self, pairs: DataFrame, by: list[str]) -> DataFrame:
-        p, c = F.col("p"), F.col("c")
-        rows = pairs.filter("p is not null and c is not null")
-        return rows.groupBy(*by).agg(F.count("*").alias("n"), F.sum(p).alias("sx"), F.sum(c).alias("sy"), F.sum(p * p).alias("sxx"), F.sum(p * c).alias("sxy"), F.sum(c * c).alias("syy"))
+        return df.select("block", F.col(self.series).alias("series"), F.col(self.key).alias("id"), F.lag(self.key).over(w).alias("before"), F.lag(self.attr).over(w).cast("double").alias("p"), F.col(self.attr).cast("double").alias("c"), self._window(F.col(self.ts)).alias("win"))
 
     @staticmethod
     def fit() -> tuple[Column, Column]:
@@ -349,56 +421,70 @@ class WindowAR(Term):
         slope = F.when(F.abs(den) > 1e-9, (n * sxy - sx * sy) / den).otherwise(0.0)
         return slope, (sy - slope * sx) / n
 
-    def squared(self) -> Column:
+    def window_errors(self, pairs: DataFrame, by: list[str]) -> DataFrame:
+        """(*by, n, err) of windows with enough pairs."""
+        p, c = F.col("p"), F.col("c")
+        rows = pairs.filter("p is not null and c is not null")
+        sums = rows.groupBy(*by).agg(F.count("*").alias("n"), F.sum(p).alias("sx"), F.sum(c).alias("sy"), F.sum(p * p).alias("sxx"), F.sum(p * c).alias("sxy"), F.sum(c * c).alias("syy")).filter(F.col("n") >= self.least)
         slope, base = self.fit()
-        return F.greatest(F.col("syy") - base * F.col("sy") - slope * F.col("sxy"), F.lit(0.0)) / F.col("n")
+        if self.error == "squared":
+            return sums.select(*by, "n", (F.greatest(F.col("syy") - base * F.col("sy") - slope * F.col("sxy"), F.lit(0.0)) / F.col("n")).alias("err"))
+        fitted = rows.join(sums.select(*by, slope.alias("slope"), base.alias("base")), by)
+        return fitted.groupBy(*by).agg(F.count("*").alias("n"), F.avg(F.abs(c - F.col("slope") * p - F.col("base"))).alias("err"))
 
     def errors(self, df: DataFrame) -> DataFrame:
         """(block, series, win, n, err) of windows with enough pairs."""
-        by = ["block", self.series, "win"]
-        pairs = self.pairs(df)
-        sums = self.sums(pairs, by).filter(F.col("n") >= self.least)
-        if self.error == "squared":
-            return sums.select(*by, "n", self.squared().alias("err"))
-        slope, base = self.fit()
-        fitted = pairs.filter("p is not null and c is not null").join(sums.select(*by, "n", slope.alias("slope"), base.alias("base")), by)
-        return fitted.groupBy(*by).agg(F.first("n").alias("n"), F.avg(F.abs(F.col("c") - F.col("slope") * F.col("p") - F.col("base"))).alias("err"))
+        return self.window_errors(self.pairs(df), ["block", "series", "win"])
 
     def cost(self, df):
         return self.errors(df).groupBy("block").agg(F.avg("err").alias("cost"))
 
     def state(self, df):
-        return self.pairs(df)
+        pairs = self.pairs(df)
+        total = self.window_errors(pairs, ["block", "series", "win"]).groupBy("block").agg(F.count("*").alias("windows"), F.sum("err").alias("sum"))
+        return pairs.join(F.broadcast(total), "block", "left")  # a row for each block, of which there is one
 
-    def delta(self, images, state, drift=None):
-        """Exact for the squared error at the root: own pair and successor's pair of each
-        changed reading give the changes of their windows' sums."""
-        if self.error != "squared" or drift is not None:
-            raise ValueError("window deltas are exact for the squared error against the base relation")
+    def keys(self, images):
+        return images.select(*CAND, F.col(f"b.{self.series}").alias("_s"), self._window(F.col(f"b.{self.ts}")).alias("_w")).select(*CAND, F.concat_ws("|", F.lit(self.name), "_s", F.col("_w").cast("string")).alias("key")).distinct()
+
+    def _taken(self, pairs: DataFrame, values: DataFrame, on: list[str]) -> DataFrame:
+        """Pairs with readings replaced by the values (*on, id, v) of a plan or candidate."""
+        now = values.select(*on, F.struct("v").alias("_c"), "id")
+        last = values.select(*on, F.struct("v").alias("_p"), F.col("id").alias("before"))
+        rows = pairs.join(now, [*on, "id"], "left").join(last, [*on, "before"], "left")
+        new = lambda s, c: F.when(F.col(s).isNotNull(), F.col(f"{s}.v")).otherwise(F.col(c))
+        return rows.withColumn("c", new("_c", "c")).withColumn("p", new("_p", "p")).drop("_c", "_p")
+
+    def _moved(self, images: DataFrame, state: DataFrame, parent: DataFrame | None) -> DataFrame:
+        """(block, plan, unit, dw, ds): how the number of windows and their errors change."""
         new = images.select(*CAND, F.col(f"b.{self.key}").alias("id"), F.col(f"a.{self.attr}").cast("double").alias("v"))
         own = state.join(new.select(*CAND, "id"), ["block", "id"])
         after = state.join(new.select(*CAND, F.col("id").alias("before")), ["block", "before"])
-        cols = [*CAND, self.series, "id", "before", "p", "c", "win"]
-        hit = own.select(*cols).unionByName(after.select(*cols)).distinct()
-        now_c = new.select(*CAND, "id", F.col("v").alias("_c"), F.lit(True).alias("_hc"))
-        now_p = new.select(*CAND, F.col("id").alias("before"), F.col("v").alias("_p"), F.lit(True).alias("_hp"))
-        hit = hit.join(now_c, [*CAND, "id"], "left").join(now_p, [*CAND, "before"], "left")
-        changed = hit.withColumn("c2", F.when(F.col("_hc"), F.col("_c")).otherwise(F.col("c"))).withColumn("p2", F.when(F.col("_hp"), F.col("_p")).otherwise(F.col("p")))
-        by = [*CAND, self.series, "win"]
-        names = ["n", "sx", "sy", "sxx", "sxy", "syy"]
-        minus = self.sums(changed.select(*by, "p", "c"), by).select(*by, *[(-F.col(x)).alias(x) for x in names])
-        plus = self.sums(changed.select(*by, F.col("p2").alias("p"), F.col("c2").alias("c")), by)
-        touched = changed.select(*by).distinct()
-        base_by = ["block", self.series, "win"]
-        base = touched.join(self.sums(state, base_by), base_by).select(*by, *names)
-        old = base.filter(F.col("n") >= self.least).select(*by, self.squared().alias("err"))
-        fresh = base.unionByName(minus).unionByName(plus).groupBy(*by).agg(*[F.sum(x).alias(x) for x in names])
-        fresh = fresh.filter(F.col("n") >= self.least).select(*by, self.squared().alias("err"))
-        # The average is over windows with enough pairs; numbers of pairs change only with nulls.
-        total = self.sums(state, base_by).filter(F.col("n") >= self.least).groupBy("block").agg(F.count("*").alias("w"), F.sum(self.squared()).alias("s"))
-        moved = old.groupBy(*CAND).agg((-F.count("*")).alias("dw"), (-F.sum("err")).alias("ds")).unionByName(fresh.groupBy(*CAND).agg(F.count("*").alias("dw"), F.sum("err").alias("ds")))
-        moved = moved.groupBy(*CAND).agg(F.sum("dw").alias("dw"), F.sum("ds").alias("ds")).join(total, "block")
-        return moved.select(*CAND, ((F.col("s") + F.col("ds")) / (F.col("w") + F.col("dw")) - F.col("s") / F.col("w")).alias("delta"))
+        where = [*CAND, "series", "win"]
+        touched = own.select(*where).unionByName(after.select(*where)).distinct()
+        pairs = touched.join(state, ["block", "series", "win"]).select(*where, "id", "before", "p", "c")
+        if parent is not None:
+            pairs = self._taken(pairs, parent, ["block", "plan"])
+        fresh = self._taken(pairs, new, CAND)
+        side = lambda rows, sign: self.window_errors(rows, where).groupBy(*CAND).agg(F.count("*").alias("w"), F.sum("err").alias("s")).select(*CAND, (sign * F.col("w")).alias("dw"), (sign * F.col("s")).alias("ds"))
+        return side(pairs, -1).unionByName(side(fresh, 1)).groupBy(*CAND).agg(F.sum("dw").alias("dw"), F.sum("ds").alias("ds"))
+
+    def drift(self, images, state=None):
+        """Rows of two kinds: the readings (id, v) of a plan, and how its windows' number
+        and errors differ from the base."""
+        value = images.select("block", "plan", F.col(f"b.{self.key}").alias("id"), F.col(f"a.{self.attr}").cast("double").alias("v"))
+        total = self._moved(images, state, None).groupBy("block", "plan").agg(F.sum("dw").alias("dw"), F.sum("ds").alias("ds"))
+        return value.unionByName(total, allowMissingColumns=True)
+
+    def delta(self, images, state, drift=None):
+        moved = self._moved(images, state, None if drift is None else drift.filter("dw is null"))
+        total = state.groupBy("block").agg(F.first("windows").alias("w"), F.first("sum").alias("s"))
+        moved = moved.join(total, "block")
+        if drift is not None:
+            more = drift.filter("dw is not null").select("block", "plan", F.col("dw").alias("pw"), F.col("ds").alias("ps"))
+            moved = moved.join(more, ["block", "plan"], "left").withColumns({"w": F.col("w") + F.coalesce("pw", F.lit(0)), "s": F.col("s") + F.coalesce("ps", F.lit(0.0))})
+        mean = lambda s, w: F.when(w > 0, s / w).otherwise(0.0)
+        return moved.select(*CAND, (mean(F.col("s") + F.col("ds"), F.col("w") + F.col("dw")) - mean(F.col("s"), F.col("w"))).alias("delta"))
 
 
 class OutlierCount(Term):

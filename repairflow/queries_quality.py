@@ -121,7 +121,7 @@ def q_ar_error_absolute(spark, sf):
 )
 def w3_ar_error(spark, sf):
     err = WindowAR("reading", "station", "ts", error="absolute").errors(with_block(series(spark, sf)))
-    return err.groupBy("station").agg(F.count("*").alias("windows"), F.round(F.avg("err"), 4).alias("error"))
+    return err.groupBy(F.col("series").alias("station")).agg(F.count("*").alias("windows"), F.round(F.avg("err"), 4).alias("error"))
 
 
 def _filled(spark, sf) -> tuple[DataFrame, DataFrame]:

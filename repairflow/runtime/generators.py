@@ -115,6 +115,7 @@ def search_async(session, ops: list[CleaningOperator], df: DataFrame, budget_s:
     gen.start(df)
     began, best = time.monotonic(), None
     while time.monotonic() - began < budget_s:
+        alive = gen.running()  # before draining: a tool may put its last batch and end meanwhile
         batches = pool.drain()
         for b in batches:
             session.add(b)
@@ -123,7 +124,7 @@ def search_async(session, ops: list[CleaningOperator], df: DataFrame, budget_s:
             if best is None or result.cost < best.cost:
                 best = result
                 yield best
-        elif not gen.running():
+        elif not alive:
             break
         else:
             time.sleep(0.05)

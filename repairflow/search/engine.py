@@ -1,28 +1,35 @@
 """Best-first search over pipelines of repairs, all candidates of a round in one job.
 
-A frontier holds, for each block, a few plans; a plan is kept as the records it
+A frontier holds, for each block, up to ``beam`` plans; a plan is kept as the records it
 changes (``patched``: base image and present image), never as a relation.  A round
-binds the pool to the records as each plan leaves them, scores every extension by
-exact deltas against the plan, keeps the improving ones near the best, packs those
-that cannot interfere into one plan and goes on from there.  Rounds end in written
-tables, so lineage stays short and lost executors cost one round.
+binds the pool to the records as each plan leaves them and scores every extension by
+exact deltas against the plan.  Extensions are cut twice by the bound gamma: against the
+best that their worker knows of, and against the best of all.  Improving ones that cannot
+interfere are packed into one plan; that plan, the best single extensions (with a wider
+frontier also such as do not improve, from which two steps may) and the plans as they
+were are held against each other by their exact costs, and the best stay: a merged plan
+only counts if it is better.  Rounds end in written tables, so lineage stays short and
+lost executors cost one round.
 """
 
 from __future__ import annotations
 
+import threading
 import time
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.predicates import literal
 from ..plans.pool import bind, canonicalize
 from ..quality.quality import Quality, prepared
 from ..session import written
 from .merge import pack_disjoint
-from .prune import utility
+from .prune import prune_global, prune_local, rebalance, utility
 
 _PLAN = ["block", "plan"]
 _EPS = 1e-9
@@ -69,7 +76,7 @@ class Session:
     """One relation, its quality and a pool of repairs.
 
     ``beam`` plans a block are kept; ``merge`` packs disjoint survivors; ``gamma``
-    is the bound; ``keep`` may filter the pool before binding (the learnt pruner);
+    is the bound; ``budget_s`` cancels what runs when it is over; ``keep`` may filter the pool before binding (the learnt pruner);
     ``incremental=False`` scores every candidate by full recomputation.
     """
 
@@ -94,7 +101,8 @@ class Session:
         self.key, self.quality, self.gamma, self.max_rounds, self.beam, self.merge = key, quality, gamma, max_rounds, beam, merge
         self.patience, self.incremental, self.keep, self.budget_s, self.utility_kind = patience, incremental, keep, budget_s, utility_kind
         attrs = [c for c in self.given.columns if c != key]
-        self.rows = written(prepared(df, attrs, truth, key), "relation")
+        rows = prepared(df, attrs, truth, key)
+        self.rows = written(rows if quality.by_block else rows.withColumn("block", F.lit(0).cast("long")), "relation")
         self.pool: DataFrame | None = None
         self.restrict = restrict  # (block, unit) pairs allowed, for per-block pruning
         self.trace = Trace("engine")
@@ -138,7 +146,8 @@ class Session:
         rows = last.groupBy(*cand).agg(F.first("b").alias("b"), F.map_from_entries(F.collect_list(F.struct("target", F.col("n.new").alias("new")))).alias("m"))
         types = dict(zip(self.rows.columns, [f.dataType for f in self.rows.schema.fields], strict=True))
         targets = [c for c in self.given.columns if c != self.key]
-        cols = [F.when(F.map_contains_key("m", F.lit(c)), F.col("m")[c].cast(types[c])).otherwise(F.col(f"b.{c}")).alias(c) if c in targets else F.col(f"b.{c}").alias(c) for c in self.rows.columns]
+        value = lambda c: literal(F.col("m")[c], types[c].simpleString()).cast(types[c])
+        cols = [F.when(F.map_contains_key("m", F.lit(c)), value(c)).otherwise(F.col(f"b.{c}")).alias(c) if c in targets else F.col(f"b.{c}").alias(c) for c in self.rows.columns]
         return rows.select(*cand, "b", F.struct(*cols).alias("a"))
 
     def score(self, images: DataFrame, states: list, drifts: list | None) -> DataFrame:
@@ -171,96 +180,34 @@ class Session:
     def iter(self) -> Iterator[Result]:
         """Better and better results, one for each round that improved."""
         spark = self.rows.sparkSession
-        states = [None if s is None else written(s, "state") for s in self.quality.states(self.rows)] if self.quality.incremental and self.incremental else []
+        exact = self.quality.incremental and self.incremental
+        states = [None if s is None else written(s, "state") for s in self.quality.states(self.rows)] if exact else []
         start = self.quality.costs(self.rows)
         blocks = self.rows.select("block").distinct()
         plans = written(blocks.join(start, "block", "left").select("block", F.lit(0).cast("long").alias("plan"), F.coalesce("cost", F.lit(0.0)).alias("cost")), "plans")
-        chosen = None  # block, plan, step, unit
+        chosen = drifts = None  # chosen: block, plan, step, unit
         self._patched, self.n_evaluated = None, 0
-        drifts = None
         total = float(plans.agg(F.sum("cost")).first()[0] or 0.0)
-        self.trace.add(0, total, pool_size=self.pool.count(), n_evaluated=0, n_pruned_bound=0)
+        pool_size = self.pool.count()
+        self.trace.add(0, total, pool_size=pool_size, n_evaluated=0, n_pruned_bound=0)
         idle, best = 0, None
         for step in range(1, self.max_rounds + 1):
-            if self.budget_s is not None and time.monotonic() - self.trace.began > self.budget_s:
+            left = None if self.budget_s is None else self.budget_s - (time.monotonic() - self.trace.began)
+            if left is not None and left <= 0:
                 break
-            # What only this round needs is cached; what the next one starts from is written.
-            images = self.images(self.hits(plans, self._patched)).persist()
-            scored = self.score(images, states, drifts).persist()
-            cached = [images, scored]
-            n = scored.count()
-            self.n_evaluated += n if self.incremental else 0
-            start_cost = total
-            good = scored.filter(F.col("delta") < -_EPS).join(plans, _PLAN).withColumn("utility", utility(F.col("cost") + F.col("delta"), self.utility_kind, start_cost))
-            bound = good.groupBy("block").agg(F.max("utility").alias("_best"))
-            good = good.join(bound, "block").filter(F.col("utility") >= self.gamma * F.col("_best")).drop("_best").persist()
-            cached.append(good)
-            kept = good.count()
-            if not kept:
-                self.trace.add(step, total, pool_size=self.pool.count(), n_evaluated=self.n_evaluated, n_pruned_bound=n)
-                idle += 1
-                _release(cached)
-                if idle >= self.patience:
-                    break
-                continue
-            by_plan = Window.partitionBy(*_PLAN).orderBy("delta", "unit")
-            ranked = good.withColumn("rank", F.row_number().over(by_plan)).select(*_PLAN, "unit", "rank", "delta", "cost")
-            best_plan = Window.partitionBy("block").orderBy("cost", "plan")
-            lead = plans.withColumn("_r", F.row_number().over(best_plan)).filter("_r = 1").select(*_PLAN)
-            if self.merge:
-                mine = ranked.join(lead, _PLAN, "left_semi")
-                held = images.join(mine.select(*_PLAN, "unit"), [*_PLAN, "unit"], "left_semi")
-                packed = pack_disjoint(mine.select(*_PLAN, "unit", "rank"), self.quality.keys(held))
-                picks = packed.withColumn("slot", F.lit(0))
-            else:
-                picks = ranked.join(lead, _PLAN, "left_semi").filter("rank = 1").select(*_PLAN, "unit").withColumn("slot", F.lit(0))
-            if self.beam > 1:
-                singles = Window.partitionBy("block").orderBy(F.col("cost") + F.col("delta"), "plan", "unit")
-                extra = ranked.withColumn("slot", F.row_number().over(singles)).filter(F.col("slot") < self.beam).select(*_PLAN, "unit", "slot")
-                picks = picks.unionByName(extra)
-            picks = picks.withColumn("next", F.lit(step * 1000).cast("long") + F.col("slot")).persist()
-            cached.append(picks)
-            # The next plans' changed records: the parent's, overwritten by the picked units'.
-            new = images.join(picks, [*_PLAN, "unit"]).groupBy("block", "next", "plan", "rec").agg(F.first("b").alias("b"), F.first("a").alias("a"))
-            whole = new.select("block", F.col("next").alias("plan"), F.lit(0).cast("long").alias("unit"), "rec", "b", "a")
-            parents = picks.select("block", "plan", "next").distinct()
-            if self._patched is None:
-                patched = new.select("block", F.col("next").alias("plan"), "rec", "b", "a")
-            else:
-                old = self._patched.join(parents, _PLAN).select("block", F.col("next").alias("plan"), "rec", F.col("b").alias("b0"), F.col("a").alias("a0"))
-                both = old.join(new.select("block", F.col("next").alias("plan"), "rec", "b", "a"), [*_PLAN, "rec"], "full")
-                patched = both.select(*_PLAN, "rec", F.coalesce("b0", "b").alias("b"), F.coalesce("a", "a0").alias("a"))
-            # Merged plans are scored again, exactly, from the base relation.
-            patched = written(patched, "patched")
-            drifts_new = None
-            if self.incremental and self.quality.incremental:
-                from_base = patched.withColumn("unit", F.lit(0).cast("long"))
-                delta = self.quality.deltas(from_base, states).select(*_PLAN, "delta")
-                fresh = delta.join(start, "block", "left").select(*_PLAN, (F.coalesce(F.col("cost"), F.lit(0.0)) + F.col("delta")).alias("cost"))
-                drifts_new = [None if d is None else written(d, "drift") for d in self.quality.drifts(from_base)]
-            else:
-                fresh = self._full_costs(patched)
-            fresh = fresh.persist()
-            cached.append(fresh)
-            if chosen is None:
-                steps = picks.select("block", F.col("next").alias("plan"), F.lit(step).alias("step"), "unit")
-            else:
-                before = chosen.join(parents, _PLAN).select("block", F.col("next").alias("plan"), "step", "unit")
-                steps = before.unionByName(picks.select("block", F.col("next").alias("plan"), F.lit(step).alias("step"), "unit"))
-            # Blocks without an extension keep their plans as they are.
-            rest = plans.join(fresh.select("block").distinct(), "block", "left_anti")
-            plans_new = written(rest.unionByName(fresh), "plans")
-            if self._patched is not None:
-                patched = patched.unionByName(self._patched.join(rest.select(*_PLAN), _PLAN, "left_semi"))
-                steps = steps.unionByName(chosen.join(rest.select(*_PLAN), _PLAN, "left_semi"))
-                if drifts_new is not None and drifts is not None:
-                    drifts_new = [d if d is None or o is None else d.unionByName(o.join(rest.select(*_PLAN), _PLAN, "left_semi")) for d, o in zip(drifts_new, drifts, strict=True)]
-            if self._patched is not None:
-                patched = written(patched, "patched")
-            chosen, self._patched, drifts, plans = written(steps, "steps"), patched, drifts_new, plans_new
-            _release(cached)
+            try:
+                with _time_limit(spark, left):
+                    done = self._round(step, plans, states, drifts, chosen, total, exact)
+            except Exception:
+                if left is None or time.monotonic() - self.trace.began < self.budget_s:
+                    raise
+                break  # out of time within a round: the jobs were cancelled
+            if done is None:
+                self.trace.add(step, total, pool_size=pool_size, n_evaluated=self.n_evaluated, n_pruned_bound=0)
+                break
+            plans, chosen, self._patched, drifts, cut = done
             now = float(plans.groupBy("block").agg(F.min("cost").alias("c")).agg(F.sum("c")).first()[0])
-            self.trace.add(step, min(now, total), pool_size=self.pool.count(), n_evaluated=self.n_evaluated, n_pruned_bound=n - kept)
+            self.trace.add(step, min(now, total), pool_size=pool_size, n_evaluated=self.n_evaluated, n_pruned_bound=cut)
             if now < total - _EPS:
                 total, idle = now, 0
                 top = plans.withColumn("_r", F.row_number().over(Window.partitionBy("block").orderBy("cost", "plan"))).filter("_r = 1").select(*_PLAN)
@@ -276,6 +223,82 @@ class Session:
             empty = self.rows.limit(0).select("block", F.lit(0).cast("long").alias("plan"), F.col(self.key).alias("rec"), row.alias("b"), row.alias("a"))
             yield Result(self, total, none, empty, self.trace)
 
+    def _survivors(self, scored: DataFrame, plans: DataFrame, start_cost: float) -> DataFrame:
+        """Scored extensions within gamma of the best: of their worker, then of all."""
+        worth = lambda c: utility(c, self.utility_kind, start_cost)
+        rows = scored.join(plans, _PLAN).withColumn("utility", worth(F.col("cost") + F.col("delta")))
+        known = plans.groupBy("block").agg(F.max(worth(F.col("cost"))).alias("_known"))
+        workers = rows.sparkSession.sparkContext.defaultParallelism
+        local = prune_local(rows, self.gamma, worker=F.struct("block", F.pmod(F.xxhash64("unit", "plan"), F.lit(workers))))
+        final = prune_global(local, self.gamma, by=["block"])
+        # What improves on its plan stays for merging; the rest must be near the frontier's best.
+        return final.join(known, "block").filter((F.col("delta") < -_EPS) | (F.lit(self.beam > 1) & (F.col("utility") >= self.gamma * F.col("_known")))).drop("_known", "utility")
+
+    def _round(self, step, plans, states, drifts, chosen, total, exact):
+        """One round: (plans, chosen, patched, drifts, candidates cut), None if none is left."""
+        # What only this round needs is cached; what the next one starts from is written.
+        images = self.images(self.hits(plans, self._patched)).persist()
+        cached = [images]
+        try:
+            scored = self.score(images, states, drifts).persist()
+            cached.append(scored)
+            n = scored.count()
+            self.n_evaluated += n if exact else 0
+            good = self._survivors(scored, plans, total).persist()
+            cached.append(good)
+            kept = good.count()
+            if not kept:
+                return None
+            lead = plans.withColumn("_r", F.row_number().over(Window.partitionBy("block").orderBy("cost", "plan"))).filter("_r = 1").select(*_PLAN)
+            singles = Window.partitionBy("block").orderBy(F.col("cost") + F.col("delta"), "plan", "unit")
+            picks = good.withColumn("slot", F.row_number().over(singles)).filter(F.col("slot") <= self.beam).select(*_PLAN, "unit", "slot")
+            if self.merge:
+                mine = good.filter(F.col("delta") < -_EPS).join(lead, _PLAN, "left_semi")
+                ranked = mine.withColumn("rank", F.row_number().over(Window.partitionBy(*_PLAN).orderBy("delta", "unit"))).select(*_PLAN, "unit", "rank")
+                held = images.join(ranked.select(*_PLAN, "unit"), [*_PLAN, "unit"], "left_semi")
+                packed = pack_disjoint(ranked, self.quality.keys(held)).withColumn("_n", F.count("*").over(Window.partitionBy("block")))
+                picks = picks.unionByName(packed.filter("_n > 1").select(*_PLAN, "unit", F.lit(0).alias("slot")))
+            picks = picks.withColumn("next", F.lit(step * 1000).cast("long") + F.col("slot")).persist()
+            cached.append(picks)
+            # The next plans' changed records, as their parents leave them and afterwards.
+            new = images.join(picks, [*_PLAN, "unit"]).groupBy("block", "next", "plan", "rec").agg(F.first("b").alias("b"), F.first("a").alias("a")).persist()
+            cached.append(new)
+            if exact:
+                as_unit = new.select(*_PLAN, F.col("next").alias("unit"), "rec", "b", "a")
+                fresh = self.quality.deltas(as_unit, states, drifts).join(plans, _PLAN).select("block", F.col("unit").alias("plan"), (F.col("cost") + F.col("delta")).alias("cost"))
+            else:
+                fresh = self._full_costs(self._patched_by(new, picks))
+            # Plans as they were, merged and single ones: the best stay.
+            both = plans.withColumn("old", F.lit(1)).unionByName(fresh.withColumn("old", F.lit(0)))
+            near = Window.partitionBy("block").orderBy("cost", "old", "plan")
+            after = both.withColumn("_r", F.row_number().over(near)).filter(F.col("_r") <= self.beam).select("block", "plan", "cost")
+            after = written(rebalance(after, min(self.rows.sparkSession.sparkContext.defaultParallelism, 64)), "plans")
+            alive = after.select(*_PLAN)
+            steps = picks.select("block", F.col("next").alias("plan"), F.lit(step).alias("step"), "unit")
+            if chosen is not None:
+                parents = picks.select("block", "plan", "next").distinct()
+                before = chosen.join(parents, _PLAN).select("block", F.col("next").alias("plan"), "step", "unit")
+                steps = steps.unionByName(before).unionByName(chosen)
+            steps = written(steps.join(alive, _PLAN, "left_semi"), "steps")
+            patched = self._patched_by(new, picks)
+            if self._patched is not None:
+                patched = patched.unionByName(self._patched)
+            patched = written(patched.join(alive, _PLAN, "left_semi"), "patched")
+            moved = [None if d is None else written(d, "drift") for d in self.quality.drifts(patched.withColumn("unit", F.lit(0).cast("long")), states)] if exact else None
+            return after, steps, patched, moved, n - kept
+        finally:
+            _release(cached)
+
+    def _patched_by(self, new: DataFrame, picks: DataFrame) -> DataFrame:
+        """(block, plan, rec, b, a) of the next plans: their parents' records, overwritten."""
+        mine = new.select("block", F.col("next").alias("plan"), "rec", "b", "a")
+        if self._patched is None:
+            return mine
+        parents = picks.select("block", "plan", "next").distinct()
+        old = self._patched.join(parents, _PLAN).select("block", F.col("next").alias("plan"), "rec", F.col("b").alias("b0"), F.col("a").alias("a0"))
+        both = old.join(mine, [*_PLAN, "rec"], "full")
+        return both.select(*_PLAN, "rec", F.coalesce("b0", "b").alias("b"), F.coalesce("a", "a0").alias("a"))
+
     def _full_costs(self, patched: DataFrame) -> DataFrame:
         rows = []
         for c in patched.select(*_PLAN).distinct().collect():
@@ -295,10 +318,19 @@ def _release(cached: list[DataFrame]) -> None:
         df.unpersist()
 
 
-def catalog_dictionary(clean: DataFrame, *attrs: str) -> DataFrame:
-    """The words of the clean attributes, for spell checkers."""
-    parts = [clean.select(F.col(a).alias("word")).distinct() for a in attrs]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out.distinct()
+@contextmanager
+def _time_limit(spark, seconds: float | None):
+    """Cancel the jobs that this thread has started when the time is over."""
+    if seconds is None:
+        yield
+        return
+    tag, sc = f"search-{uuid.uuid4().hex[:12]}", spark.sparkContext
+    sc.addJobTag(tag)
+    timer = threading.Timer(seconds, lambda: sc.cancelJobsWithTag(tag))
+    timer.daemon = True
+    timer.start()
+    try:
+        yield
+    finally:
+        timer.cancel()
+        sc.removeJobTag(tag)

@@ -15,7 +15,7 @@ def utility(cost: Column, kind: str = "reciprocal", start: float | None = None)
 
 def prune_local(scored: DataFrame, gamma: float, best_before: float = 0.0, worker: Column | None = None) -> DataFrame:
     """Rows of (…, utility) at least gamma times the best that their worker knows of."""
-    w = Window.partitionBy("_w")
+    w = Window.partitionBy("_w")  # a worker's rows; give ``worker`` where partitions are large
     rows = scored.withColumn("_w", F.spark_partition_id() if worker is None else worker)
     best = F.greatest(F.max("utility").over(w), F.lit(best_before))
     return rows.withColumn("_best", best).filter(F.col("utility") >= gamma * F.col("_best")).drop("_w", "_best")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from repairflow.functions.predicates import box, commute, disjoint, successor
 from repairflow.model import Clause, Plan, Repair, between, cmp, eq, eq_all, is_null, not_null, one_of, prefix
-from repairflow.plans.apply import apply_plan, compile_layers, compose, conflicts, disjoint_rows
+from repairflow.plans.apply import apply_plan, compile_layers, compose, conflicts, disjoint_rows, plan_predicate
 from repairflow.plans.pool import bind, bundle, canonicalize, consensus, expand_keys, generalize, pool_of, support
 
 ROWS = [(1, 1, "NY", 5.0), (2, 2, "New York", -3.0), (3, 3, "Newark", None), (4, 1, None, 7.5), (5, 2, "NY", 0.0)]
@@ -100,6 +100,29 @@ def test_layers_equal_case(tiny, spark):
     assert conflicts(Plan([Repair((eq("a", 1),), "a", 2), Repair((eq("a", 2),), "a", 1)])) == [(0, 1)]
 
 
+def test_literals_are_typed(spark):
+    """Booleans, large doubles, dates, whole numbers: case, layers and bind agree."""
+    import datetime
+
+    df = spark.createDataFrame([(1, True, 1e7, datetime.date(2024, 1, 2), 5, "1"), (2, False, 2.5, datetime.date(2024, 1, 3), 7, "true"), (3, None, None, None, None, None)], "rec_id int, f boolean, p double, d date, n int, s string")
+    rs = [
+        Repair((eq("f", True),), "s", "yes"), Repair((eq("p", 1e7),), "s", "dear"), Repair((eq("d", datetime.date(2024, 1, 3)),), "s", "third"), Repair((eq("n", 5.0),), "s", "five"), Repair((eq("s", "true"),), "f", True),
+        Repair((cmp("p", "ge", 1e7),), "n", 8), Repair((one_of("n", [7.0, 9]),), "p", 1e8), Repair((eq("rec_id", 2),), "d", datetime.date(2020, 2, 2)), Repair((between("d", datetime.date(2024, 1, 1), datetime.date(2024, 1, 2)),), "n", 1),
+    ]
+    for r in rs:
+        case, layers = ({x["rec_id"]: tuple(x) for x in apply_plan(df, Plan([r]), mode).collect()} for mode in ("case", "layers"))
+        changed = {k for k, x in case.items() if x != {y["rec_id"]: tuple(y) for y in df.collect()}[k]}
+        assert case == layers and changed == {x["rec_id"] for x in bind(pool_of(spark, [r]), df, ("rec_id",)).collect()} != set(), r
+    many = Plan(rs[:5] * 12)
+    assert [tuple(x) for x in apply_plan(df, many, "auto").orderBy("rec_id").collect()] == [tuple(x) for x in apply_plan(df, many, "case").orderBy("rec_id").collect()]
+
+
+def test_extended_commutation_and_plan_predicate(tiny):
+    a, b = Repair((eq("a", 1),), "b", "x"), Repair((cmp("c", "ge", 0.0),), "b", "x")
+    assert not commute(a, b) and commute(a, b, extended=True) and conflicts(Plan([a, b]), extended=True) == []
+    assert plan_predicate(Plan([a, b, a])) == [a.pred, b.pred]
+
+
 def test_bundle_acts_at_once(tiny):
     rs = [Repair((eq("b", "NY"),), "a", 7, bundle="s"), Repair((eq("b", "NY"),), "b", "N", bundle="s")]
     for mode in ("case", "layers"):

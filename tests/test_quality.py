@@ -6,10 +6,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from repairflow.model import FD, Repair, eq
-from repairflow.operators.outliers import GaussOutlier
+from repairflow.operators.base import coarse
+from repairflow.operators.outliers import GaussOutlier, HistOutlier, last_good
 from repairflow.plans.pool import pool_of
 from repairflow.quality.quality import Quality, prepared
-from repairflow.quality.terms import EditPenalty, EmptyStrings, FDViolations, GoldCells, OutOfDictionary, Singletons, SqlTerm, WindowAR
+from repairflow.quality.terms import EditPenalty, EmptyStrings, FDViolations, GoldCells, GoldF1, OutOfDictionary, Singletons, SqlTerm, WindowAR
 from repairflow.search.engine import Session
 from repairflow.session import written
 
@@ -70,7 +71,7 @@ def test_delta_under_a_parent(spark, pairs, name):
     first = written(s.images(s.hits(plans, None)), "images")
     unit = sorted(r["unit"] for r in first.select("unit").distinct().collect())[0]
     patched = written(first.filter(F.col("unit") == unit).select("block", "plan", "rec", "b", "a"), "patched")
-    drifts = q.drifts(patched.withColumn("unit", F.lit(0).cast("long")))
+    drifts = q.drifts(patched.withColumn("unit", F.lit(0).cast("long")), q.states(s.rows))
     images = written(s.images(s.hits(plans, patched)), "images")
     middle = s.patch(s.rows, patched)
     base = q.cost(middle)
@@ -81,20 +82,50 @@ def test_delta_under_a_parent(spark, pairs, name):
         assert base + r["delta"] == pytest.approx(q.cost(after), abs=1e-9)
 
 
-def test_window_delta_equals_full(spark):
+@pytest.mark.parametrize("error", ["squared", "absolute"])
+@pytest.mark.parametrize("slide", [None, "2 hours"])
+def test_window_delta_equals_full(spark, error, slide):
+    """Single and whole-tool edits, at the root and under a plan that has changed readings."""
     rng = random.Random(9)
     rows = [(i, "st" if i % 3 else "tt", f"2024-01-01 {i // 3:02d}:{i % 3 * 7:02d}:00", rng.gauss(10, 2) * (20 if i % 13 == 5 else 1)) for i in range(60)]
     df = spark.createDataFrame(rows, "rec_id int, station string, ts string, reading double").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
-    q = Quality([(1.0, WindowAR("reading", "station", "ts"))])
+    q = Quality([(1.0, WindowAR("reading", "station", "ts", error=error, slide=slide))])
     s = Session(df, q)
-    s.add(GaussOutlier("station", ["ts", "rec_id"], attr="reading", k=2, window_size=6).repairs(df))
+    tool = GaussOutlier("station", ["ts", "rec_id"], attr="reading", k=2, window_size=6)
+    few = tool.repairs(df).unionByName(pool_of(spark, [Repair((eq("rec_id", 7),), "reading", None), Repair((eq("rec_id", 21),), "reading", 11.5)]))
+    s.add(few.unionByName(coarse(tool).repairs(df).select(*few.columns)))
     plans = s.rows.select("block").distinct().withColumn("plan", F.lit(0).cast("long"))
+    states = [written(x, "state") for x in q.states(s.rows)]
     images = written(s.images(s.hits(plans, None)), "images")
-    base, got = q.cost(s.rows), q.deltas(images, q.states(s.rows)).collect()
-    assert len(got) >= 3
+    base, got = q.cost(s.rows), q.deltas(images, states).collect()
+    assert len(got) >= 6
     for r in got:
         after = s.patch(s.rows, images.filter(F.col("unit") == r["unit"]))
         assert base + r["delta"] == pytest.approx(q.cost(after), rel=1e-6)
+    worst = max(got, key=lambda r: (r["delta"] > 0, abs(r["delta"])))["unit"]
+    patched = written(images.filter(F.col("unit") == worst).select("block", "plan", "rec", "b", "a"), "patched")
+    drifts = [written(x, "drift") for x in q.drifts(patched.withColumn("unit", F.lit(0).cast("long")), states)]
+    middle = written(s.patch(s.rows, patched), "middle")
+    images = written(s.images(s.hits(plans, patched)), "images")
+    base, got = q.cost(middle), q.deltas(images, states, drifts).collect()
+    assert got
+    for r in got:
+        after = s.patch(middle, images.filter(F.col("unit") == r["unit"]))
+        assert base + r["delta"] == pytest.approx(q.cost(after), rel=1e-6)
+
+
+def test_f1_delta_equals_full(spark, pairs):
+    truth = pairs.withColumn("y", F.upper("y"))
+    q = Quality([(1.0, GoldF1(("x", "y")))])
+    s = Session(pairs, q, truth=truth)
+    values = [r["y"] for r in pairs.select("y").distinct().collect() if r["y"]]
+    s.add(pool_of(spark, [Repair((eq("y", v),), "y", w) for v in values for w in (v.upper(), "zz")]))
+    plans = s.rows.select("block").distinct().withColumn("plan", F.lit(0).cast("long"))
+    images = written(s.images(s.hits(plans, None)), "images")
+    base = q.cost(s.rows)
+    for r in q.deltas(images, q.states(s.rows)).collect():
+        assert base + r["delta"] == pytest.approx(q.cost(s.patch(s.rows, images.filter(F.col("unit") == r["unit"]))))
+    assert base == 1.0 and s.run().cost == pytest.approx(0.0)
 
 
 def test_first_order_differs(spark):
@@ -120,6 +151,49 @@ def test_weights_sql_and_normalisation(spark, pairs):
     assert prepared(pairs, ["x"]).columns == ["rec_id", "x", "y", "block", "_base_x"]
 
 
+def _readings(spark, n=140):
+    rng = random.Random(3)
+    rows = [(i, "ab"[i % 2], i // 2, None if i % 17 == 0 else rng.gauss(10, 2) * (9 if i % 13 == 5 else 1)) for i in range(n)]
+    return rows, spark.createDataFrame(rows, "rec_id int, station string, ts int, reading double")
+
+
+def test_sliding_histogram_against_brute_force(spark):
+    rows, df = _readings(spark)
+    tool = HistOutlier("station", ["ts"], attr="reading", window_size=30, outlier_threshold=0.08, peak_threshold=0.2, bins=10)
+    got = {r["rec_id"]: r["flagged"] for r in tool.flag(df).collect()}
+    want = {}
+    for s in "ab":
+        mine = [r for r in rows if r[1] == s]
+        for k, r in enumerate(mine):
+            seen = [x[3] for x in mine[max(0, k - 29) : k + 1] if x[3] is not None]
+            if r[3] is None:
+                want[r[0]] = False
+                continue
+            lo, hi = min(seen), max(seen)
+            bin_ = lambda x: min(int((x - lo) / (hi - lo) * 10), 9) if hi > lo else 0
+            want[r[0]] = sum(bin_(x) == bin_(r[3]) for x in seen) / len(seen) < 0.08
+    assert got == want and any(want.values())
+
+
+@pytest.mark.parametrize("size", [4, 11, 40])
+def test_bucketed_detectors_equal_whole_series(spark, size):
+    """Buckets with a halo, also of fewer rows than the window, give the same flags and fills."""
+    _, df = _readings(spark)
+    for kind, options in ((GaussOutlier, {"k": 2, "window_size": 12}), (HistOutlier, {"window_size": 20, "outlier_threshold": 0.08, "peak_threshold": 0.2})):
+        flags, fills = [], []
+        for bucket in (None, F.floor(F.col("ts") / size)):
+            tool = kind("station", ["ts", "rec_id"], attr="reading", bucket=bucket, **options)
+            flags.append({(r["rec_id"], r["flagged"]) for r in tool.flag(df).collect()})
+            fills.append({(r["pred"][0]["lo"], r["value"]) for r in tool.repairs(df).collect()})
+        assert flags[0] == flags[1] and len(flags[0]) == df.count() and fills[0] == fills[1]
+
+
+def test_last_good_frames_grow(spark):
+    _, df = _readings(spark)
+    plan = last_good(df.withColumn("f", F.col("rec_id") % 5 == 0), "f", "reading", "station", ["ts"])._jdf.queryExecution().executedPlan().toString()
+    assert "unboundedfollowing" not in plan.lower()
+
+
 def test_selfjoin_equals_groups(spark, pairs):
     term = FDViolations(FD.parse("x -> y"))
     rows = pairs.withColumn("block", F.lit(0).cast("long"))

@@ -17,8 +17,8 @@ from repairflow.operators.dependencies import FDChase
 from repairflow.operators.strings import SpellReplace
 from repairflow.plans.apply import apply_plan
 from repairflow.plans.pool import pool_of
-from repairflow.quality.quality import Quality
-from repairflow.quality.terms import EditPenalty, FDViolations, OutOfDictionary, Singletons
+from repairflow.quality.quality import Quality, prepared
+from repairflow.quality.terms import EditPenalty, FDViolations, OutOfDictionary, Singletons, SqlTerm
 from repairflow.queries_repair import catalog, items
 from repairflow.queries_search import catalog_library, catalog_quality, catalog_session
 from repairflow.runtime import sampler
@@ -59,6 +59,61 @@ def test_search_reaches_brute_force(spark, tiny):
     assert result.repairs().count() == 3
 
 
+def test_merge_counts_only_if_better(spark):
+    """Two repairs that each reach the optimum and together miss it: a term without keys."""
+    df = spark.createDataFrame([(1, 5), (2, 9)], "rec_id int, v int")
+    rs = [Repair((eq("v", 5),), "v", 1), Repair((eq("v", 9),), "v", 5)]
+    for merge in (True, False):
+        s = Session(df, Quality([(1.0, SqlTerm("select abs(sum(v) - 10) as off from T"))]), merge=merge)
+        s.add(pool_of(spark, rs))
+        assert s.run().cost == 0
+
+
+def test_merging_never_ends_worse(spark):
+    rng = random.Random(12)
+    for case in range(4):
+        df = written(spark.createDataFrame([(i, rng.choice("pqr"), rng.choice("uvw")) for i in range(12)], "rec_id int, x string, y string"), "case")
+        rs = [Repair((eq("x", rng.choice("pqr")), eq("y", rng.choice("uvw"))), rng.choice("xy"), rng.choice("pqruvw")) for _ in range(8)]
+        q = Quality([(1.0, FDViolations(FD.parse("x -> y"))), (0.7, Singletons("y")), (0.3, EditPenalty(("x", "y")))])
+        costs = {}
+        for merge, beam in ((True, 1), (False, 1), (True, 4)):
+            s = Session(df, q, merge=merge, beam=beam, max_rounds=6)
+            s.add(pool_of(spark, rs))
+            r = s.run()
+            costs[merge, beam] = r.cost
+            assert r.cost <= q.cost(prepared(df, ["x", "y"])) and q.cost(prepared_after(df, r)) == pytest.approx(r.cost)
+        assert costs[True, 1] <= costs[False, 1] + 1e-9 or case, costs
+
+
+def prepared_after(df, result):
+    """The cleaned relation with the dirty cells beside it."""
+    base = prepared(df, ["x", "y"]).select("rec_id", "block", "_base_x", "_base_y")
+    return result.cleaned().join(base, "rec_id")
+
+
+def test_wide_frontier_keeps_plans_that_do_not_improve(spark):
+    """A step that costs at first opens the plan that pays; a frontier of one misses it."""
+    df = spark.createDataFrame([(1, "a", "x"), (2, "a", "x"), (3, "b", "y"), (4, "b", "y")], "rec_id int, x string, y string")
+    rs = [Repair((eq("x", "a"),), "x", "b"), Repair((eq("x", "b"), eq("y", "x")), "y", "y")]
+    q = Quality([(1.0, SqlTerm("select 2 * count(distinct x) + count(distinct y) + case when count(distinct x) < count(distinct y) then 3 else 0 end as n from T"))])
+    costs = {}
+    for beam in (1, 3):
+        s = Session(df, q, beam=beam, merge=False, gamma=0.5, patience=2)
+        s.add(pool_of(spark, rs))
+        costs[beam] = s.run().cost
+    assert costs == {1: 6.0, 3: 3.0}
+
+
+def test_budget_cancels_a_round(spark, tiny):
+    q = Quality([(1.0, FDViolations(FD.parse("x -> y"))), (1.0, Singletons("x"))])
+    s = Session(tiny, q, budget_s=0.4)
+    s.add(pool_of(spark, [Repair((eq("x", "rr"),), "x", "r")]))
+    s.trace.began = time.monotonic()
+    began = time.monotonic()
+    r = s.run()
+    assert time.monotonic() - began < 30 and r.cost <= q.cost(tiny)
+
+
 def test_order_dependent_plan_needs_two_rounds(spark):
     df = spark.createDataFrame([(1, "aa"), (2, "bb"), (3, "cc"), (4, "cc")], "rec_id int, x string")
     rs = [Repair((eq("x", "aa"),), "x", "bb"), Repair((eq("x", "bb"),), "x", "cc")]
