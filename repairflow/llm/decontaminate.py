@@ -108,7 +108,7 @@ def item_seeds(items: DataFrame, seed: int, frequent: set[int], rare_items: int)
                 words = K.text_words(text.as_py())
                 n = min(seed, len(words))
                 grams = sized_grams(words, n) if n else np.zeros(0, np.uint64)
-                plain = np.convolve(np.isin(words, usual), np.ones(max(n, 1), int), "valid")[: len(grams)] == n
+                plain = np.convolve(np.isin(words, usual), np.ones(n, int), "valid") == n if n else np.zeros(0, bool)
                 for o, c in zip(out, (grams.view(np.int64), np.full(len(grams), item), np.arange(len(grams)), np.full(len(grams), n), plain), strict=True):
                     o.append(c)
             seeds, item, place, n, plain = (np.concatenate(o) for o in out)

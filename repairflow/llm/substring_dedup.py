@@ -9,7 +9,9 @@ words at enough identity are passages; passages of a document are merged, and th
 ones over ``min_words`` are reported against the pivots they repeat.
 
 A seed is first tied inside a task, so that however many documents hold it, one row
-a task goes on to meet the others.
+a task goes on to meet the others.  Seeds carry two bits of each of the words beside
+them: a chain of a single seed goes on to be aligned only if the words before it or
+those after it mostly agree, which chance does for one pair of places in twenty.
 
 Defined results: null and empty texts have no passage; of equal texts all but the
 first are reported as repeats of a whole text; rows that repeat an id are one
@@ -158,22 +160,45 @@ def align_chain(chain: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[int, i
     return a0, a1, b0, b1, matched + more + most
 
 
-def local_ties(seed: np.ndarray, node: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+_BESIDE, _AGREE = 8, 5
+
+
+def beside(words: np.ndarray, where: np.ndarray, seed_words: int) -> np.ndarray:
+    """Two bits of each of the eight words before and after the seeds at ``where``."""
+    pad = np.zeros(_BESIDE, dtype=np.uint32)
+    bits = np.concatenate((pad, (words >> np.uint64(62)).astype(np.uint32), pad))
+    out = np.zeros(len(where), dtype=np.uint32)
+    for i in range(_BESIDE):
+        out |= bits[where + _BESIDE - 1 - i] << np.uint32(2 * i)
+        out |= bits[where + _BESIDE + seed_words + i] << np.uint32(2 * (_BESIDE + i))
+    return out.view(np.int32)
+
+
+def agreeing(one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Whether five of the eight words on either side agree, by their two bits."""
+    differ = one.view(np.uint32) ^ two.view(np.uint32)
+    equal = ~(differ | differ >> np.uint32(1)) & np.uint32(0x55555555)
+    half = np.uint32((1 << 2 * _BESIDE) - 1)
+    return (np.bitwise_count(equal & half) >= _AGREE) | (np.bitwise_count(equal & ~half) >= _AGREE)
+
+
+def local_ties(seed: np.ndarray, node: np.ndarray, place: np.ndarray, context: np.ndarray) -> tuple[np.ndarray, ...]:
     """Sort seeds by (seed, node, place) and tie each to the first of its seed.
 
-    Returns the sorted arrays with the pivot's node and place for each row.
+    Returns the sorted arrays with the pivot's node and place for each row, and whether
+    the words beside both agree.
     """
     order = np.lexsort((place, node, seed))
-    seed, node, place = seed[order], node[order], place[order]
+    seed, node, place, context = seed[order], node[order], place[order], context[order]
     first = np.ones(len(seed), dtype=bool)
     first[1:] = seed[1:] != seed[:-1]
     head = np.maximum.accumulate(np.where(first, np.arange(len(seed)), 0))
-    return seed, node, place, node[head], place[head]
+    return seed, node, place, context, node[head], place[head], agreeing(context, context[head])
 
 
 _PACKED_ROWS = pa.schema([("bucket", pa.int32()), ("tied", pa.bool_()), ("planes", pa.binary())])
-_SEED_ROWS = pa.schema([("seed", pa.int64()), ("node", pa.int64()), ("place", pa.int32()), ("a", pa.int64()), ("at", pa.int32())])
-_TIE_ROWS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("at", pa.int32()), ("place", pa.int32())])
+_SEED_ROWS = pa.schema([("seed", pa.int64()), ("node", pa.int64()), ("place", pa.int32()), ("context", pa.int32()), ("a", pa.int64()), ("at", pa.int32()), ("near", pa.int8())])
+_TIE_ROWS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("at", pa.int32()), ("place", pa.int32()), ("near", pa.int8())])
 
 
 def to_planes(cols: list[np.ndarray]) -> bytes:
@@ -204,21 +229,22 @@ def seed_rows(seed_words: int, window: int, buckets: int, flush: int = 1 << 19):
         return [(int(bucket[lo]), tied, to_planes([c[lo:hi] for c in cols])) for lo, hi in zip(first, ends, strict=True)]
 
     def flat(held):
-        seed, node, place, a, at = local_ties(*[np.concatenate(x) for x in zip(*held, strict=True)])
+        seed, node, place, context, a, at, near = local_ties(*[np.concatenate(x) for x in zip(*held, strict=True)])
         own = np.ones(len(seed), dtype=bool)
         own[1:] = seed[1:] != seed[:-1]
         tied = ~own & (node != a)  # a document repeats a seed: its first place is enough
-        out = packed(False, seed[own], [seed[own], node[own], place[own]])
-        out += packed(True, seed[tied] ^ node[tied], [node[tied], place[tied], a[tied], at[tied]])
+        out = packed(False, seed[own], [seed[own], node[own], place[own], context[own]])
+        out += packed(True, seed[tied] ^ node[tied], [node[tied], place[tied], a[tied], at[tied], near[tied].astype(np.int8)])
         return pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(_PACKED_ROWS)], schema=_PACKED_ROWS)
 
     def run(batches):
         held, n = [], 0
         for batch in batches:
             for rid, text in zip(batch.column("rid").to_pylist(), batch.column("text"), strict=True):
-                grams = K.ngram_hashes(K.text_words(text.as_py()), seed_words)
+                words = K.text_words(text.as_py())
+                grams = K.ngram_hashes(words, seed_words)
                 where = K.minimizers(grams, window)
-                held.append((grams[where].view(np.int64), np.full(len(where), rid, dtype=np.int64), where.astype(np.int32)))
+                held.append((grams[where].view(np.int64), np.full(len(where), rid, dtype=np.int64), where.astype(np.int32), beside(words, where, seed_words)))
                 n += len(where)
                 if n >= flush:
                     yield flat(held)
@@ -230,11 +256,12 @@ def seed_rows(seed_words: int, window: int, buckets: int, flush: int = 1 << 19):
 
 
 def unpack_rows(batches):
-    """Seed rows (seed, node, place, a, at) of packed ones; a tie has no need of its seed."""
+    """Seed rows of packed ones: (seed, node, place, context), or of a tie, which has no
+    need of its seed, (node, place, a, at, near)."""
     for batch in batches:
         tied = batch.column("tied").to_numpy(zero_copy_only=False)
         for kind in (False, True):
-            names = ("node", "place", "a", "at") if kind else ("seed", "node", "place")
+            names = ("node", "place", "a", "at", "near") if kind else ("seed", "node", "place", "context")
             rows = [from_planes(x, [_SEED_ROWS.field(c).type.to_pandas_dtype() for c in names]) for x in batch.column("planes").filter(pa.array(tied == kind)).to_pylist()]
             if rows:
                 cols = dict(zip(names, (np.concatenate(x) for x in zip(*rows, strict=True)), strict=True))
@@ -244,25 +271,26 @@ def unpack_rows(batches):
 
 def global_ties(batches):
     """Ties of seed rows that come sorted by seed: local pivots to the first, others as named."""
-    last = None  # (seed, node, place) of the run at hand
+    last = None  # (seed, node, place, context) of the run at hand
     for batch in batches:
         seed, node, place = (batch.column(c).to_numpy() for c in ("seed", "node", "place"))
         tied = batch.column("a").is_valid().to_numpy(zero_copy_only=False)
-        a, at = batch.column("a").fill_null(0).to_numpy().copy(), batch.column("at").fill_null(0).to_numpy().copy()
+        a, at, near, context = (batch.column(c).fill_null(0).to_numpy().copy() for c in ("a", "at", "near", "context"))
         own = np.flatnonzero(~tied)
         if len(own):
             s = seed[own]
             first = np.ones(len(s), dtype=bool)
             first[1:] = s[1:] != s[:-1]
             head = np.maximum.accumulate(np.where(first, np.arange(len(s)), 0))
-            a[own], at[own] = node[own][head], place[own][head]
+            a[own], at[own], pivot = node[own][head], place[own][head], context[own][head]
             if last is not None:
-                same = own[: int(np.searchsorted(head, 1)) if s[0] == last[0] else 0]
-                a[same], at[same] = last[1], last[2]
+                same = int(np.searchsorted(head, 1)) if s[0] == last[0] else 0
+                a[own[:same]], at[own[:same]], pivot[:same] = last[1:]
+            near[own] = agreeing(context[own], pivot)
             tail = own[-1]
-            last = (seed[tail], a[tail], at[tail])
+            last = (seed[tail], a[tail], at[tail], pivot[-1])
         keep = node != a
-        yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(node[keep]), pa.array(at[keep]), pa.array(place[keep])], schema=_TIE_ROWS)
+        yield pa.RecordBatch.from_arrays([pa.array(x[keep]) for x in (a, node, at, place, near)], schema=_TIE_ROWS)
 
 
 def chain_rows(seed_words: int, window: int):
@@ -273,10 +301,14 @@ def chain_rows(seed_words: int, window: int):
     def run(batches):
         for batch in batches:
             out = []
-            for a, b, xs, ys in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), batch.column("at"), batch.column("place"), strict=True):
-                runs = seed_runs(np.array(xs.values, dtype=np.int64), np.array(ys.values, dtype=np.int64), seed_words, window + seed_words)
-                for c in chains(runs):
-                    around = _GAP if len(c) == 1 and c[0, 2] == seed_words else 2 * _GAP  # past a gap from a single seed another would have chained
+            for a, b, xs, ys, zs in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), batch.column("at"), batch.column("place"), batch.column("near"), strict=True):
+                x, y, near = (v.values.to_numpy().astype(np.int64) for v in (xs, ys, zs))
+                agree = set(zip(x[near > 0].tolist(), y[near > 0].tolist(), strict=True))
+                for c in chains(seed_runs(x, y, seed_words, window + seed_words)):
+                    single = len(c) == 1 and c[0, 2] == seed_words
+                    if single and (int(c[0, 0]), int(c[0, 1])) not in agree:
+                        continue
+                    around = _GAP
                     for pivot, doc, other, k in ((True, a, b, 0), (False, b, a, 1)):
                         lo = max(0, int(c[0, k]) - around)
                         out.append((doc, pivot, other, int(c[0, 0]), int(c[0, 1]), lo, int(c[-1, k] + c[-1, 2]) + around, None if pivot else c.ravel().astype(np.int32)))
@@ -347,9 +379,10 @@ def repeated_passages(
 
     buckets = 16 * int(documents.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
     packed = docs.mapInArrow(seed_rows(seed_words, window, buckets), "bucket int, tied boolean, planes binary").repartition("bucket")
-    seeds = packed.mapInArrow(unpack_rows, "seed long, node long, place int, a long, at int")
-    ties = seeds.sortWithinPartitions("seed", "node", "place").mapInArrow(global_ties, "a long, b long, at int, place int")
-    pairs = ties.groupBy("a", "b").agg(F.collect_list("at").alias("at"), F.collect_list("place").alias("place"))
+    seeds = packed.mapInArrow(unpack_rows, "seed long, node long, place int, context int, a long, at int, near byte")
+    ties = seeds.sortWithinPartitions("seed", "node", "place").mapInArrow(global_ties, "a long, b long, at int, place int, near byte")
+    pairs = ties.groupBy("a", "b").agg(F.collect_list("at").alias("at"), F.collect_list("place").alias("place"), F.collect_list("near").alias("near"))
+    pairs = pairs.filter((F.size("at") > 1) | (F.col("near")[0] > 0))
     sides = pairs.mapInArrow(chain_rows(seed_words, window), "doc long, pivot boolean, other long, x int, y int, lo int, hi int, runs array<int>")
     met = sides.join(docs, sides.doc == docs.rid).drop("rid")
     cuts = met.mapInArrow(cut_words, "x int, y int, pivot boolean, doc long, other long, lo int, runs array<int>, words binary, marks binary, length long")

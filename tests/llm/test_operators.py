@@ -207,6 +207,40 @@ def test_html_results_do_not_depend_on_arrays(spark):
     assert [k for k, r in parts.items() if notice in r[2]] == [200]
 
 
+def test_html_template_in_marked_articles(spark):
+    """A template run in an article is told, and cut on demand; headings and copies stay."""
+    rng = np.random.default_rng(10)
+    fill = lambda n: " ".join("".join(rng.choice(list("abcdefghij"), 6)) for _ in range(n))
+    bar, title, shared = fill(12), fill(9), fill(40)
+    rows = [(i, f"http://t.example/{i}", f"<nav>{title}</nav><article><h1>{title if i == 5 else fill(9)}</h1><p>{fill(20)}</p><p>{bar if i == 7 else shared}</p></article><footer>{bar}</footer>") for i in range(60)]
+    rows += [(100 + i, f"http://t.example/u{i}", f"<div>{fill(20)}</div><div>{bar}</div>") for i in range(3)] + [(200, "http://t.example/x", "")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for arrays in (1000, 8):
+        whole, cut = ({r["page_id"]: r for r in html_extract.extract(pages, pages_per_array=arrays, cut_marked=c).collect()} for c in (False, True))
+        assert bar in whole[7]["text"] and bar not in cut[7]["text"] and whole[7]["repeated_share"] == cut[7]["repeated_share"] > 0.2
+        assert cut[5]["text"].startswith(title) and all(shared in cut[i]["text"] for i in range(60) if i != 7)
+        assert all(bar not in whole[100 + i]["text"] and len(whole[100 + i]["text"].split()) == 20 for i in range(3)) and len(whole) == len(rows)
+
+
+def test_html_is_read_in_linear_time():
+    import time
+
+    for html in ("<a " * 350_000, "<i>" * 60_000 + "</q>" * 60_000, "<p><div>" + "<i>" * 60_000 + "<hr>" * 60_000, "<!x" * 300_000, "<!--" * 200_000, "<![CDATA[" * 100_000, "<p>a" * 100_000, "<option>" * 100_000, "x" * 1_000_000):
+        start = time.process_time()
+        html_extract.read_blocks(html)
+        assert time.process_time() - start < 5, html[:20]
+    assert html_extract.read_blocks("a <b") == [("n", "a <b")] and html_extract.read_blocks("a<!-- b <p>c") == [("n", "a")] and html_extract.read_blocks("a<![CDATA[b") == [("n", "ab")]
+
+
+def test_html_edges(spark, odd):
+    pages = odd.withColumn("page_id", F.col("doc_id")).withColumn("url", F.lit("http://o.example/")).withColumn("html", F.col("text")).withColumn("host", F.lit("clash")).withColumn("blocks", F.lit(1))
+    for arrays in (100, 3):
+        got = html_extract.extract(pages, pages_per_array=arrays).collect()
+        assert len(got) == odd.count() and all(r["n_chars"] == len(r["text"]) for r in got)
+        assert {r["text"] for r in got if r["page_id"] == 4} == {"one"} and sorted(r["text"] for r in got if r["page_id"] is None)[0] == ""
+    assert html_extract.extract(pages.limit(0)).count() == 0
+
+
 def test_repeated_positions_against_brute_force():
     rng = np.random.default_rng(2)
     streams = [rng.integers(0, 3, n) for n in (40, 60, 0, 5, 80)]
@@ -423,6 +457,7 @@ def test_chains_of_candidates_are_compared_by_trie_node(spark, monkeypatch):
     assert {k: r["n_links"] for k, r in got.items()} == {k: links[k] for k, _ in rows}
     assert {r["class_id"] for k, r in got.items() if 2000 <= k} == {2000} and got[1000]["class_id"] == 0 and got[1]["class_id"] == 1
     assert {r["tree"] == -1 for r in seen[0].select("tree").distinct().collect()} == {True, False}
+    assert max(r["size"] for r in seen[0].filter("home < 0 or home >= 0").collect()) <= 40
 
 
 def test_components_against_brute_force(spark):
@@ -491,8 +526,6 @@ def test_decontamination_catches_edited_passages(spark):
     rows = [(1, "before " + edited + " after"), (2, "clean text of other words entirely"), (3, None), (None, "x " + item), (5, ""), (6, "has two words inside")]
     got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
     assert got == {(1, 1), (1, 4), (None, 1), (None, 4), (6, 2)}
-    blocks = decontaminate.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), bench, block=1)
-    assert {(r["doc_id"], r["item_id"]) for r in blocks.collect()} == got
 
 
 def test_decontamination_finds_long_excerpts_and_counts_words_once(spark):
@@ -500,12 +533,58 @@ def test_decontamination_finds_long_excerpts_and_counts_words_once(spark):
     rows = [(1, "some words before " + " ".join(item[60:160]) + " and after"), (2, " ".join(item[:30]) + " and other words")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     items = spark.createDataFrame([(7, " ".join(item)), (8, "the the the x y"), (9, "of of of x z")], "item_id long, text string")
-    for block in (20_000, 1):
-        assert [(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(docs, items, block=block).collect()] == [(1, 7)]
-        assert [r["doc_id"] for r in decontaminate.drop_contaminated(docs, items, block=block).collect()] == [2]
+    assert [(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(docs, items).collect()] == [(1, 7)]
+    assert [r["doc_id"] for r in decontaminate.drop_contaminated(docs, items).collect()] == [2]
     assert decontaminate.frequent_words(items, 2) == {int(kernels.text_words(w)[0]) for w in ("the", "of")}
 
 
+def test_decontamination_without_filters_and_with_shared_seeds(spark, monkeypatch):
+    """Beyond the bounds of what is broadcast, and for items without a rare seed, the
+    same rows are found; they equal alignments of all pairs that share a seed."""
+    rng = np.random.default_rng(12)
+    word = lambda: "".join(rng.choice(list("abcdefgh"), 5))
+    stem = [word() for _ in range(14)]
+    items = [(i, " ".join(stem + [word() for _ in range(2)])) for i in range(12)] + [(50 + i, " ".join(word() for _ in range(30))) for i in range(10)] + [(90, stem[0])]
+    rows = []
+    for k in range(60):
+        words = items[k % 22][1].split()
+        for i in rng.choice(len(words), len(words) // 6, replace=False):
+            words[i] = word()
+        rows.append((k, " ".join([word() for _ in range(20)] + words + [word() for _ in range(10)])))
+    docs, bench = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    key = lambda r: (r["doc_id"], r["item_id"], round(r["score"], 6))
+    one = sorted(map(key, decontaminate.contaminated(docs, bench).collect()))
+    monkeypatch.setattr(decontaminate, "FILTER_SEEDS", 3)
+    monkeypatch.setattr(decontaminate, "FEW_FOUND", 0)
+    assert sorted(map(key, decontaminate.contaminated(docs, bench).collect())) == one
+    found = {d for d, _, _ in one}
+    assert {r["doc_id"] for r in decontaminate.drop_contaminated(docs, bench).collect()} == set(range(60)) - found
+    want, df = set(), collections.Counter(g for _, x in items for g in shingles(x))
+    for d, t in rows:
+        w = t.split()
+        for i, x in items:
+            v = x.split()
+            n = min(5, len(v))
+            grams = {g for g in shingles(x) if df[g] <= 8} or shingles(x)
+            if grams & {tuple(w[j : j + n]) for j in range(len(w) - n + 1)}:
+                score = plain_alignment(v, w) / (2 * len(v))
+                if score >= 0.5:
+                    want.add((d, i, round(score, 6)))
+    whole = {x for x in want if x[1] < 12}  # items that share their stem: found by seeds of few items, or by all
+    best = {(d, i): x for d, i, x in want}
+    assert all(x <= best[d, i] for d, i, x in one) and {x[:2] for x in want if x[1] >= 12} <= {x[:2] for x in one} and {d for d, _, _ in whole} <= found
+
+
+def test_decontamination_edges(spark, odd):
+    bench = spark.createDataFrame([(1, " ".join(f"w{i}" for i in range(80))), (None, "one"), (2, None), (3, ""), (1, " ".join(f"w{i}" for i in range(80)))], "item_id long, text string").withColumn("doc_id", F.lit("clash")).withColumn("seed", F.lit(0))
+    got = sorted(((r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(odd, bench).collect()), key=str)
+    assert got == [(1, 1), (4, None), (6, 1), (9, 1)]
+    kept = decontaminate.drop_contaminated(odd, bench)
+    assert kept.columns == odd.columns and kept.count() == odd.count() - 5
+    assert decontaminate.contaminated(odd.limit(0), bench).count() == 0 == decontaminate.contaminated(odd, bench.limit(0)).count()
+    assert decontaminate.drop_contaminated(odd, bench.limit(0)).count() == odd.count()
+
+
 def test_decontamination_whole_table(spark, docs, texts, small):
     items = {r["item_id"]: r["text"] for r in table(spark, small, "benchmark").collect()}
     inside = {(d, i) for d, t in texts.items() for i, x in items.items() if x in t}
