@@ -373,7 +373,7 @@ def stream_without_repeats(spark, sf):
     return streams.run_to_table(streams.without_repeats(twice, "ts", "1 day", ["event_id"]).select("event_id", "event_type"), "once")
 
 
-@query()
+@query("select event_id, event_type, value, last_value(case when value <= 150 then value end ignore nulls) over (partition by event_type order by ts, event_id rows between unbounded preceding and current row) as good from events")
 def stream_last_good(spark, sf):
     s = streams.last_good_stream(_stream(spark, sf, "events"), "event_type", "ts", "value", lambda v: v > 150, key="event_id")
     return streams.run_to_table(s, "good")

@@ -10,13 +10,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import measures
-from .functions.predicates import commute
+from .functions.predicates import commute, predicate
 from .model import FD, Plan, Repair, between, cmp, eq, eq_all, is_null, prefix
 from .operators.dependencies import FDChase, StatisticalFD
 from .operators.outliers import GaussOutlier, HistOutlier, PCAOutlier, last_good, last_good_bucketed
 from .operators.strings import EditMatch, FillMissing, MinHashReplace, RangeNullify, SpellReplace, SplitFields, apply_pool
-from .plans.apply import apply_plan, compile_layers, compose
-from .plans.pool import bind, consensus, expand_keys, generalize, pool_of
+from .plans.apply import apply_plan, compile_layers, compose, disjoint_rows, plan_predicate
+from .plans.pool import bind, bundle, canonicalize, consensus, expand_keys, generalize, pool_of
 from .sources.fixtures import WIDE_ATTRS, WIDE_FDS, build, ctes
 
 QUERIES, ORACLES = {}, {}
@@ -179,7 +179,14 @@ def o_minhash_pairs(spark, sf):
     return MinHashReplace(attr="item", thresh=0.6).pairs(catalog(spark, sf)).select("a", "b", F.round("jaccard", 6).alias("jaccard"))
 
 
-@query()
+_MINHASH_PAIRS = ORACLES["o_minhash_pairs"]
+
+
+@query(
+    "with recursive jp as (" + _MINHASH_PAIRS + "), both_ as (select a, b from jp union all select b, a from jp), reach as (select a, a as b from both_ union select r.a, e.b from reach r join both_ e on r.b = e.a),"
+    + " cnts as (" + ctes("catalog") + " select item as v, count(*) as cnt from catalog_dirty where item is not null group by 1),"
+    + " heads as (select a as v, b as word, row_number() over (partition by a order by c.cnt desc, b) as rn from reach join cnts c on c.v = reach.b) select v, word from heads where rn = 1 and v <> word"
+)
 def o_minhash_replace(spark, sf):
     return MinHashReplace(attr="item", thresh=0.6).replacements(catalog(spark, sf))
 
@@ -259,9 +266,36 @@ HIST_SQL = """nn as (select *, (row_number() over (partition by station order by
 
 @query("with " + HIST_SQL + " select rec_id, true as flagged from flags where share < 0.04 and share < 0.1", "series")
 def o_hist(spark, sf):
+    return detector(HistOutlier, outlier_threshold=0.04, peak_threshold=0.1, window_size=50, tumbling=True).flag(series(spark, sf)).filter("flagged").select("rec_id", "flagged")
+
+
+SLIDING_SQL = """ws as (select rec_id, reading, list(reading) over (partition by station order by ts, rec_id rows between 49 preceding and current row) as seen from series_dirty),
+ bw as (select rec_id, reading, seen, list_min(seen) as lo, list_max(seen) - list_min(seen) as wide from ws),
+ flags as (select rec_id, case when wide > 0 then len(list_filter(seen, lambda x: least(floor((x - lo) / wide * 20), 19) = least(floor((reading - lo) / wide * 20), 19))) else len(seen) end::double / len(seen) as share from bw)"""
+
+
+@query("with " + SLIDING_SQL + " select rec_id, true as flagged from flags where share < 0.04 and share < 0.1", "series")
+def o_hist_sliding(spark, sf):
+    """Each reading against the histogram of the fifty up to it."""
     return detector(HistOutlier, outlier_threshold=0.04, peak_threshold=0.1, window_size=50).flag(series(spark, sf)).filter("flagged").select("rec_id", "flagged")
 
 
+@query("with " + GAUSS_SQL.format(k=3) + " select rec_id, flagged from flags where flagged", "series")
+def o_gauss_bucketed(spark, sf):
+    """The same flags where a series is cut into days with a halo of the window."""
+    return detector(GaussOutlier, k=3, window_size=20, bucket=F.date_trunc("day", "ts")).flag(series(spark, sf)).filter("flagged").select("rec_id", "flagged")
+
+
+PCA_SQL = """lg as (select rec_id, reading as x, lag(reading) over (partition by station order by ts, rec_id) as y from series_dirty),
+ st as (select avg(x) as mx, avg(y) as my, covar_pop(x, x) as a, covar_pop(x, y) as b, covar_pop(y, y) as c from lg where x is not null and y is not null)"""
+
+
+@query("with " + PCA_SQL + " select rec_id, true as flagged from lg, st where y is not null and (c * (x - mx) * (x - mx) - 2 * b * (x - mx) * (y - my) + a * (y - my) * (y - my)) / (a * c - b * b) > 20", "series")
+def o_pca_pair(spark, sf):
+    """Vectors of two readings, for which the components have a closed form."""
+    return detector(PCAOutlier, outlier_threshold=20.0, window_size=2).flag(series(spark, sf)).filter("flagged").select("rec_id", "flagged")
+
+
 @query()
 def o_pca(spark, sf):
     return detector(PCAOutlier, outlier_threshold=30.0, window_size=4).flag(series(spark, sf)).filter("flagged").select("rec_id", "flagged")
@@ -452,6 +486,73 @@ def w5_split_applied(spark, sf):
     return df
 
 
+TYPED = """typed as (select rec_id, price > 950 as dear, price * 10000 as big, cast(rec_id % 7 as int) as digit, item from catalog_dirty)"""
+
+
+def _typed(spark, sf) -> DataFrame:
+    return catalog(spark, sf).select("rec_id", (F.col("price") > 950).alias("dear"), (F.col("price") * 10000).alias("big"), (F.col("rec_id") % 7).cast("int").alias("digit"), "item")
+
+
+TYPED_REPAIRS = [
+    Repair((eq("dear", True), cmp("big", "ge", 9.6e6)), "item", "dear one"), Repair((eq("big", 9.01e6),), "item", "nine"), Repair((eq("digit", 3.0),), "item", "three"),
+    Repair((between("big", 9.2e6, 9.3e6),), "digit", 9.0), Repair((eq("dear", False), eq("digit", 1)), "dear", True),
+]
+
+
+@query(
+    "with " + TYPED + " select rec_id, 'item' as target, 'dear one' as new from typed where dear and big >= 9.6e6 and item is distinct from 'dear one' union all select rec_id, 'item', 'nine' from typed where big = 9.01e6 and item is distinct from 'nine'"
+    " union all select rec_id, 'item', 'three' from typed where digit = 3 and item is distinct from 'three' union all select rec_id, 'digit', '9.0' from typed where big between 9.2e6 and 9.3e6 union all select rec_id, 'dear', 'True' from typed where not dear and digit = 1",
+    "catalog",
+)
+def r_typed_bind(spark, sf):
+    """Literals of booleans, large doubles and whole numbers bind by value, not by text."""
+    df = _typed(spark, sf)
+    return bind(pool_of(spark, TYPED_REPAIRS), df, ("rec_id",)).select("rec_id", "target", "new")
+
+
+@query("with " + TYPED + " select rec_id, case when dear then true else digit = 1 end as dear, big, digit, case when dear then 'yes' else case when big = 9.01e6 then 'nine' else item end end as item from typed".replace("case when dear then true else digit = 1 end", "dear or digit = 1"), "catalog")
+def r_typed_layers(spark, sf):
+    plan = Plan([Repair((eq("big", 9.01e6),), "item", "nine"), Repair((eq("dear", True),), "item", "yes"), Repair((eq("dear", False), eq("digit", 1.0)), "dear", True)])
+    return apply_plan(_typed(spark, sf), plan, mode="layers")
+
+
+EXTENDED_PAIRS = [
+    (Repair((eq("a", 1.0),), "b", "x"), Repair((cmp("c", "ge", 0.0),), "b", "x"), True),
+    (Repair((eq("a", 1.0),), "b", "x"), Repair((cmp("c", "ge", 0.0),), "b", "y"), False),
+    (Repair((eq("a", 1.0),), "b", "x"), Repair((eq("a", 1.0),), "c", 2.0), True),
+    (Repair((eq("b", "x"),), "b", "y"), Repair((eq("b", "y"),), "b", "x"), False),
+]
+
+
+@query("select * from (values " + ", ".join(f"({i}, {str(ok).lower()})" for i, (_, _, ok) in enumerate(EXTENDED_PAIRS)) + ") t(pair, commutes)")
+def r_extended(spark, sf):
+    return spark.createDataFrame([(i, commute(a, b, extended=True)) for i, (a, b, _) in enumerate(EXTENDED_PAIRS)], "pair int, commutes boolean")
+
+
+@query("select count(*) filter (noun = 'rod' and price > 990.0 and type is distinct from 'dear') = 0 as disjoint from catalog_dirty", "catalog")
+def r_disjoint_rows(spark, sf):
+    changes = _bound(spark, sf)[1]
+    units = {r["target"]: r["unit"] for r in changes.select("unit", "target").distinct().collect()}
+    return spark.createDataFrame([("noun" not in units or "type" not in units or disjoint_rows(changes, units["noun"], units["type"]),)], "disjoint boolean")
+
+
+@query("select count(*) as rows_ from catalog_dirty where noun = 'rod' or price > 990.0", "catalog")
+def r_plan_predicate(spark, sf):
+    """Records that any repair of a plan reads as its own."""
+    plan = Plan([Repair((eq("noun", "rod"),), "noun", "bar"), Repair((cmp("price", "gt", 990.0),), "type", "dear"), Repair((eq("noun", "rod"),), "type", "rods")])
+    either = F.lit(False)
+    for p in plan_predicate(plan):
+        either = either | F.coalesce(predicate(p), F.lit(False))
+    return catalog(spark, sf).filter(either).agg(F.count("*").alias("rows_"))
+
+
+@query("select 1 as units, count(*) as repairs from (" + CHASE.format(x="item", y="noun", t="catalog_dirty") + ") q", "catalog")
+def r_bundle(spark, sf):
+    """All repairs of a tool and setting as one unit, those made twice counted once."""
+    pool = FDChase([ITEM_NOUN]).repairs(catalog(spark, sf))
+    return canonicalize(bundle(pool.unionByName(pool))).agg(F.count_distinct("unit").cast("int").alias("units"), F.count("*").alias("repairs"))
+
+
 def _bound(spark, sf):
     df = catalog(spark, sf)
     return df, bind(pool_of(spark, [Repair((eq("noun", "rod"),), "noun", "bar"), Repair((cmp("price", "gt", 990.0),), "type", "dear")]), df, ("rec_id",))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .baselines import tuners
@@ -15,6 +15,7 @@ from .operators.outliers import GaussOutlier
 from .operators.strings import EditMatch, MinHashReplace, SpellReplace, SplitFields
 from .quality.quality import Quality, with_block
 from .quality.terms import EmptyStrings, FDViolations, GoldCells, OutOfDictionary, Singletons, WindowAR
+from .queries_quality import CHASED, SINGLE, SP2
 from .queries_quality import query as _query
 from .queries_repair import CHASE, ITEM_NOUN, ITEMS, SPELL, catalog, detector, items, series, split_dirty
 from .runtime.generators import SyncGenerators, search_async
@@ -80,6 +81,47 @@ def s_merge_disjoint(spark, sf):
     return pack_disjoint(cand.drop("key"), cand.drop("rank")).select("unit")
 
 
+ROUND_ONE = f"""{SP2}, sc as (select v, word, round(cast(({SINGLE} - c.n) / 2.0 as double), 6) as delta from sp join vc c on c.item = v left join vc w on w.item = word),
+ c0 as (select (select count(*) from vc where n = 1) / 2.0 + (select count(*) from catalog_dirty where item is not null and item not in ({ITEMS})) / 2.0 as cost)"""
+
+
+@query(f"with {ROUND_ONE}, u as (select v, word, 1.0 / (1.0 + cost + delta) as utility from sc, c0) select v, word from u where utility >= 0.9995 * (select max(utility) from u)", "catalog")
+def s_gamma_candidates(spark, sf):
+    """Candidates of a first round that both cuts by the bound leave."""
+    df = catalog(spark, sf)
+    s = Session(df, Quality([Singletons("item"), OutOfDictionary("item", items(spark, sf))]), gamma=0.9995)
+    s.add(SpellReplace(items(spark, sf), attr="item", rec=2).repairs(df))
+    plans = s.rows.select("block").distinct().select("block", F.lit(0).cast("long").alias("plan"))
+    scored = written(s.score(written(s.images(s.hits(plans, None)), "images"), [None if x is None else written(x, "state") for x in s.quality.states(s.rows)], None), "scored")
+    rows = scored.withColumn("utility", utility(F.lit(s.quality.cost(s.rows)) + F.round("delta", 6)))
+    left = prune_global(prune_local(rows, s.gamma, worker=F.pmod(F.xxhash64("unit"), F.lit(8))), s.gamma)
+    return left.join(s.pool, "unit").select(F.col("pred")[0]["lo"].alias("v"), F.col("value").alias("word"))
+
+
+@query(f"with {CHASED}, cand as (select c.item as x, c.noun as y, b.b as best, case when c.noun is null then 2 * t.t * c.n - 2 * b.nb * c.n else -2 * c.n * b.nb end as delta from cnt c join best b using (item) join tot t using (item) where c.noun is null or c.noun <> b.b) select x, y from (select *, row_number() over (partition by x order by delta, y nulls first) as rn from cand) q where rn = 1", "catalog")
+def s_merge_candidates(spark, sf):
+    """Packing scored candidates by the groups of the dependency that they touch: the best
+    of each left-hand group is taken."""
+    df = catalog(spark, sf)
+    s = Session(df, Quality([FDViolations(ITEM_NOUN)]))
+    s.add(FDChase([ITEM_NOUN]).repairs(df))
+    plans = s.rows.select("block").distinct().select("block", F.lit(0).cast("long").alias("plan"))
+    images = written(s.images(s.hits(plans, None)), "images")
+    scored = s.score(images, [written(x, "state") for x in s.quality.states(s.rows)], None)
+    pick = lambda a: F.filter("pred", lambda c: c["attr"] == a)[0]["lo"]
+    named = s.pool.select("unit", pick("item").alias("x"), pick("noun").alias("y"))
+    ranked = scored.join(named, "unit").withColumn("rank", F.row_number().over(Window.orderBy("delta", "x", F.col("y").asc_nulls_first())))  # candidates of a fixture
+    taken = pack_disjoint(written(ranked.select("block", "plan", "unit", "rank"), "ranked"), s.quality.keys(images))
+    return taken.join(named, "unit").select("x", "y")
+
+
+@query("select brand, cast(count(*) as bigint) as n from catalog_dirty group by 1", "catalog")
+def s_rebalance_plans(spark, sf):
+    """Plans dealt anew to workers, with copies for idle ones, which fall away again."""
+    frontier = catalog(spark, sf).groupBy("brand").agg(F.count("*").alias("n")).withColumn("plan", F.xxhash64("brand"))
+    return rebalance(frontier, 64, replicate=True).dropDuplicates(["plan"]).select("brand", "n")
+
+
 # Blocks.
 
 
@@ -285,7 +327,10 @@ def b_grid_scores(spark, sf):
     return _settings(spark, tuners.grid_search(_tuner(spark, sf, "grid"), parallel=3))
 
 
-@query()
+_GRID = ORACLES["b_grid_scores"]
+
+
+@query(f"with g as ({_GRID}) select * from g where thresh = 0 union all select * from g where rec = 0 union all select * from g where rec = (select rec from g where thresh = 0 order by cost, rec limit 1) and thresh = (select thresh from g where rec = 0 order by cost, thresh limit 1)")
 def b_greedy_choice(spark, sf):
     return _settings(spark, tuners.greedy_tune(_tuner(spark, sf, "greedy")))
 
@@ -345,13 +390,13 @@ def w2_search_cleaned(spark, sf):
 
 @query()
 def w3_search(spark, sf):
-    """Series: detector settings as coarse candidates under the windowed error, each
-    scored in full, as an error over windows has no exact delta under a parent plan."""
+    """Series: detector settings, whole and reading by reading, as candidates under the
+    windowed error, over several rounds by deltas that read the windows touched."""
     df = series(spark, sf).drop("truth")
     gauss = detector(GaussOutlier, k=4, window_size=50)
     gauss.domains = {"k": [4, 8]}
-    s = Session(df, Quality([WindowAR("reading", "station", "ts", error="absolute")]), incremental=False, max_rounds=1, merge=False)
-    SyncGenerators([coarse(gauss)]).fill(s, df)
+    s = Session(df, Quality([WindowAR("reading", "station", "ts", error="absolute")]), max_rounds=3)
+    SyncGenerators([coarse(gauss), gauss]).fill(s, df)
     s.run()
     return _trace(spark, s.trace.rows)
 

@@ -65,16 +65,19 @@ def without_repeats(stream: DataFrame, ts: str, delay: str, keys: list[str]) ->
 
 
 def last_good_stream(stream: DataFrame, series: str, order: str, attr: str, bad: Callable[[pd.Series], pd.Series], key: str = "rec_id") -> DataFrame:
-    """Replace bad readings by the last good one of their series, kept as state."""
+    """Replace bad and null readings by the last good one of their series, kept as state.
+
+    A batch's rows of a series are put in order together (equal times by key).
+    """
     out = f"{key} long, {series} string, {attr} double, good double"
 
     def update(group, frames, state):
         (last,) = state.get if state.exists else (None,)
-        for frame in frames:
-            frame = frame.sort_values(order)
+        frame = pd.concat(list(frames)).sort_values([order, key])
+        if len(frame):
             good = []
             for value, off in zip(frame[attr], bad(frame[attr]), strict=True):
-                last = last if off else float(value)
+                last = last if off or pd.isna(value) else float(value)
                 good.append(last)
             yield pd.DataFrame({key: frame[key], series: frame[series], attr: frame[attr], "good": pd.array(good, dtype="Float64")})
         state.update((last,))

@@ -71,7 +71,7 @@ def test_merge_counts_only_if_better(spark):
 
 def test_merging_never_ends_worse(spark):
     rng = random.Random(12)
-    for case in range(4):
+    for case in range(2):
         df = written(spark.createDataFrame([(i, rng.choice("pqr"), rng.choice("uvw")) for i in range(12)], "rec_id int, x string, y string"), "case")
         rs = [Repair((eq("x", rng.choice("pqr")), eq("y", rng.choice("uvw"))), rng.choice("xy"), rng.choice("pqruvw")) for _ in range(8)]
         q = Quality([(1.0, FDViolations(FD.parse("x -> y"))), (0.7, Singletons("y")), (0.3, EditPenalty(("x", "y")))])
@@ -82,7 +82,7 @@ def test_merging_never_ends_worse(spark):
             r = s.run()
             costs[merge, beam] = r.cost
             assert r.cost <= q.cost(prepared(df, ["x", "y"])) and q.cost(prepared_after(df, r)) == pytest.approx(r.cost)
-        assert costs[True, 1] <= costs[False, 1] + 1e-9 or case, costs
+        assert costs[True, 1] <= costs[False, 1] + 1e-9, costs
 
 
 def prepared_after(df, result):
