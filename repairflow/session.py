@@ -20,9 +20,13 @@ def session(name: str = "repairflow", master: str | None = None, **conf: str) ->
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; our own only where it is unset."""
+    """The folder of spark.checkpoint.dir; where it is unset, a local session gets a folder
+    of its own, and a cluster, whose machines would not see that, an error."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="repairflow-")
         spark.conf.set("spark.checkpoint.dir", base)
     return base.rstrip("/")
