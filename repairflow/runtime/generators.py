@@ -120,10 +120,10 @@ def search_async(session, ops: list[CleaningOperator], df: DataFrame, budget_s:
         for b in batches:
             session.add(b)
         if batches:
-            result = session.run()
-            if best is None or result.cost < best.cost:
-                best = result
-                yield best
+            for result in session.iter():  # each round that improves, not only the last
+                if best is None or result.cost < best.cost:
+                    best = result
+                    yield best
         elif not alive:
             break
         else:

@@ -210,7 +210,7 @@ class Session:
             self.trace.add(step, min(now, total), pool_size=pool_size, n_evaluated=self.n_evaluated, n_pruned_bound=cut)
             if now < total - _EPS:
                 total, idle = now, 0
-                top = plans.withColumn("_r", F.row_number().over(Window.partitionBy("block").orderBy("cost", "plan"))).filter("_r = 1").select(*_PLAN)
+                top = self._best(plans)
                 best = Result(self, total, chosen.join(top, _PLAN, "left_semi").select("block", "step", "unit"), self._patched.join(top, _PLAN, "left_semi"), self.trace)
                 yield best
             else:
@@ -232,7 +232,7 @@ class Session:
         local = prune_local(rows, self.gamma, worker=F.struct("block", F.pmod(F.xxhash64("unit", "plan"), F.lit(workers))))
         final = prune_global(local, self.gamma, by=["block"])
         # What improves on its plan stays for merging; the rest must be near the frontier's best.
-        return final.join(known, "block").filter((F.col("delta") < -_EPS) | (F.lit(self.beam > 1) & (F.col("utility") >= self.gamma * F.col("_known")))).drop("_known", "utility")
+        return final.join(F.broadcast(known), "block").filter((F.col("delta") < -_EPS) | (F.lit(self.beam > 1) & (F.col("utility") >= self.gamma * F.col("_known")))).drop("_known", "utility")
 
     def _round(self, step, plans, states, drifts, chosen, total, exact):
         """One round: (plans, chosen, patched, drifts, candidates cut), None if none is left."""
@@ -249,7 +249,7 @@ class Session:
             kept = good.count()
             if not kept:
                 return None
-            lead = plans.withColumn("_r", F.row_number().over(Window.partitionBy("block").orderBy("cost", "plan"))).filter("_r = 1").select(*_PLAN)
+            lead = self._best(plans)
             singles = Window.partitionBy("block").orderBy(F.col("cost") + F.col("delta"), "plan", "unit")
             picks = good.withColumn("slot", F.row_number().over(singles)).filter(F.col("slot") <= self.beam).select(*_PLAN, "unit", "slot")
             if self.merge:
@@ -272,7 +272,9 @@ class Session:
             both = plans.withColumn("old", F.lit(1)).unionByName(fresh.withColumn("old", F.lit(0)))
             near = Window.partitionBy("block").orderBy("cost", "old", "plan")
             after = both.withColumn("_r", F.row_number().over(near)).filter(F.col("_r") <= self.beam).select("block", "plan", "cost")
-            after = written(rebalance(after, min(self.rows.sparkSession.sparkContext.defaultParallelism, 64)), "plans")
+            if self.beam > 1:
+                after = rebalance(after, min(self.rows.sparkSession.sparkContext.defaultParallelism, 64))
+            after = written(after, "plans")
             alive = after.select(*_PLAN)
             steps = picks.select("block", F.col("next").alias("plan"), F.lit(step).alias("step"), "unit")
             if chosen is not None:
@@ -289,6 +291,12 @@ class Session:
         finally:
             _release(cached)
 
+    def _best(self, plans: DataFrame) -> DataFrame:
+        """(block, plan) of the best plan of each block."""
+        if self.beam == 1:
+            return plans.select(*_PLAN)
+        return plans.withColumn("_r", F.row_number().over(Window.partitionBy("block").orderBy("cost", "plan"))).filter("_r = 1").select(*_PLAN)
+
     def _patched_by(self, new: DataFrame, picks: DataFrame) -> DataFrame:
         """(block, plan, rec, b, a) of the next plans: their parents' records, overwritten."""
         mine = new.select("block", F.col("next").alias("plan"), "rec", "b", "a")
