@@ -161,6 +161,9 @@ def align_chain(chain: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[int, i
 
 
 _BESIDE, _AGREE = 8, 5
+#: Of a seed's hash 48 bits are kept, and 16 of a word's in what is aligned: what is equal
+#: by chance only is a single seed, or a word in 65,536, and passes no alignment.
+_SEED_BITS = np.uint64(0xFFFFFFFFFFFF0000)
 
 
 def beside(words: np.ndarray, where: np.ndarray, seed_words: int) -> np.ndarray:
@@ -244,7 +247,7 @@ def seed_rows(seed_words: int, window: int, buckets: int, flush: int = 1 << 19):
                 words = K.text_words(text.as_py())
                 grams = K.ngram_hashes(words, seed_words)
                 where = K.minimizers(grams, window)
-                held.append((grams[where].view(np.int64), np.full(len(where), rid, dtype=np.int64), where.astype(np.int32), beside(words, where, seed_words)))
+                held.append(((grams[where] & _SEED_BITS).view(np.int64), np.full(len(where), rid, dtype=np.int64), where.astype(np.int32), beside(words, where, seed_words)))
                 n += len(where)
                 if n >= flush:
                     yield flat(held)
@@ -318,7 +321,7 @@ def chain_rows(seed_words: int, window: int):
 
 
 def cut_words(batches):
-    """The words around each chain as 32-bit hashes; for the repeating side also where
+    """The words around each chain as 16-bit hashes; for the repeating side also where
     they start, as steps in code points, and their lengths."""
     schema = pa.schema([("x", pa.int32()), ("y", pa.int32()), ("pivot", pa.bool_()), ("doc", pa.int64()), ("other", pa.int64()), ("lo", pa.int32()), ("runs", pa.list_(pa.int32())), ("words", pa.binary()), ("marks", pa.binary()), ("length", pa.int64())])
     last = None
@@ -328,7 +331,7 @@ def cut_words(batches):
             if last is None or last[0] != doc.as_py() or last[1] != text:
                 data = np.frombuffer(text.as_py().encode("utf-8", "surrogatepass"), dtype=np.uint8)
                 s, e = K.word_bounds(data)
-                last = (doc.as_py(), text, K.hash_words(data, s, e).astype(np.uint32), s, e, K.char_offsets(data))
+                last = (doc.as_py(), text, (K.hash_words(data, s, e) >> np.uint64(48)).astype(np.uint16), s, e, K.char_offsets(data))
             _, _, words, s, e, chars = last
             i, j = lo.as_py(), hi.as_py()
             own = not pivot.as_py()
@@ -346,7 +349,7 @@ def align_rows(part_words: int, identity: float):
             out = []
             for r in batch.to_pylist():
                 c = np.array(r["runs"], dtype=np.int64).reshape(-1, 3) - [r["a_lo"], r["lo"], 0]
-                a, b = np.frombuffer(r["a_words"], dtype=np.uint32), np.frombuffer(r["words"], dtype=np.uint32)
+                a, b = np.frombuffer(r["a_words"], dtype=np.uint16), np.frombuffer(r["words"], dtype=np.uint16)
                 a0, a1, b0, b1, matched = align_chain(c, a, b)
                 if b1 - b0 >= part_words and matched >= identity * max(a1 - a0, b1 - b0):
                     s, e = from_planes(r["marks"], [np.int32, np.int32])
