@@ -17,6 +17,7 @@ from .operators.outliers import GaussOutlier, HistOutlier, PCAOutlier, last_good
 from .operators.strings import EditMatch, FillMissing, MinHashReplace, RangeNullify, SpellReplace, SplitFields, apply_pool
 from .plans.apply import apply_plan, compile_layers, compose, disjoint_rows, plan_predicate
 from .plans.pool import bind, bundle, canonicalize, consensus, expand_keys, generalize, pool_of
+from .session import written
 from .sources.fixtures import WIDE_ATTRS, WIDE_FDS, build, ctes
 
 QUERIES, ORACLES = {}, {}
@@ -451,7 +452,7 @@ def w4_fd_violations(spark, sf):
     from .quality.quality import with_block
     from .quality.terms import FDViolations
 
-    df = with_block(build(spark, sf, "wide", "wide_dirty"))
+    df = with_block(written(build(spark, sf, "wide", "wide_dirty"), "wide"))  # one join for all dependencies
     out = None
     for f in WIDE_FDS:
         part = FDViolations(FD.parse(f)).cost(df).select(F.lit(f).alias("fd"), F.col("cost").alias("pairs"))
@@ -461,7 +462,7 @@ def w4_fd_violations(spark, sf):
 
 @query(" union all ".join(f"select '{f}' as fd, cast(x as varchar) as x, y, best from (" + CHASE.format(x=f.split(" -> ")[0], y=f.split(" -> ")[1], t="wide_dirty") + ") q" for f in WIDE_FDS), "wide")
 def w4_chase_all(spark, sf):
-    df = build(spark, sf, "wide", "wide_dirty")
+    df = written(build(spark, sf, "wide", "wide_dirty"), "wide")  # one join for all dependencies
     out = None
     for f in WIDE_FDS:
         part = _chase_rows(FDChase([FD.parse(f)]).repairs(df), FD.parse(f).lhs[0]).select(F.lit(f).alias("fd"), "x", "y", "best")
@@ -480,8 +481,10 @@ def w5_dirty(spark, sf):
     "split",
 )
 def w5_split_applied(spark, sf):
+    # Each step reads its input three times, so inputs are written: the plan would grow with the power of the steps.
     df = split_dirty(spark, sf).select("rec_id", "str1", "str2")
     for sep in (":", ",", "-"):
+        df = written(df, "split")
         df = apply_pool(df, SplitFields(attr="str1", other="str2", sep=sep).repairs(df))
     return df
 
