@@ -1,4 +1,4 @@
-"""Joins over all events against brute force."""
+"""Relational and streaming queries on small tables of known results."""
 
 import datetime as dt
 
@@ -19,3 +19,10 @@ def test_joins_take_all_events(spark, tmp_path):
         within[i] = sum(other == kind and ts - dt.timedelta(hours=5) <= t <= ts for _, other, t, _ in rows)
     assert {r["event_id"]: r["value"] for r in queries_rel.QUERIES["rel_asof_all"](spark, str(tmp_path)).collect()} == asof
     assert {r["event_id"]: r["n"] for r in queries_rel.QUERIES["rel_interval_all"](spark, str(tmp_path)).collect()} == within
+
+
+def test_plan_file_reads_the_name_as_it_was(spark, tmp_path):
+    rows = [(1, "old ring", 901.0), (2, "old ring", 950.0), (3, "new rod", 901.0), (4, None, 901.0), (5, "cold ring", 901.0), (6, "new rod", 905.0)]
+    spark.createDataFrame(rows, "p_partkey long, p_name string, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
+    got = {r["p_partkey"]: r["p_name"] for r in queries_rel.QUERIES["rel_plan_file"](spark, str(tmp_path)).collect()}
+    assert got == {1: "cold ring", 2: "cold ring", 3: "cheap", 4: "cheap", 5: "cheap", 6: "new rod"}
