@@ -3,8 +3,10 @@
 import datetime as dt
 
 import numpy as np
+import pytest
 
-from repairflow import queries_rel
+from repairflow import queries_rel, queries_repair
+from repairflow.sources.fixtures import build
 
 
 def test_joins_take_all_events(spark, tmp_path):
@@ -26,3 +28,46 @@ def test_plan_file_reads_the_name_as_it_was(spark, tmp_path):
     spark.createDataFrame(rows, "p_partkey long, p_name string, p_retailprice double").write.parquet(f"{tmp_path}/part.parquet")
     got = {r["p_partkey"]: r["p_name"] for r in queries_rel.QUERIES["rel_plan_file"](spark, str(tmp_path)).collect()}
     assert got == {1: "cold ring", 2: "cold ring", 3: "cheap", 4: "cheap", 5: "cheap", 6: "new rod"}
+
+
+def _copied_events(spark, path, copies=6, n=400):
+    """Events of one series whose times and values come ``copies`` times."""
+    rng = np.random.default_rng(5)
+    start = dt.datetime(2024, 1, 1)
+    once = [(start + dt.timedelta(minutes=int(i)), round(float(rng.exponential(40)), 2)) for i in range(n)]
+    rows = [(c * n + i, "view", ts, v) for c in range(copies) for i, (ts, v) in enumerate(once)]
+    spark.createDataFrame(rows, "event_id long, event_type string, ts timestamp_ntz, value double").write.parquet(f"{path}/events.parquet")
+    return sorted((ts, i, v) for i, _, ts, v in rows)
+
+
+def test_readings_are_added_in_the_order_of_the_sql(spark, tmp_path):
+    rows = _copied_events(spark, tmp_path)
+    want = {}
+    for at, (_, i, _) in enumerate(rows):
+        lo = max(at - 24, 0)
+        seen = [v for _, _, v in rows[lo : at + 1]]
+        head = -lo % 16
+        total = 0.0
+        if head + 16 <= len(seen) and head:
+            block = 0.0
+            for v in seen[:head]:
+                total += v
+            for v in seen[head : head + 16]:
+                block += v
+            total += block
+            seen = seen[head + 16 :]
+        for v in seen:
+            total += v
+        want[i] = total / (at + 1 - lo)
+    got = {r["rec_id"]: r["truth"] for r in build(spark, str(tmp_path), "series", "series_clean").collect()}
+    assert got == want
+
+
+@pytest.mark.parametrize("name", ["o_hist", "o_hist_sliding"])
+def test_histograms_of_copied_readings_as_their_sql(spark, tmp_path, name):
+    duckdb = pytest.importorskip("duckdb")
+    _copied_events(spark, tmp_path, n=4000)
+    con = duckdb.connect()
+    con.execute(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
+    want = {r[0] for r in con.execute(queries_repair.ORACLES[name]).fetchall()}
+    assert {r["rec_id"] for r in queries_repair.QUERIES[name](spark, str(tmp_path)).collect()} == want
