@@ -138,9 +138,11 @@ class HistOutlier(WindowDetector):
         v, size = F.col(self.p("attr")), int(self.p("window_size"))
         w = self.over(1 - size, 0)
         rows = self.haloed(df, size - 1).withColumn("_seen", F.collect_list(v.cast("double")).over(w))  # bounded by the window
-        lo, wide = F.array_min("_seen"), F.array_max("_seen") - F.array_min("_seen")
-        bin_ = lambda x: F.least(F.floor((x - lo) / wide * self.bins), F.lit(self.bins - 1))
-        mates = F.when(wide > 0, F.size(F.filter("_seen", lambda x: bin_(x) == bin_(v.cast("double"))))).otherwise(F.size("_seen"))
+        # Bounds and the reading's bin are bound once a row, not once for each reading that is seen.
+        bin_ = lambda x, b: F.least(F.floor((x - b["lo"]) / b["wide"] * self.bins), F.lit(self.bins - 1))
+        bounds = F.array(F.struct(F.array_min("_seen").alias("lo"), (F.array_max("_seen") - F.array_min("_seen")).alias("wide")))
+        alike = lambda b: F.transform(F.array(bin_(v.cast("double"), b)), lambda own: F.size(F.filter("_seen", lambda x: bin_(x, b) == own)))[0]
+        mates = F.transform(bounds, lambda b: F.when(b["wide"] > 0, alike(b)).otherwise(F.size("_seen")))[0]
         share = F.when(v.isNotNull(), mates / F.size("_seen"))
         return rows.withColumn("flagged", self._off(share)).filter("_own").select(*df.columns, "flagged")
 
