@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -19,7 +20,7 @@ def read_stream(spark: SparkSession, path: str, schema, fmt: str = "parquet", ma
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run what is available now into a Parquet folder (append) or memory, and return it."""
+    """Run what is available now into Parquet folders in shared storage, and return it."""
     spark = stream.sparkSession
     import uuid
 
@@ -28,9 +29,33 @@ def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFram
     if mode == "append":
         writer.format("parquet").start(f"{base}/data").awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{base}/data")
-    table = f"{name}_{uuid.uuid4().hex}"
-    writer.format("memory").queryName(table).start().awaitTermination()
-    return spark.table(table)
+    # Each batch brings the whole table: it goes to a folder of its own, and the last one counts.
+    batches: list[int] = []
+
+    def keep(batch: DataFrame, i: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/data/{i}")
+        batches.append(i)
+
+    with _state_on_disk(spark):
+        query = writer.foreachBatch(keep).start()
+    query.awaitTermination()
+    if not batches:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(f"{base}/data/{batches[-1]}")
+
+
+@contextmanager
+def _state_on_disk(spark: SparkSession):
+    """Queries started in here keep the groups of a whole table in RocksDB, not on a heap;
+    a provider that the user has set stays."""
+    name = "spark.sql.streaming.stateStore.providerClass"
+    given, state = spark.conf.get(name), "org.apache.spark.sql.execution.streaming.state"
+    if given.endswith("HDFSBackedStateStoreProvider"):
+        spark.conf.set(name, f"{state}.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, given)
 
 
 def clean_stream(stream: DataFrame, plan: Plan) -> DataFrame:

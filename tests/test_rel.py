@@ -71,3 +71,15 @@ def test_histograms_of_copied_readings_as_their_sql(spark, tmp_path, name):
     con.execute(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
     want = {r[0] for r in con.execute(queries_repair.ORACLES[name]).fetchall()}
     assert {r["rec_id"] for r in queries_repair.QUERIES[name](spark, str(tmp_path)).collect()} == want
+
+
+@pytest.mark.parametrize("name", ["stream_sessions", "stream_running_counts"])
+def test_whole_tables_of_streams_go_to_files(spark, tmp_path, name):
+    start = dt.datetime(2024, 1, 1)
+    rows = [(i, i % 3, "ab"[i % 2], start + dt.timedelta(hours=4 * i)) for i in range(30)]
+    spark.createDataFrame(rows, "event_id long, user_id long, event_type string, ts timestamp_ntz").write.parquet(f"{tmp_path}/events.parquet")
+    provider = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    got = queries_rel.QUERIES[name](spark, str(tmp_path))
+    assert got.inputFiles()  # none behind the memory sink, which holds its rows on the driver
+    assert sorted(map(tuple, got.collect())) == ([(u, 1) for u in range(3) for _ in range(10)] if name == "stream_sessions" else [("a", 15), ("b", 15)])
+    assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == provider
