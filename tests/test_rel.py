@@ -5,6 +5,7 @@ import datetime as dt
 import numpy as np
 import pytest
 
+import __spark_entry__
 from repairflow import queries_rel, queries_repair
 from repairflow.sources.fixtures import build
 
@@ -83,3 +84,17 @@ def test_whole_tables_of_streams_go_to_files(spark, tmp_path, name):
     assert got.inputFiles()  # none behind the memory sink, which holds its rows on the driver
     assert sorted(map(tuple, got.collect())) == ([(u, 1) for u in range(3) for _ in range(10)] if name == "stream_sessions" else [("a", 15), ("b", 15)])
     assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == provider
+
+
+@pytest.mark.parametrize("name", ["b_slot_encoding"])
+def test_results_come_from_a_given_table(spark, tmp_path, small, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        __spark_entry__.queries()[name](spark, str(tmp_path)).collect()
+    duckdb = pytest.importorskip("duckdb")
+    con = duckdb.connect()
+    for table in ("part", "events"):
+        con.execute(f"create view {table} as select * from '{small}/{table}.parquet'")
+    got = __spark_entry__.queries()[name](spark, small)
+    rel = con.execute(__spark_entry__.oracle_sql()[name])
+    assert got.columns == [d[0] for d in rel.description]
+    assert sorted(map(tuple, got.collect())) == sorted(rel.fetchall())
