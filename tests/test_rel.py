@@ -86,7 +86,7 @@ def test_whole_tables_of_streams_go_to_files(spark, tmp_path, name):
     assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == provider
 
 
-@pytest.mark.parametrize("name", ["b_slot_encoding", "m_quality_ratio", "r_conflicts", "r_extended", "r_layer_count", "rel_data_source"])
+@pytest.mark.parametrize("name", ["b_slot_encoding", "m_quality_ratio", "r_conflicts", "r_extended", "r_layer_count", "rel_data_source", "rel_recursive"])
 def test_results_come_from_a_given_table(spark, tmp_path, small, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         __spark_entry__.queries()[name](spark, str(tmp_path)).collect()
