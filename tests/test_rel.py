@@ -4,9 +4,11 @@ import datetime as dt
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__
 from repairflow import queries_rel, queries_repair
+from repairflow.functions.graph import components
 from repairflow.sources.fixtures import build
 
 
@@ -98,3 +100,17 @@ def test_results_come_from_a_given_table(spark, tmp_path, small, name):
     rel = con.execute(__spark_entry__.oracle_sql()[name])
     assert got.columns == [d[0] for d in rel.description]
     assert sorted(map(tuple, got.collect())) == sorted(rel.fetchall())
+
+
+def test_components_find_the_edges_once(spark):
+    calls = spark.sparkContext.accumulator(0)
+
+    @F.udf("long")
+    def counted(x):
+        calls.add(1)
+        return x
+
+    edges = spark.range(8).select(counted("id").alias("a"), (F.col("id") + 1).alias("b"))
+    got = components(spark.range(9).select(F.col("id").alias("node")), edges).collect()
+    assert {r["comp"] for r in got} == {0} and len(got) == 9
+    assert calls.value <= 16
