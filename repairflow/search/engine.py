@@ -236,12 +236,12 @@ class Session:
 
     def _round(self, step, plans, states, drifts, chosen, total, exact):
         """One round: (plans, chosen, patched, drifts, candidates cut), None if none is left."""
-        # What only this round needs is cached; what the next one starts from is written.
+        # What only this round needs is cached; what the next one starts from is written, and so are the steps
+        # in between: the plan of a cached table holds the plans of all that it reads, once for each reading.
         images = self.images(self.hits(plans, self._patched)).persist()
         cached = [images]
         try:
-            scored = self.score(images, states, drifts).persist()
-            cached.append(scored)
+            scored = written(self.score(images, states, drifts), "scored")
             n = scored.count()
             self.n_evaluated += n if exact else 0
             good = self._survivors(scored, plans, total).persist()
@@ -258,11 +258,9 @@ class Session:
                 held = images.join(ranked.select(*_PLAN, "unit"), [*_PLAN, "unit"], "left_semi")
                 packed = pack_disjoint(ranked, self.quality.keys(held)).withColumn("_n", F.count("*").over(Window.partitionBy("block")))
                 picks = picks.unionByName(packed.filter("_n > 1").select(*_PLAN, "unit", F.lit(0).alias("slot")))
-            picks = picks.withColumn("next", F.lit(step * 1000).cast("long") + F.col("slot")).persist()
-            cached.append(picks)
+            picks = written(picks.withColumn("next", F.lit(step * 1000).cast("long") + F.col("slot")), "picks")
             # The next plans' changed records, as their parents leave them and afterwards.
-            new = images.join(picks, [*_PLAN, "unit"]).groupBy("block", "next", "plan", "rec").agg(F.first("b").alias("b"), F.first("a").alias("a")).persist()
-            cached.append(new)
+            new = written(images.join(picks, [*_PLAN, "unit"]).groupBy("block", "next", "plan", "rec").agg(F.first("b").alias("b"), F.first("a").alias("a")), "new")
             if exact:
                 as_unit = new.select(*_PLAN, F.col("next").alias("unit"), "rec", "b", "a")
                 fresh = self.quality.deltas(as_unit, states, drifts).join(plans, _PLAN).select("block", F.col("unit").alias("plan"), (F.col("cost") + F.col("delta")).alias("cost"))

@@ -14,12 +14,13 @@ from repairflow.learn.pruner import Pruner, confusion, label_examples
 from repairflow.model import FD, Plan, Repair, eq
 from repairflow.operators.base import CleaningOperator, coarse, from_table, replicate_library, with_delay
 from repairflow.operators.dependencies import FDChase
+from repairflow.operators.outliers import GaussOutlier
 from repairflow.operators.strings import SpellReplace
 from repairflow.plans.apply import apply_plan
 from repairflow.plans.pool import pool_of
 from repairflow.quality.quality import Quality, prepared
-from repairflow.quality.terms import EditPenalty, FDViolations, OutOfDictionary, Singletons, SqlTerm
-from repairflow.queries_repair import catalog, items
+from repairflow.quality.terms import EditPenalty, FDViolations, OutOfDictionary, Singletons, SqlTerm, WindowAR
+from repairflow.queries_repair import catalog, detector, items, series
 from repairflow.queries_search import catalog_library, catalog_quality, catalog_session
 from repairflow.runtime import sampler
 from repairflow.runtime.generators import AsyncGenerators, RepairPool, SyncGenerators, allocate, search_async
@@ -344,3 +345,23 @@ def test_flagship_improves_truth(spark, medium):
     cleaned = catalog_session(spark, medium, max_rounds=3).run().cleaned()
     f1 = measures.cell_f1(dirty, cleaned, truth, ["item", "noun"]).first()["f1"]
     assert f1 > 0.5
+
+
+def test_plans_of_a_round_stay_small(spark, small, monkeypatch):
+    """The text of a plan, which the driver makes of all that it runs: cached tables that
+    read cached tables would multiply in it."""
+    from repairflow.search import engine
+
+    sizes = []
+
+    def measured(df, name):
+        sizes.append(len(df._jdf.queryExecution().toString()))
+        return written(df, name)
+
+    df = series(spark, small).drop("truth").limit(400)
+    gauss = detector(GaussOutlier, k=4, window_size=20)
+    monkeypatch.setattr(engine, "written", measured)
+    s = Session(df, Quality([WindowAR("reading", "station", "ts", error="absolute")]), max_rounds=2)
+    s.add(coarse(gauss).repairs(df).unionByName(gauss.repairs(df)))
+    s.run()
+    assert len(s.trace.rows) > 2 and max(sizes) < 3_000_000, sizes
