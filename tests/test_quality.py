@@ -207,3 +207,22 @@ def test_selfjoin_counts_equal_rows_first(spark):
     below = cost._jdf.queryExecution().optimizedPlan().toString().split("Join")[1]
     assert below.count("Aggregate") == 2
     assert cost.first()["cost"] == 2 * 20_000.0**2
+
+
+def test_split_fixture_is_read_once_and_sorted_by_task(spark, small, monkeypatch):
+    from repairflow.sources import fixtures, tables
+
+    key, plans, keep = "spark.sql.optimizer.windowGroupLimitThreshold", [], fixtures.written
+    before = spark.conf.get(key)
+
+    def seen(df, name):
+        plans.append(df._jdf.queryExecution().optimizedPlan().toString())
+        return keep(df, name)
+
+    monkeypatch.setattr(fixtures, "written", seen)
+    got = fixtures.build(spark, small, "split", "split_dirty")
+    assert not any("lineitem" in f for f in got.inputFiles())
+    assert "LocalLimit" in plans[0] and spark.conf.get(key) == before
+    tables.register_views(spark, small, ("lineitem", "part"))
+    want = spark.sql(fixtures.ctes("split", fixtures.SPARK) + " select * from split_dirty")
+    assert got.count() == want.count() and not got.exceptAll(want).count()
