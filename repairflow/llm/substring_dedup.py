@@ -21,8 +21,11 @@ text.  Spans are code points, end exclusive.
 
 from __future__ import annotations
 
+from functools import cache
+
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -81,8 +84,10 @@ def chains(runs: np.ndarray, gap: int = _GAP, gap_cost: float = 0.5) -> list[np.
     the best of the window of ``gap`` words.  Chains that share a run are cut where the
     better one has it.
     """
-    runs = runs[np.lexsort((runs[:, 1], runs[:, 0]))]
     n = len(runs)
+    if n == 1:
+        return [runs]
+    runs = runs[np.lexsort((runs[:, 1], runs[:, 0]))]
     end_a, end_b = runs[:, 0] + runs[:, 2], runs[:, 1] + runs[:, 2]
     by_a, by_b = np.argsort(end_a, kind="stable"), np.argsort(end_b, kind="stable")
     place = np.empty(n, dtype=np.int64)
@@ -126,6 +131,11 @@ def common_words(a: np.ndarray, b: np.ndarray) -> int:
     return int(row[-1])
 
 
+@cache
+def _skips(slack: int) -> list[tuple[int, int]]:
+    return sorted(((p, q) for p in range(slack + 1) for q in range(slack + 1) if p or q), key=lambda s: (max(s), abs(s[0] - s[1])))
+
+
 def extend(a: np.ndarray, b: np.ndarray, i: int, j: int, step: int, slack: int = 2) -> tuple[int, int, int]:
     """Extend an end of a chain over equal words, past at most ``slack`` unequal ones in
     a row, or more on one side than on the other where two equal words follow; returns
@@ -133,15 +143,15 @@ def extend(a: np.ndarray, b: np.ndarray, i: int, j: int, step: int, slack: int =
     at = 1 if step > 0 else 0
     a, b = (a[i:], b[j:]) if step > 0 else (a[:i][::-1], b[:j][::-1])
     a, b = a.tolist(), b.tolist()
-    skips = sorted(((p, q) for p in range(slack + 1) for q in range(slack + 1) if p or q), key=lambda s: (max(s), abs(s[0] - s[1])))
+    skips, n, m = _skips(slack), len(a), len(b)
     good, x, y = 0, 0, 0
     while True:
-        while x < len(a) and y < len(b) and a[x] == b[y]:
+        while x < n and y < m and a[x] == b[y]:
             good, x, y = good + 1, x + 1, y + 1
         for p, q in skips:
-            u, v = a[x + p : x + p + 2], b[y + q : y + q + 2]
-            if u and v and u[0] == v[0] and (p == q or len(u) == 2 and u == v):
-                x, y = x + p, y + q
+            u, v = x + p, y + q
+            if u < n and v < m and a[u] == b[v] and (p == q or u + 1 < n and v + 1 < m and a[u + 1] == b[v + 1]):
+                x, y = u, v
                 break
         else:
             return (i + x, j + y, good) if at else (i - x, j - y, good)
@@ -166,10 +176,9 @@ _BESIDE, _AGREE = 8, 5
 _SEED_BITS = np.uint64(0xFFFFFFFFFFFF0000)
 
 
-def beside(words: np.ndarray, where: np.ndarray, seed_words: int) -> np.ndarray:
-    """Two bits of each of the eight words before and after the seeds at ``where``."""
-    pad = np.zeros(_BESIDE, dtype=np.uint32)
-    bits = np.concatenate((pad, (words >> np.uint64(62)).astype(np.uint32), pad))
+def beside(bits: np.ndarray, where: np.ndarray, seed_words: int) -> np.ndarray:
+    """Two bits of each of the eight words before and after the seeds at ``where``; ``bits``
+    has those of each word after eight zeros."""
     out = np.zeros(len(where), dtype=np.uint32)
     for i in range(_BESIDE):
         out |= bits[where + _BESIDE - 1 - i] << np.uint32(2 * i)
@@ -191,7 +200,9 @@ def local_ties(seed: np.ndarray, node: np.ndarray, place: np.ndarray, context: n
     Returns the sorted arrays with the pivot's node and place for each row, and whether
     the words beside both agree.
     """
-    order = np.lexsort((place, node, seed))
+    before, after = node[:-1], node[1:]
+    listed = bool(((before < after) | ((before == after) & (place[:-1] <= place[1:]))).all())  # mostly: ids rise in a file
+    order = np.argsort(seed, kind="stable") if listed else np.lexsort((place, node, seed))
     seed, node, place, context = seed[order], node[order], place[order], context[order]
     first = np.ones(len(seed), dtype=bool)
     first[1:] = seed[1:] != seed[:-1]
@@ -199,6 +210,35 @@ def local_ties(seed: np.ndarray, node: np.ndarray, place: np.ndarray, context: n
     return seed, node, place, context, node[head], place[head], agreeing(context, context[head])
 
 
+def seeds_of(texts: list[str], seed_words: int, window: int) -> tuple[np.ndarray, ...]:
+    """Seeds of several texts in one pass: (text's number, seed, place, context)."""
+    parts = [t.encode("utf-8", "surrogatepass") for t in texts]
+    data = np.frombuffer(b" ".join(parts), dtype=np.uint8)
+    starts, ends = K.word_bounds(data)
+    words = K.hash_words(data, starts, ends)
+    bound = np.cumsum([0] + [len(t) + 1 for t in parts])
+    first = np.searchsorted(starts, bound)  # of each text its first word, and of all the last one's end
+    count = np.diff(first)
+    at = np.arange(len(words))
+    left = np.repeat(first[1:], count) - at - seed_words  # grams of the text behind the one at a word; negative: none there
+    grams = np.full(len(words) + window, ~np.uint64(0), dtype=np.uint64)
+    grams[: max(len(words) - seed_words + 1, 0)] = K.ngram_hashes(words, seed_words)
+    grams[: len(words)][left < 0] = ~np.uint64(0)
+    # A window lies in a text, or starts at the first word of one with fewer grams; ties go to the first.
+    here = np.flatnonzero((left >= window - 1) | ((left >= 0) & (at == np.repeat(first[:-1], count))))
+    least, where = grams[here], here.copy()
+    for i in range(1, window):
+        other = grams[here + i]
+        less = other < least
+        least[less], where[less] = other[less], here[less] + i
+    where = where[np.diff(where, prepend=-1) > 0]  # the places of the minima of successive windows never fall
+    text = np.searchsorted(first, where, side="right") - 1
+    # Two bits of each word; a text ends in zeros, which the words beside a seed reach into.
+    bits = np.zeros(len(words) + 2 * _BESIDE * len(texts), dtype=np.uint32)
+    bits[at + np.repeat(np.arange(len(texts)), count) * 2 * _BESIDE + _BESIDE] = words >> np.uint64(62)
+    return text, (grams[where] & _SEED_BITS).view(np.int64), (where - first[text]).astype(np.int32), beside(bits, where + text * 2 * _BESIDE, seed_words)
+
+
 _PACKED_ROWS = pa.schema([("bucket", pa.int32()), ("tied", pa.bool_()), ("planes", pa.binary())])
 _SEED_ROWS = pa.schema([("seed", pa.int64()), ("node", pa.int64()), ("place", pa.int32()), ("context", pa.int32()), ("a", pa.int64()), ("at", pa.int32()), ("near", pa.int8())])
 _TIE_ROWS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("at", pa.int32()), ("place", pa.int32()), ("near", pa.int8())])
@@ -216,6 +256,10 @@ def from_planes(data: bytes, kinds: list) -> list[np.ndarray]:
     return [np.ascontiguousarray(raw[lo:hi].reshape(size, n).T).view(k).ravel() for k, size, lo, hi in zip(kinds, sizes, ends[:-1], ends[1:], strict=True)]
 
 
+#: Bytes of text that are hashed together: enough to spare calls, few enough for a core's cache.
+_AT_ONCE = 1 << 17
+
+
 def seed_rows(seed_words: int, window: int, buckets: int, flush: int = 1 << 19):
     """Seeds of documents, tied inside the task: one entry of a seed stands for all the
     documents of about ``flush`` seeds that hold it, the others name it as pivot.
@@ -243,15 +287,23 @@ def seed_rows(seed_words: int, window: int, buckets: int, flush: int = 1 << 19):
     def run(batches):
         held, n = [], 0
         for batch in batches:
-            for rid, text in zip(batch.column("rid").to_pylist(), batch.column("text"), strict=True):
-                words = K.text_words(text.as_py())
-                grams = K.ngram_hashes(words, seed_words)
-                where = K.minimizers(grams, window)
-                held.append(((grams[where] & _SEED_BITS).view(np.int64), np.full(len(where), rid, dtype=np.int64), where.astype(np.int32), beside(words, where, seed_words)))
-                n += len(where)
-                if n >= flush:
-                    yield flat(held)
-                    held, n = [], 0
+            rids, sizes = batch.column("rid").to_numpy(), np.cumsum(pc.binary_length(batch.column("text")).to_numpy(zero_copy_only=False))
+            lo = 0
+            while lo < len(rids):
+                hi = max(lo + 1, int(np.searchsorted(sizes, _AT_ONCE + (sizes[lo - 1] if lo else 0), side="right")))
+                text, seed, place, context = seeds_of(batch.column("text").slice(lo, hi - lo).to_pylist(), seed_words, window)
+                ends, begun = np.cumsum(np.bincount(text, minlength=hi - lo)), 0
+                node = rids[lo:hi][text]
+                while begun < len(seed):
+                    # As many whole texts as bring what is held to ``flush``.
+                    full = int(np.searchsorted(ends, begun + flush - n))
+                    stop = int(ends[min(full, hi - lo - 1)])
+                    held.append((seed[begun:stop], node[begun:stop], place[begun:stop], context[begun:stop]))
+                    n, begun = n + stop - begun, stop
+                    if n >= flush:
+                        yield flat(held)
+                        held, n = [], 0
+                lo = hi
         if n:
             yield flat(held)
 
@@ -326,18 +378,32 @@ def cut_words(batches):
     schema = pa.schema([("x", pa.int32()), ("y", pa.int32()), ("pivot", pa.bool_()), ("doc", pa.int64()), ("other", pa.int64()), ("lo", pa.int32()), ("runs", pa.list_(pa.int32())), ("words", pa.binary()), ("marks", pa.binary()), ("length", pa.int64())])
     last = None
     for batch in batches:
-        out = []
-        for doc, text, x, y, pivot, other, lo, hi, runs in zip(*(batch.column(c) for c in ("doc", "text", "x", "y", "pivot", "other", "lo", "hi", "runs")), strict=True):
-            if last is None or last[0] != doc.as_py() or last[1] != text:
-                data = np.frombuffer(text.as_py().encode("utf-8", "surrogatepass"), dtype=np.uint8)
-                s, e = K.word_bounds(data)
-                last = (doc.as_py(), text, (K.hash_words(data, s, e) >> np.uint64(48)).astype(np.uint16), s, e, K.char_offsets(data))
-            _, _, words, s, e, chars = last
-            i, j = lo.as_py(), hi.as_py()
-            own = not pivot.as_py()
-            marks = to_planes([np.diff(chars[s[i:j]], prepend=0).astype(np.int32), (chars[e[i:j]] - chars[s[i:j]]).astype(np.int32)]) if own else None
-            out.append((x.as_py(), y.as_py(), not own, doc.as_py(), other.as_py(), i, runs.values.to_numpy() if own else None, words[i:j].tobytes(), marks, len(words) if own else None))
-        yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
+        n, texts, runs = len(batch), batch.column("text"), batch.column("runs")
+        docs, los, his = (batch.column(c).to_pylist() for c in ("doc", "lo", "hi"))
+        own = pc.invert(batch.column("pivot")).to_pylist()
+        same = [False, *pc.equal(texts.slice(1), texts.slice(0, n - 1)).to_pylist()] if n else []
+        words, marks, length = [], [], []
+        for k, (doc, i, j) in enumerate(zip(docs, los, his, strict=True)):
+            if not (k and same[k] and docs[k - 1] == doc):
+                text = texts[k]
+                if last is None or last[0] != doc or last[1] != text:
+                    data = np.frombuffer(text.as_py().encode("utf-8", "surrogatepass"), dtype=np.uint8)
+                    s, e = K.word_bounds(data)
+                    chars = K.char_offsets(data)
+                    hashes, first, wide = (K.hash_words(data, s, e) >> np.uint64(48)).astype(np.uint16), chars[s], (chars[e] - chars[s]).astype(np.int32)
+                    last = (doc, text, hashes, first.astype(np.int32), np.diff(first, prepend=0).astype(np.int32), wide)
+            _, _, hashes, first, steps, wide = last
+            words.append(hashes[i:j].tobytes())
+            if own[k]:
+                step = steps[i:j].copy()
+                step[:1] = first[i : i + 1]
+                marks.append(to_planes([step, wide[i:j]]))
+                length.append(len(hashes))
+            else:
+                marks.append(None)
+                length.append(None)
+        made = {"words": pa.array(words, pa.binary()), "marks": pa.array(marks, pa.binary()), "length": pa.array(length, pa.int64())}
+        yield pa.RecordBatch.from_arrays([made[f.name] if f.name in made else batch.column(f.name).cast(f.type) for f in schema], schema=schema)
 
 
 def align_rows(part_words: int, identity: float):
@@ -347,15 +413,17 @@ def align_rows(part_words: int, identity: float):
     def run(batches):
         for batch in batches:
             out = []
-            for r in batch.to_pylist():
-                c = np.array(r["runs"], dtype=np.int64).reshape(-1, 3) - [r["a_lo"], r["lo"], 0]
-                a, b = np.frombuffer(r["a_words"], dtype=np.uint16), np.frombuffer(r["words"], dtype=np.uint16)
+            names = ("doc", "other", "length", "a_lo", "lo", "a_words", "words")
+            runs, marks = batch.column("runs"), batch.column("marks")
+            for k, (doc, other, length, a_lo, lo, a_words, words) in enumerate(zip(*(batch.column(c).to_pylist() for c in names), strict=True)):
+                c = runs[k].values.to_numpy(zero_copy_only=False).astype(np.int64).reshape(-1, 3) - (a_lo, lo, 0)
+                a, b = np.frombuffer(a_words, dtype=np.uint16), np.frombuffer(words, dtype=np.uint16)
                 a0, a1, b0, b1, matched = align_chain(c, a, b)
                 if b1 - b0 >= part_words and matched >= identity * max(a1 - a0, b1 - b0):
-                    s, e = from_planes(r["marks"], [np.int32, np.int32])
+                    s, e = from_planes(marks[k].as_py(), [np.int32, np.int32])
                     s = np.cumsum(s)
                     e = s + e
-                    out.append((r["doc"], r["other"], b0 + r["lo"], b1 + r["lo"], int(s[b0]), int(e[b1 - 1]), r["length"]))
+                    out.append((doc, other, b0 + lo, b1 + lo, int(s[b0]), int(e[b1 - 1]), length))
             yield pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], f.type) for i, f in enumerate(schema)], schema=schema)
 
     return run

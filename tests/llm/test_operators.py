@@ -785,3 +785,17 @@ def test_pipeline_runs_with_odd_rows(spark, small, odd):
     empty = odd.select("doc_id", "text", "lang", "source").limit(0)
     for _, stage in corpus_pipeline.STAGES[:-1]:
         assert stage(spark, empty, small).count() == 0
+
+
+def test_seeds_of_many_texts_are_those_of_each(texts):
+    sd = substring_dedup
+    many = ["", " ", "one", "a b c d e", "a b c d e f g", *list(texts.values())[:40], "", "x y z u v w x y z u v w"]
+    text, seed, place, context = sd.seeds_of(many, sd.SEED_WORDS, sd.WINDOW)
+    for i, t in enumerate(many):
+        words = kernels.text_words(t)
+        grams = kernels.ngram_hashes(words, sd.SEED_WORDS)
+        where = kernels.minimizers(grams, sd.WINDOW)
+        bits = np.concatenate((np.zeros(8, np.uint64), words >> np.uint64(62), np.zeros(8, np.uint64))).astype(np.uint32)
+        assert place[text == i].tolist() == where.tolist()
+        assert seed[text == i].tolist() == (grams[where] & sd._SEED_BITS).view(np.int64).tolist()
+        assert context[text == i].tolist() == sd.beside(bits, where, sd.SEED_WORDS).tolist()
