@@ -222,6 +222,46 @@ def test_html_template_in_marked_articles(spark):
         assert all(bar not in whole[100 + i]["text"] and len(whole[100 + i]["text"].split()) == 20 for i in range(3)) and len(whole) == len(rows)
 
 
+def test_html_articles_are_in_the_array(spark):
+    """repeated_share of articles against brute force over all text of a host's pages."""
+    rng = np.random.default_rng(11)
+    fill = lambda n: " ".join("".join(rng.choice(list("abcdefghij"), 6)) for _ in range(n))
+    runs = [fill(n) for n in (7, 8, 30, 12)]
+    parts = {i: [fill(9), fill(20), runs[i % 4] if i % 7 < 2 else fill(5), fill(6), runs[3] if i in (40, 41) else fill(10)] for i in range(90)}
+    parts |= {90: parts[0], 91: parts[0]}
+    rows = [(i, f"http://t.example/{i}", "<article><h1>{}</h1><p>{}</p><p>{}</p></article><footer>{}</footer><div>{}</div>".format(*x)) for i, x in parts.items()]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    where = collections.defaultdict(set)
+    for x in parts.values():
+        words = " ".join(x).split()
+        for j in range(len(words) - 7):
+            where[tuple(words[j : j + 8])].add(" ".join(words))
+    for arrays in (1000, 8):
+        got = {r["page_id"]: r for r in html_extract.extract(pages, pages_per_array=arrays).collect()}
+        for i, x in parts.items():
+            words, hit = " ".join(x).split(), np.zeros(sum(len(t.split()) for t in x), bool)
+            for j in range(len(words) - 7):
+                if len(where[tuple(words[j : j + 8])]) > 1:
+                    hit[j : j + 8] = True
+            at, want = 0, 0
+            for t in x[:3]:
+                want += int(html_extract._runs_in_block(hit[at : at + len(t.split())], 8).sum())
+                at += len(t.split())
+            assert got[i]["repeated_share"] == pytest.approx(want / at) and got[i]["text"] == "\n".join(x[:3])
+        assert got[85]["repeated_share"] > 0 and len(got) == len(rows)
+
+
+def test_html_template_of_pages_alike_but_for_articles(spark):
+    rng = np.random.default_rng(12)
+    fill = lambda n: " ".join("".join(rng.choice(list("abcdefghij"), 6)) for _ in range(n))
+    bar = fill(12)
+    rows = [(i, f"http://t.example/{i}", f"<article><p>{fill(30)}</p><p>{bar if i == 7 else fill(9)}</p></article><footer>{bar}</footer>") for i in range(40)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    for arrays in (1000, 8):
+        got = {r["page_id"]: r for r in html_extract.extract(pages, pages_per_array=arrays, cut_marked=True).collect()}
+        assert bar not in got[7]["text"] and got[7]["repeated_share"] == pytest.approx(12 / 42)
+
+
 def test_html_is_read_in_linear_time():
     import time
 
